@@ -17,6 +17,7 @@ import numpy as np
 from .textbatch import TextChunk, ranges, span_hashes
 
 OTHER, LETTER, NUMBER, SPACE = 0, 1, 2, 3
+PART = 4096
 #: Code points of Unicode's White_Space property.
 WHITE_SPACE = (9, 10, 11, 12, 13, 32, 0x85, 0xA0, 0x1680, 0x2000, 0x2001, 0x2002, 0x2003, 0x2004, 0x2005, 0x2006, 0x2007, 0x2008, 0x2009, 0x200A, 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)
 
@@ -77,32 +78,63 @@ class IdMemo:
         self.clear()
 
     def clear(self) -> None:
-        self.keys, self.start, self.size, self.flat = np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32), np.zeros(0, np.uint32)
+        #: entries by hash: many settled ones, and recent ones that join them in bulk
+        self.settled, self.recent = _no_entries(), _no_entries()
+        self.flat = np.zeros(0, np.uint32)
+
+    def __len__(self) -> int:
+        return len(self.settled[0]) + len(self.recent[0])
+
+    def _find(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(known, start, size) of each hash."""
+        known, start, size = np.zeros(len(hashes), bool), np.zeros(len(hashes), np.int64), np.zeros(len(hashes), np.int64)
+        for keys, starts, sizes in (self.settled, self.recent):
+            if len(keys):
+                pos = np.minimum(np.searchsorted(keys, hashes), len(keys) - 1)
+                hit = keys[pos] == hashes
+                start[hit], size[hit], known = starts[pos[hit]], sizes[pos[hit]], known | hit
+        return known, start, size
+
+    def _add(self, keys: np.ndarray, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        sizes, ids = [], [self.flat]
+        for k in range(0, len(pieces), PART):  # the library's results are far larger than ids
+            found = self.encode(pieces[k : k + PART])
+            sizes.append(np.fromiter(map(len, found), np.int32, len(found)))
+            ids.append(np.fromiter((i for x in found for i in x), np.uint32, int(sizes[-1].sum())))
+        size = np.concatenate(sizes)
+        start = (len(self.flat) + np.cumsum(size, dtype=np.int64) - size).astype(np.int32)
+        self.flat = np.concatenate(ids)
+        self.recent = _merged(self.recent, (keys, start, size))
+        if len(self.recent[0]) > max(1 << 16, len(self.settled[0]) // 4):
+            self.settled, self.recent = _merged(self.settled, self.recent), _no_entries()
+        return start, size
 
     def tokens(self, chunk: TextChunk) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts one after another, and each text's offset there."""
         start, end, doc = split(chunk)
         if not len(start):
             return np.zeros(0, np.uint32), np.zeros(chunk.n + 1, np.int64)
-        hashes = span_hashes(chunk.codes, start, end)
-        distinct, at, back = np.unique(hashes, return_index=True, return_inverse=True)
-        if len(self.keys) > self.limit:
+        distinct, at, back = np.unique(span_hashes(chunk.codes, start, end), return_index=True, return_inverse=True)
+        if len(self) > self.limit:
             self.clear()
-        pos = np.searchsorted(self.keys, distinct)
-        known = pos < len(self.keys)
-        known[known] = self.keys[pos[known]] == distinct[known]
+        known, begin, size = self._find(distinct)
         if not known.all():
-            text = chunk.text
-            found = self.encode([text[a:b] for a, b in zip(start[at[~known]].tolist(), end[at[~known]].tolist(), strict=True)])
-            size = np.fromiter(map(len, found), np.int64, len(found))
-            begin = len(self.flat) + np.cumsum(size) - size
-            self.flat = np.concatenate([self.flat, np.fromiter((i for x in found for i in x), np.uint32, int(size.sum()))])
-            keys = np.concatenate([self.keys, distinct[~known]])
-            order = np.argsort(keys, kind="stable")
-            self.keys, self.start, self.size = keys[order], np.concatenate([self.start, begin.astype(np.int32)])[order], np.concatenate([self.size, size.astype(np.int32)])[order]
-            pos = np.searchsorted(self.keys, distinct)
-        pos = pos[back]
-        size = self.size[pos].astype(np.int64)
-        ids = self.flat[ranges(self.start[pos].astype(np.int64), size)]
+            new, text = ~known, chunk.text
+            begin[new], size[new] = self._add(distinct[new], [text[a:b] for a, b in zip(start[at[new]].tolist(), end[at[new]].tolist(), strict=True)])
+        size = size[back]
+        ids = self.flat[ranges(begin[back], size)]
         count = np.bincount(doc, weights=size, minlength=chunk.n).astype(np.int64)
         return ids, np.concatenate([[0], np.cumsum(count)])
+
+
+Entries = tuple[np.ndarray, np.ndarray, np.ndarray]
+
+
+def _no_entries() -> Entries:
+    return np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32)
+
+
+def _merged(a: Entries, b: Entries) -> Entries:
+    keys = np.concatenate([a[0], b[0]])
+    order = np.argsort(keys, kind="stable")
+    return keys[order], np.concatenate([a[1], b[1]])[order], np.concatenate([a[2], b[2]])[order]
