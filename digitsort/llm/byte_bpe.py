@@ -41,7 +41,6 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
 
 
-@lru_cache(maxsize=4)
 def tokenizer_json(path: str) -> str:
     """The tokenizer that a rank file describes, in the tokenizers library's format."""
     ranks = read_ranks(path)
@@ -69,11 +68,16 @@ def memo(path: str) -> IdMemo:
 @lru_cache(maxsize=4)
 def token_bytes(path: str) -> tuple[np.ndarray, np.ndarray]:
     """All tokens' bytes one after another, and each id's offset there."""
-    back = {c: b for b, c in byte_characters().items()}
-    vocab = library(path).get_vocab(with_added_tokens=False)
+    if path.endswith(".json"):
+        back = {c: b for b, c in byte_characters().items()}
+        with open(path) as f:
+            model = json.load(f)
+        vocab = {bytes(back[c] for c in shown): i for shown, i in model["model"]["vocab"].items() if all(c in back for c in shown)}
+    else:
+        vocab = read_ranks(path)
     parts = [b""] * (max(vocab.values()) + 1)
-    for shown, i in vocab.items():
-        parts[i] = bytes(back[c] for c in shown)
+    for token, i in vocab.items():
+        parts[i] = token
     return np.frombuffer(b"".join(parts), np.uint8), np.concatenate([[0], np.cumsum([len(p) for p in parts], dtype=np.int64)])
 
 
