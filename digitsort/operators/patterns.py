@@ -9,14 +9,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ship_package, written
+from ..sources.workloads import STEP, blocks
 from . import sorts
 
 
 def suffixes(docs: DataFrame, prefix: int = 32) -> DataFrame:
     """(doc_id, at, prefix): every suffix's first characters."""
-    rows = docs.select("doc_id", "text").filter(F.length("text") > 0)
-    cut = rows.select("doc_id", F.posexplode(F.transform(F.sequence(F.lit(1), F.length("text")), lambda i: F.substring(F.col("text"), i, F.lit(prefix)))).alias("at", "prefix"))
-    return cut.select("doc_id", F.col("at").cast("long").alias("at"), "prefix")
+    rows = blocks(docs.select("doc_id", "text"), prefix - 1, "doc_id")
+    starts = F.sequence(F.lit(1), F.least(F.lit(STEP), F.length("block")))
+    cut = rows.select("doc_id", "block_no", F.posexplode(F.transform(starts, lambda i: F.substring(F.col("block"), i, F.lit(prefix)))).alias("at", "prefix"))
+    return cut.select("doc_id", (F.col("at") + F.col("block_no") * STEP).cast("long").alias("at"), "prefix")
 
 
 def suffix_array(docs: DataFrame, prefix: int = 32) -> DataFrame:
@@ -87,18 +89,14 @@ def search_sorted(keys: list[str], patterns: list[str], prefix: int | None = Non
 def search(docs: DataFrame, patterns: DataFrame, how: str = "sorted", prefix: int | None = None, parts: int | None = None) -> DataFrame:
     """(part, pattern, occurrences, probes_in_part): in each range of the suffix array, the patterns that can lie there.
 
-    Suffixes are dealt out by ranges of their first four characters' order, in
-    parts of one range each; a pattern goes to the part of its own prefix, since
-    equal prefixes share a part.
+    Suffixes are dealt out by their first four characters; a pattern goes to the
+    part of its own, so what it matches lies in that part's sorted suffixes.
     """
     spark = docs.sparkSession
     ship_package(spark)
     found = suffixes(docs)
-    head = F.substring("prefix", 1, 4)
-    counts = found.groupBy(head.alias("head")).agg(F.count("*").alias("n"))
     parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
     part = lambda c: F.pmod(F.xxhash64(F.substring(c, 1, 4)), F.lit(4 * parts)).cast("int")
-    del counts
     left = written(found.select(part("prefix").alias("part"), "prefix"), "suffixes", "lz4")
     right = patterns.select(part("pattern").alias("part"), "pattern")
 

@@ -47,7 +47,7 @@ def kmer_packed(spark: SparkSession, d: str) -> DataFrame:
 
 def suffix_array(spark: SparkSession, d: str) -> DataFrame:
     ranked = patterns.suffix_array(table(spark, d, "documents"))
-    return ranked.groupBy("doc_id").agg(F.count("*").alias("suffixes"), F.min("rank").alias("low"), F.max("rank").alias("high"), F.sum("rank").alias("sum_rank"), F.sum(F.col("rank") % 1009 * (F.col("at") % 1013)).alias("mixed"))
+    return ranked.groupBy("doc_id").agg(F.count("*").alias("suffixes"), F.min("rank").alias("low"), F.max("rank").alias("high"), F.sum("rank").alias("sum_rank"), F.sum(F.col(rk) % 1009 * (F.col("at") % 1013)).alias("mixed"))
 
 
 def _search(how: str, prefix: int | None = None):
@@ -88,7 +88,7 @@ SQL = {
     "kmer_distinct": f"SELECT count(DISTINCT kmer) AS kmers, count(*) AS rows FROM {_K}",
     "kmer_spectrum": f"SELECT n, count(*) AS kmers FROM (SELECT kmer, count(*) AS n FROM {_K} GROUP BY 1) GROUP BY 1",
     "kmer_packed": f"SELECT code >> 24 AS top, count(*) AS n, count(DISTINCT code) AS codes, min(code) AS low, max(code) AS high FROM (SELECT list_reduce(list_prepend(0::BIGINT, list_transform(string_split(translate(lower(kmer), 'abcdefghijklmnopqrstuvwxyz', '01230123012301230123012301'), ''), lambda x: x::BIGINT)), lambda a, x: a * 4 + x) AS code FROM {_K} WHERE regexp_full_match(lower(kmer), '[a-z]+')) GROUP BY 1",
-    "suffix_array": "SELECT doc_id, count(*) AS suffixes, min(rank) AS low, max(rank) AS high, sum(rank)::BIGINT AS sum_rank, sum(rank % 1009 * (at % 1013))::BIGINT AS mixed FROM (SELECT doc_id, at, row_number() OVER (ORDER BY prefix, doc_id, at) - 1 AS rank FROM (SELECT doc_id, at, substr(text, at + 1, 32) AS prefix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS at FROM documents))) GROUP BY 1",
+    "suffix_array": "SELECT doc_id, count(*) AS suffixes, min(rk) AS low, max(rk) AS high, sum(rk)::BIGINT AS sum_rank, sum((rk % 1009) * (place % 1013))::BIGINT AS mixed FROM (SELECT doc_id, place, row_number() OVER (ORDER BY prefix, doc_id, place) - 1 AS rk FROM (SELECT doc_id, place, substr(text, place + 1, 32) AS prefix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS place FROM documents))) GROUP BY 1",
     "pattern_naive": _PATTERN,
     "pattern_sorted": _PATTERN,
     "pattern_prefix_sorted": _PATTERN,

@@ -1,2 +1,38 @@
-QUERIES = {}
-SQL = {}
+"""Streams, drained and compared as tables."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..streaming import streams
+
+
+def _plain(df: DataFrame) -> DataFrame:
+    return df.withColumn("start", F.col("start").cast("timestamp_ntz")) if "start" in df.columns else df
+
+
+def _stream(make, mode: str = "complete"):
+    return lambda spark, d: _plain(streams.drained(make(streams.source(spark, d)), mode))
+
+
+def st_sorted_runs(spark: SparkSession, d: str) -> DataFrame:
+    return streams.sorted_runs(streams.source(spark, d))
+
+
+QUERIES = {
+    "st_tumbling": _stream(streams.tumbling),
+    "st_sliding": _stream(streams.sliding),
+    "st_session": _stream(streams.session),
+    "st_digit_hist": _stream(streams.digit_counts),
+    "st_dedup": _stream(streams.deduplicated, "append"),
+    "st_sorted_runs": st_sorted_runs,
+}
+SQL = {
+    "st_tumbling": "SELECT time_bucket(INTERVAL 1 HOUR, ts, TIMESTAMP '1970-01-01') AS start, event_type, count(*) AS n, min(event_id) AS first_id FROM events GROUP BY ALL",
+    "st_sliding": "SELECT time_bucket(INTERVAL 1 HOUR, ts, TIMESTAMP '1970-01-01') - k * INTERVAL 1 HOUR AS start, count(*) AS n FROM events, (VALUES (0), (1)) AS t(k) GROUP BY ALL",
+    "st_session": "SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s",
+    "st_digit_hist": "SELECT user_id % 256 AS digit, count(*) AS n FROM events GROUP BY 1",
+    "st_dedup": "SELECT event_id, user_id FROM events",
+    "st_sorted_runs": "SELECT event_id, value, row_number() OVER (ORDER BY value, event_id) - 1 AS pos FROM events",
+}

@@ -72,7 +72,21 @@ def key16(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(F.col("l_orderkey").alias("key_high"), F.col("l_partkey").alias("key_low"), F.col("l_suppkey").alias("payload"), *TIES)
 
 
+STEP = 1024
+
+
+def blocks(texts: DataFrame, overlap: int, *keep: str) -> DataFrame:
+    """Texts in blocks of STEP characters and what follows them: (keep, block number, block).
+
+    Reaching a character of a UTF-8 string takes a walk from its start; inside
+    blocks that walk is short, so that cutting whole texts up takes linear time.
+    """
+    cut = F.transform(F.sequence(F.lit(0), F.floor((F.length("text") - 1) / STEP).cast("int")), lambda b: F.substring(F.col("text"), b * STEP + 1, F.lit(STEP + overlap)))
+    return texts.filter(F.length("text") > 0).select(*keep, F.posexplode(cut).alias("block_no", "block"))
+
+
 def kmers(spark: SparkSession, sf_dir: str, k: int = 16) -> DataFrame:
     """All runs of k characters of all documents."""
-    docs = table(spark, sf_dir, "documents").select("text").filter(F.length("text") >= k)
-    return docs.select(F.explode(F.transform(F.sequence(F.lit(1), F.length("text") - k + 1), lambda i: F.substring(F.col("text"), i, F.lit(k)))).alias("kmer"))
+    rows = blocks(table(spark, sf_dir, "documents").select("text"), k - 1).filter(F.length("block") >= k)
+    starts = F.sequence(F.lit(1), F.least(F.lit(STEP), F.length("block") - k + 1))
+    return rows.select(F.explode(F.transform(starts, lambda i: F.substring(F.col("block"), i, F.lit(k)))).alias("kmer"))
