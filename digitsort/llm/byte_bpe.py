@@ -136,7 +136,7 @@ def decode(encoded: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), i
 
 def as_text(decoded: Column) -> Column:
     """Decoded bytes as text; what isn't whole characters (a cut id list) becomes U+FFFD."""
-    return F.decode(decoded, F.lit("UTF-8"))
+    return F.make_valid_utf8(decoded.cast("string"))
 
 
 def stream_text(ids: Iterator[int], path: str) -> Iterator[str]:

@@ -37,6 +37,8 @@ class Params:
     rounds: int = 8
     #: a text is rejected below this share of the smallest cosine of nearly all sample texts (all but 1 in 1000)
     slack: float = 0.6
+    #: shorter texts, by letters, have smaller cosines with any centroid: the share falls with the root of their length
+    full_letters: int = 400
 
 
 def counts(chunk: TextChunk, p: Params) -> np.ndarray:
@@ -49,9 +51,9 @@ def counts(chunk: TextChunk, p: Params) -> np.ndarray:
     return out.reshape(chunk.n, width)
 
 
-def has_letter(chunk: TextChunk) -> np.ndarray:
-    letters = np.concatenate([[0], np.cumsum(folded(chunk, letters_only=True) != 0x20)])
-    return np.diff(letters[chunk.char_off]) > 0
+def letters(chunk: TextChunk) -> np.ndarray:
+    upto = np.concatenate([[0], np.cumsum(folded(chunk, letters_only=True) != 0x20)])
+    return np.diff(upto[chunk.char_off])
 
 
 @dataclass
@@ -74,9 +76,11 @@ class Model:
         cos = self.vectors(counts(chunk, self.params)) @ self.centroid.T
         best = cos.argmax(axis=1)
         score = np.clip(cos[np.arange(chunk.n), best].astype(float), 0, 1)
-        known = has_letter(chunk)
+        size = letters(chunk)
+        known = size > 0
+        floor = self.floor * np.sqrt(np.minimum(1, size / self.params.full_letters))
         names = [self.languages[k] if ok else UNKNOWN for k, ok in zip(self.owner[best].tolist(), known.tolist(), strict=True)]
-        return names, np.where(known, score, 0.0), ~known | (score < self.floor)
+        return names, np.where(known, score, 0.0), ~known | (score < floor)
 
 
 def _document_frequencies(docs: DataFrame, p: Params, text_col: str) -> tuple[np.ndarray, int]:
