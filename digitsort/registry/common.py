@@ -21,6 +21,7 @@ UNIFORM = f"(SELECT {mix(SEED)} AS key, l_partkey AS payload, {TIES} FROM lineit
 ZIPF = f"(SELECT {zipf(SEED)} AS key, l_partkey AS payload, {TIES} FROM lineitem)"
 ZIPF_WIDE = f"(SELECT {zipf(SEED, 1 << 20)} AS key, l_partkey AS payload, {TIES} FROM lineitem)"
 SCATTER = f"(SELECT {mix(f'({zipf(SEED)})::VARCHAR')} AS key, l_partkey AS payload, {TIES} FROM lineitem)"
+ZIPF_EXACT = f"(WITH w AS (SELECT k, pow(k + 1.0::DOUBLE, -0.75::DOUBLE) AS w FROM (SELECT unnest(range(0, 256)) AS k)), s AS (SELECT k, coalesce(sum(w) OVER (ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / (SELECT sum(w) FROM w) AS low FROM w) SELECT k AS key, l_partkey AS payload, {TIES} FROM (SELECT *, {unit(SEED)} AS u FROM lineitem) ASOF JOIN s ON u >= low)"
 KEY16 = f"(SELECT l_orderkey AS key_high, l_partkey AS key_low, l_suppkey AS payload, {TIES} FROM lineitem)"
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import keys
@@ -43,6 +43,27 @@ def parallel_split(spark: SparkSession, d: str) -> DataFrame:
     return passes.parallel_split(rows, "key", 7, passes.chunk_of(F.col("pos"), plan))
 
 
+def ablate_chunks(spark: SparkSession, d: str) -> DataFrame:
+    """The parallel split over equal chunks."""
+    rows = passes.with_position(wl.uniform(spark, d), wl.TIES)
+    plan = bins.chunk_plan(rows.count(), 4, growth="equal")
+    return passes.parallel_split(rows, "key", 7, passes.chunk_of(F.col("pos"), plan))
+
+
+def ablate_team(spark: SparkSession, d: str) -> DataFrame:
+    """No team is reserved for heavy bins."""
+    first = _first_pass(spark, d)
+    heavy, light = bins.team_columns(F.col("heavy_rows"), F.col("total"), bins.Rules(workers=16, team_rule="one"))
+    sums = first.agg(F.coalesce(F.sum(F.when(F.col("class") == "heavy", F.col("n"))), F.lit(0)).alias("heavy_rows"), F.sum("n").alias("total"))
+    return sums.select("heavy_rows", "total", heavy.alias("heavy_team"), light.alias("light_team"))
+
+
+def ablate_fifo(spark: SparkSession, d: str) -> DataFrame:
+    """Light bins in the order in which they were made, instead of largest first."""
+    made = _filtered("level = 1 AND action = 'light'", "lo", "n")(spark, d)
+    return made.withColumn("turn", F.row_number().over(Window.orderBy("lo")))  # at most 256 bins
+
+
 def chunk_plan(spark: SparkSession, d: str) -> DataFrame:
     return bins.chunk_frame(spark, table(spark, d, "lineitem").count(), 16)
 
@@ -165,7 +186,7 @@ def kernel_finishers(name: str):
     return lambda spark, d: finishing.finish_bins(_scatter(spark, d), "key", name)
 
 
-QUERIES = {f.__name__: f for f in (digit_extract, digit_extract_bits, digit_histogram, digit_offsets, parallel_split, chunk_plan, chunk_plan_equal, team_sizes, light_queue_order, heavy_queue_order, lpt_assignment, schedule_sim, split_choice, tiny_choice, narrowing_rule, last_digit_stop, common_prefix, equal_key_bins, heavy_refine)} | {
+QUERIES = {f.__name__: f for f in (digit_extract, digit_extract_bits, digit_histogram, digit_offsets, parallel_split, chunk_plan, chunk_plan_equal, ablate_chunks, ablate_team, ablate_fifo, team_sizes, light_queue_order, heavy_queue_order, lpt_assignment, schedule_sim, split_choice, tiny_choice, narrowing_rule, last_digit_stop, common_prefix, equal_key_bins, heavy_refine)} | {
     "first_pass_bins": _first_pass,
     "bin_classes": _decided(_scatter),
     "bin_classes_uniform": _decided(wl.uniform),
@@ -191,6 +212,12 @@ SQL = {
 r AS (SELECT {c.digit('key', 7)} AS digit, row_number() OVER (ORDER BY {c.TIES}) - 1 AS pos FROM {c.UNIFORM}),
 g AS (SELECT k AS chunk, digit, count(*) AS n FROM (SELECT r.digit, s.k FROM r ASOF JOIN s ON r.pos >= s.s) GROUP BY ALL)
 SELECT chunk, digit, n, coalesce(sum(n) OVER (ORDER BY digit, chunk ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS base FROM g""",
+    "ablate_chunks": f"""WITH t AS (SELECT count(*)::HUGEINT AS n FROM lineitem), s AS (SELECT k::INT AS k, n * k // 32 AS s FROM (SELECT unnest(range(0, 32))::HUGEINT AS k), t),
+r AS (SELECT {c.digit('key', 7)} AS digit, row_number() OVER (ORDER BY {c.TIES}) - 1 AS pos FROM {c.UNIFORM}),
+g AS (SELECT k AS chunk, digit, count(*) AS n FROM (SELECT r.digit, s.k FROM r ASOF JOIN s ON r.pos >= s.s) GROUP BY ALL)
+SELECT chunk, digit, n, coalesce(sum(n) OVER (ORDER BY digit, chunk ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS base FROM g""",
+    "ablate_team": f"WITH h AS (SELECT {c.digit('key', 7)} AS digit, count(*) AS n FROM {c.SCATTER} GROUP BY 1), t AS (SELECT sum(n)::BIGINT AS total FROM h) SELECT coalesce(sum(n) FILTER (n * 48 > total * 2), 0)::BIGINT AS heavy_rows, any_value(total) AS total, 0::BIGINT AS heavy_team, 16::BIGINT AS light_team FROM h, t",
+    "ablate_fifo": _bins(c.SCATTER, "SELECT lo, n, row_number() OVER (ORDER BY lo) AS turn FROM bins WHERE level = 1 AND action = 'light'"),
     "chunk_plan": _CHUNK.format(start="n * (k * 128 * 127 + 896 * k * (k - 1)) // (1024::HUGEINT * 128 * 127)"),
     "chunk_plan_equal": _CHUNK.format(start="n * k // 128"),
     "first_pass_bins": f"WITH h AS (SELECT {c.digit('key', 7)} AS digit, count(*) AS n FROM {c.SCATTER} GROUP BY 1) SELECT digit, n, CASE WHEN n * 48 > (SELECT count(*) FROM lineitem) * 2 THEN 'heavy' ELSE 'light' END AS class FROM h",

@@ -131,6 +131,7 @@ QUERIES = {
     "wl_uniform": _sorted(wl.uniform),
     "wl_zipf": _sorted(_wide),
     "wl_zipf_scatter": _sorted(_scatter),
+    "wl_zipf_exact": _sorted(wl.zipf_exact),
     "wl_key16": _key16,
     **{f"wl_rec{n}": (lambda n: lambda spark, d: sorts.with_rank(sorts.adaptive_msd(wl.record_size(spark, d, n), KEYS)))(n) for n in (8, 16, 24, 32)},
     "global_rank": _sorted(_orderkey),
@@ -179,6 +180,7 @@ SQL = {
     "wl_uniform": _u,
     "wl_zipf": c.ranked(c.ZIPF_WIDE, ORDER),
     "wl_zipf_scatter": _zs,
+    "wl_zipf_exact": c.ranked(c.ZIPF_EXACT, ORDER),
     "wl_key16": c.ranked(c.KEY16, "key_high, key_low, l_suppkey, l_linenumber"),
     **{f"wl_rec{n}": c.ranked(c.record(n), ORDER) for n in (8, 16, 24, 32)},
     "global_rank": c.ranked(_ORDERKEY, ORDER),

@@ -46,11 +46,11 @@ def zipf_exact(spark: SparkSession, sf_dir: str, universe: int = 256, theta: flo
     The function has ``universe`` rows and is broadcast; a row's candidate ranks
     are one step of a table over 2^-10 wide cells, so that the range join is an equi-join.
     """
-    weights = [1.0 / (k + 1) ** theta for k in range(universe)]
-    total, upto, low = sum(weights), 0.0, []
-    for k, w in enumerate(weights):
-        low.append((k, upto / total))
-        upto += w
+    upto, low = 0.0, []
+    for k in range(universe):
+        low.append((k, upto))
+        upto += (k + 1.0) ** -theta
+    low = [(k, x / upto) for k, x in low]
     high = [x for _, x in low[1:]] + [1.0]
     cells = [(c, k, lo, hi) for (k, lo), hi in zip(low, high, strict=True) for c in range(int(lo * 1024), min(1023, int(hi * 1024)) + 1)]
     cdf = spark.createDataFrame(cells, "cell int, rank long, low double, high double")
