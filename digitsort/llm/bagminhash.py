@@ -11,8 +11,8 @@ multisets' weighted Jaccard similarity.
 Texts of equal multisets become one node.  Nodes that agree in a band share a
 bucket.  Verification is exact, on whole multisets: first each member of a bucket
 against the bucket's least node, then, in buckets that hold more than one
-component, those members against all others in blocks, screened by signatures
-(``screen`` lies 4 standard errors below the threshold).  Links' connected
+component, those members against all others inside blocks.  Signatures screen the
+first kind of pairs (``screen`` lies 4 standard errors below the threshold).  Links' connected
 components are the classes.
 
 Defined results: a null or empty text, or one without letters and digits, is a
@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from ..session import ship_package, written
 from .ngrams import lower_table
 from .pretokens import LETTER, NUMBER, class_table
-from .textbatch import TextChunk, binary_array, mix64, span_hashes, text_chunks
+from .textbatch import TextChunk, binary_array, binary_flat, mix64, ranges, span_hashes, text_chunks
 
 _ID_BITS = np.uint64(54)  # of a shingle, beside 10 bits for the text's place in its chunk
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
@@ -46,7 +46,7 @@ class Params:
     bands: int = 24
     rows: int = 5
     screen: float = 0.65
-    block: int = 256
+    block: int = 128
 
     @property
     def slots(self) -> int:
@@ -100,6 +100,8 @@ def fingerprints(n: int, doc: np.ndarray, shingle: np.ndarray, count: np.ndarray
 def signatures(n: int, doc: np.ndarray, shingle: np.ndarray, count: np.ndarray, slots: int) -> np.ndarray:
     """Earliest time at each of the places, n x slots; infinite without shingles."""
     sig = np.full(n * slots, np.inf)
+    if not len(doc):
+        return sig.reshape(n, slots)
     level, item = 0, np.arange(len(doc))
     parts = []
     while len(item):  # intervals [0,1) [1,2) [2,4) [4,8) ... that begin below the multiplicity
@@ -204,53 +206,118 @@ def _verified(pairs: DataFrame, sets: DataFrame, nodes: DataFrame, p: Params) ->
     return both.select("a", "b", "x", "xc", "y", "yc").mapInArrow(exact, "a binary, b binary")
 
 
+def _brief(df: DataFrame, name: str) -> DataFrame:
+    """A written table of short rows: an eighth of the partitions that rows with texts get."""
+    return written(df.coalesce(max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 8)), name)
+
+
 def components(links: DataFrame) -> DataFrame:
     """(node, label) of nodes with links (a, b); the label is a component's least node.
 
     Each round takes the least label of all neighbours, then follows labels once
     (so that paths shrink by half); tables are written between rounds.
     """
-    edges = written(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
-    labels = written(edges.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")), "labels")
+    edges = _brief(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
+    labels = _brief(edges.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")), "labels")
     while True:
-        seen = edges.join(labels.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("label").alias("m"))
-        lower = written(labels.join(seen, F.col("node") == F.col("a")).select("node", F.least("label", "m").alias("near"), F.col("label").alias("was")), "labels")
+        seen = edges.join(labels.withColumnRenamed("node", "b"), "b").select(F.col("a").alias("node"), "label", F.lit(None).cast("binary").alias("was"))
+        own = labels.select("node", "label", F.col("label").alias("was"))
+        lower = _brief(seen.unionAll(own).groupBy("node").agg(F.min("label").alias("near"), F.max("was").alias("was")), "labels")
         on = lower.select(F.col("node").alias("near"), F.col("near").alias("label"))
-        moved = written(lower.join(on, "near").select("node", F.least("label", "near").alias("label"), "was"), "labels")
+        moved = _brief(lower.join(on, "near").select("node", F.least("label", "near").alias("label"), "was"), "labels")
         labels = moved.select("node", "label")
-        if moved.filter(~F.col("label").eqNullSafe(F.col("was"))).isEmpty():
+        if moved.filter(F.col("label") != F.col("was")).isEmpty():
             return labels
 
 
-def _block_pairs(members: DataFrame, labels: DataFrame, nodes: DataFrame, p: Params) -> DataFrame:
-    """Pairs of nodes in one bucket, yet in different components, that signatures don't rule out.
+def _joined(links: DataFrame, labels: DataFrame) -> DataFrame:
+    """(node, label) of the components that links join further: components are the nodes of a smaller graph."""
+    of = lambda c: labels.select(F.col("node").alias(c), F.col("label").alias(f"l{c}"))
+    named = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b"))
+    return components(named.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+
 
-    Members outside of the least node's component meet all members, block by block.
+def _block_links(members: DataFrame, labels: DataFrame, sets: DataFrame, p: Params) -> DataFrame:
+    """Links (a, b) between nodes of one bucket that are still in different components.
+
+    Members outside of the least node's component meet all members, block by
+    block, and are verified there: a block pair gives at most the links that join
+    its components, so neither rows nor shuffles grow with a group's square.
     """
     named = members.filter("size > 2").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     heads = labels.select(F.col("node").alias("leader"), F.col("label").alias("head"))
-    named = written(named.join(heads, "leader", "left").select("bucket", "size", "node", "leader", "label", (F.col("label") != F.coalesce("head", "leader")).alias("apart")), "bucket-members")
-    open_ = written(named.filter("apart").groupBy("bucket").agg(F.count("*").alias("apart_n")), "open-buckets")
-    full = named.join(open_, "bucket").join(nodes.select("node", "n", "sketch"), "node")
-    full = full.filter(F.col("node") != F.col("leader"))  # those were compared before
-    blocked = lambda rows, n, name: rows.withColumn("k", F.pmod(F.xxhash64("node"), F.ceil(n / p.block))).groupBy("bucket", "k").agg(F.collect_list(F.struct("node", "label", "n", "sketch", "apart")).alias(name)).drop("k")
+    named = _brief(named.join(heads, "leader", "left").select("bucket", "size", "node", "leader", "label", (F.col("label") != F.coalesce("head", "leader")).alias("apart")), "bucket-members")
+    open_ = _brief(named.filter("apart").groupBy("bucket").agg(F.count("*").alias("apart_n")), "open-buckets")
+    rest = named.filter(F.col("node") != F.col("leader"))  # those were compared with the others before
+    full = rest.join(open_, "bucket").join(sets.select("node", "n", "shingles", "counts"), "node")
+    blocked = lambda rows, n, name: rows.withColumn("k", F.pmod(F.xxhash64("node"), F.ceil(n / p.block))).groupBy("bucket", "k").agg(F.collect_list(F.struct("node", "label", "apart", "n", "shingles", "counts")).alias(name)).drop("k")
     one = blocked(full.filter("apart"), F.col("apart_n"), "x")
     all_ = blocked(full, F.col("size"), "y")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            a, b = [], []
-            for x, y in zip(*(batch.column(k).to_pylist() for k in (0, 1)), strict=True):
-                sx, sy = (np.frombuffer(b"".join(r["sketch"] for r in z), "<u2").reshape(len(z), p.slots) for z in (x, y))
-                for r, s in zip(x, sx, strict=True):
-                    for j in np.flatnonzero((sy == s).mean(axis=1) >= p.screen).tolist():
-                        t = y[j]
-                        if t["label"] != r["label"] and (not t["apart"] or r["node"] < t["node"]) and min(r["n"], t["n"]) >= p.similarity * max(r["n"], t["n"]):
-                            a.append(min(r["node"], t["node"]))
-                            b.append(max(r["node"], t["node"]))
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.binary()), pa.array(b, pa.binary())], ["a", "b"])
+            for x, y in zip(*batch.columns, strict=True):
+                if found := _links_between(_Block(x.values), _Block(y.values), p.similarity):
+                    yield pa.RecordBatch.from_arrays([pa.array([f[c] for f in found], pa.binary()) for c in (0, 1)], ["a", "b"])
+
+    return one.join(all_, "bucket").select("x", "y").mapInArrow(compare, "a binary, b binary")
+
+
+class _Block:
+    """Some nodes' multisets as sets: the k-th of equal shingles is an element of its own."""
+
+    def __init__(self, rows: pa.StructArray) -> None:
+        self.node, self.label, self.apart = (rows.field(c).to_pylist() for c in ("node", "label", "apart"))
+        self.n = np.asarray(rows.field("n").to_pylist(), np.int64)
+        flat, off = binary_flat(rows.field("shingles"))
+        shingle, count = flat.view("<u8"), binary_flat(rows.field("counts"))[0].view("<u4").astype(np.int64)
+        owner = np.repeat(np.arange(len(self.n)), np.diff(off) // 8)
+        again = ranges(np.zeros(len(count), np.int64), count).astype(np.uint64)
+        element = np.repeat(shingle, count)
+        self.element = np.where(again == 0, element, mix64(element + again * _GOLDEN))
+        self.owner = np.repeat(owner, count)
+
+
+def _common(x: _Block, y: _Block, columns: int = 4096) -> np.ndarray:
+    """Sizes of all intersections, as products of 0/1 matrices over shared elements."""
+    shared = np.intersect1d(x.element, y.element)
+    out = np.zeros((len(x.n), len(y.n)), np.float32)
+    if not len(shared):
+        return out
+
+    def places(b: _Block) -> tuple[np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(shared, b.element), len(shared) - 1)
+        ok = shared[at] == b.element
+        return b.owner[ok], at[ok]
+
+    (xo, xa), (yo, ya) = places(x), places(y)
+    for low in range(0, len(shared), columns):
+        a, b = np.zeros((len(x.n), columns), np.float32), np.zeros((len(y.n), columns), np.float32)
+        for m, o, at in ((a, xo, xa), (b, yo, ya)):
+            here = (at >= low) & (at < low + columns)
+            m[o[here], at[here] - low] = 1
+        out += a @ b.T
+    return out
 
-    return one.join(all_, "bucket").select("x", "y").mapInArrow(compare, "a binary, b binary").distinct()
+
+def _links_between(x: _Block, y: _Block, least: float) -> list[tuple[bytes, bytes]]:
+    """Links that join components of two blocks."""
+    above: dict[bytes, bytes] = {}
+
+    def root(label: bytes) -> bytes:
+        while (up := above.get(label)) is not None:
+            label = up
+        return label
+
+    common = _common(x, y).astype(np.float64)
+    near = common >= least * (x.n[:, None] + y.n[None, :] - common)
+    found = []
+    for i, j in np.argwhere(near & (common > 0)).tolist():
+        a, b = root(x.label[i]), root(y.label[j])
+        if a != b:
+            above[max(a, b)] = min(a, b)
+            found.append((x.node[i], y.node[j]))
+    return found
 
 
 def near_duplicates(docs: DataFrame, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -260,9 +327,9 @@ def near_duplicates(docs: DataFrame, p: Params | None = None, id_col: str = "doc
     signed = written(_signed(docs, p, id_col, text_col), "signed")
     nodes = written(signed.filter("node IS NOT NULL").groupBy("node").agg(F.min("id").alias("id"), F.count("*").alias("rows"), F.first("n").alias("n"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch")), "nodes")
     placed = nodes.select("node", F.explode("bands").alias("bucket"))
-    buckets = written(placed.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("leader")).filter("size > 1"), "buckets")
-    members = written(placed.join(buckets, "bucket"), "members")
-    needed = written(members.select("node").distinct(), "needed")
+    buckets = _brief(placed.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("leader")).filter("size > 1"), "buckets")
+    members = _brief(placed.join(buckets, "bucket"), "members")
+    needed = _brief(members.select("node").distinct(), "needed")
 
     hashed = lambda c: F.xxhash64(F.coalesce(c.cast("string"), F.lit("")))  # noqa: E731  null ids meet, too
     wanted = nodes.join(needed, "node", "left_semi").select(hashed(F.col("id")).alias("_h")).distinct()
@@ -273,12 +340,13 @@ def near_duplicates(docs: DataFrame, p: Params | None = None, id_col: str = "doc
     pairs = members.filter(F.col("node") != F.col("leader")).select(F.col("node").alias("a"), F.col("leader").alias("b")).distinct()
     links = written(_verified(pairs, sets, nodes, p), "links")
     labels = components(links)
-    more = written(_verified(_block_pairs(members, labels, nodes, p), sets, nodes, p), "links")
-    if not more.isEmpty():
-        labels = components(links.union(more))
+    more = written(_block_links(members, labels, sets, p), "links")
     grouped = nodes.select("node", "id", "rows").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    if not more.isEmpty():
+        wider = _joined(more, labels).select(F.col("node").alias("label"), F.col("label").alias("whole"))
+        grouped = grouped.join(wider, "label", "left").withColumn("label", F.coalesce("whole", "label")).drop("whole")
     classes = grouped.groupBy("label").agg(F.min("id").alias("class_id"), F.sum("rows").alias("class_rows")).filter("class_rows > 1")
-    of_node = written(grouped.select("node", "label").join(classes, "label").select("node", "class_id", "class_rows"), "classes")
+    of_node = _brief(grouped.select("node", "label").join(classes, "label").select("node", "class_id", "class_rows"), "classes")
     out = signed.select("id", "node").join(of_node, "node", "left")
     return out.select(F.col("id").alias(id_col), F.when(F.col("class_rows").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("class_rows", F.lit(1)).alias("class_rows"))
 
@@ -290,12 +358,14 @@ def keep_one(docs: DataFrame, p: Params | None = None, id_col: str = "doc_id", t
     told apart by it: where one of them stands for a class, each text of theirs
     stays once.
     """
-    classes = near_duplicates(docs, p, id_col, text_col).select(F.col(id_col).alias("_id"), F.col("class_id").alias("_class"))
-    kept = written(classes.filter(F.col("_id").eqNullSafe(F.col("_class"))).groupBy("_id").agg(F.count("*").alias("_n")), "kept")
-    rows = docs.join(kept, F.col(id_col).eqNullSafe(F.col("_id"))).drop("_id")
-    alone = rows.filter("_n = 1").drop("_n")
-    several = rows.filter("_n > 1").drop("_n").dropDuplicates([id_col, text_col])
-    return alone.union(several)
+    held, times = (next(x for x in (f"{c}{k or ''}" for k in range(len(docs.columns) + 1)) if x not in docs.columns) for c in ("_id", "_times"))
+    classes = near_duplicates(docs, p, id_col, text_col)
+    stand = classes.filter(F.col(id_col).eqNullSafe(F.col("class_id"))) if id_col != "class_id" else classes
+    kept = _brief(stand.groupBy(F.col(id_col).alias(held)).agg(F.count("*").alias(times)), "kept")
+    rows = docs.join(kept, F.col(id_col).eqNullSafe(F.col(held)))
+    alone = rows.filter(F.col(times) == 1).select(*docs.columns)
+    several = rows.filter(F.col(times) > 1).select(*docs.columns).dropDuplicates([id_col, text_col])
+    return alone.unionAll(several)
 
 
 def brute_force(texts: list[str | None], p: Params | None = None) -> list[list[float]]:
