@@ -129,8 +129,9 @@ def fit(docs: DataFrame, trains: Column | None = None, p: Params | None = None,
     df, n = _document_frequencies(rows, p, "_text")
     idf = (np.log((1 + n) / (1 + df)) + 0.05).astype(np.float32)
     model = Model(p, idf, [], np.zeros((0, 1 << p.bits), np.float32), np.zeros(0, np.int64), 0.0)
-    hashed = rows.select("_id", "_lang", F.xxhash64("_id").alias("_h"))
-    few = hashed.withColumn("_k", F.row_number().over(Window.partitionBy("_lang").orderBy("_h", "_id"))).filter(F.col("_k") <= p.rows_per_language).select("_id", "_lang").distinct()
+    first = lambda df, *by: df.withColumn("_k", F.row_number().over(Window.partitionBy("_lang", *by).orderBy("_h", "_id"))).filter(F.col("_k") <= p.rows_per_language).drop("_k")
+    hashed = rows.select("_id", "_lang", F.xxhash64("_id").alias("_h")).withColumn("_salt", F.pmod("_h", F.lit(64)))
+    few = first(first(hashed, "_salt")).select("_id", "_lang").distinct()  # in parts first: a language may have most rows
     # at most rows_per_language for each language
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
