@@ -50,9 +50,13 @@ def ngram_hashes(codes: np.ndarray, off: np.ndarray, n: int, bits: int) -> tuple
     return (h >> np.uint32(32 - bits))[inside], doc[:m][inside]
 
 
-def distinct_features(chunk: TextChunk, orders: tuple[int, ...], bits: int, keep: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct (text, feature) pairs, sorted; ``keep`` marks the features wanted."""
-    codes, off = folded(chunk), chunk.char_off
+#: A feature stands for an n-gram that a text has at least so many times.
+LEVELS = (1, 2, 4, 8)
+
+
+def level_features(chunk: TextChunk, orders: tuple[int, ...], bits: int, keep: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct (text, feature) pairs; a feature is level << bits | hash.  ``keep`` marks the hashes wanted."""
+    codes, off = folded(chunk, letters_only=True), chunk.char_off
     found = []
     for n in orders:
         h, doc = ngram_hashes(codes, off, n, bits)
@@ -60,5 +64,12 @@ def distinct_features(chunk: TextChunk, orders: tuple[int, ...], bits: int, keep
             at = np.flatnonzero(keep[h])
             h, doc = h[at], doc[at]
         found.append(doc.astype(np.int64) << bits | h)
-    key = np.unique(np.concatenate(found))
-    return key >> bits, key & ((1 << bits) - 1)
+    key, count = np.unique(np.concatenate(found), return_counts=True)
+    docs, features = [], []
+    for level, least in enumerate(LEVELS):
+        key, count = key[count >= least], count[count >= least]
+        docs.append(key >> bits)
+        features.append(level << bits | key & ((1 << bits) - 1))
+    doc = np.concatenate(docs)
+    order = np.argsort(doc, kind="stable")
+    return doc[order], np.concatenate(features)[order]

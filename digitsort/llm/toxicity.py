@@ -1,7 +1,8 @@
 """Toxicity: a linear classifier over character n-grams scaled by naive Bayes log-count ratios.
 
-Features are the distinct hashed n-grams of a text's lower-case characters.
-Each feature's log-count ratio compares its smoothed document counts in both
+Features are the hashed n-grams of a text's lower-case characters (blanks for all but letters), at the levels
+of 1, 2, 4 and 8 occurrences: what a clean text has once by chance, a toxic one
+repeats.  Each feature's log-count ratio compares its smoothed document counts in both
 classes; the features with the most certain ratios carry the model, and a
 logistic regression is fitted on presence times ratio.
 
@@ -24,14 +25,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..session import ship_package
-from .ngrams import distinct_features
+from ..session import ship_package, written
+from .ngrams import LEVELS, level_features
 from .textbatch import binary_array, text_chunks
 
 
 @dataclass
 class Params:
-    orders: tuple[int, ...] = (4, 5)
+    orders: tuple[int, ...] = (4, 6, 8)
     bits: int = 20
     max_rows: int = 4000
     features: int = 6000
@@ -49,25 +50,25 @@ class Model:
 
     def score(self, chunk) -> np.ndarray:
         keep = np.zeros(1 << self.params.bits, bool)
-        keep[self.feature] = True
-        doc, feature = distinct_features(chunk, self.params.orders, self.params.bits, keep)
-        z = np.bincount(doc, self.weight[np.searchsorted(self.feature, feature)], chunk.n) + self.intercept
+        keep[self.feature & ((1 << self.params.bits) - 1)] = True
+        doc, feature = level_features(chunk, self.params.orders, self.params.bits, keep)
+        weight = np.zeros(len(LEVELS) << self.params.bits, np.float32)
+        weight[self.feature] = self.weight
+        z = np.bincount(doc, weight[feature], chunk.n) + self.intercept
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def _gathered(docs: DataFrame, p: Params, id_col: str, text_col: str, label_col: str) -> tuple[list[np.ndarray], np.ndarray]:
-    """Distinct features of each labelled row, and the labels."""
+def _gathered(docs: DataFrame, p: Params, text_col: str, label_col: str) -> DataFrame:
+    """(label, features) of each labelled row, a table."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row, chunk in text_chunks(batch.column(1)):
-                doc, feature = distinct_features(chunk, p.orders, p.bits)
+                doc, feature = level_features(chunk, p.orders, p.bits)
                 off = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=chunk.n))])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, chunk.n), binary_array(feature.astype("<u4").tobytes(), off * 4)], ["label", "features"])
 
-    rows = docs.select(F.col(label_col).cast("int"), text_col).mapInArrow(run, "label int, features binary").toArrow()
-    rows = rows.combine_chunks()
-    return [np.frombuffer(x, "<u4") for x in rows.column("features").to_pylist()], np.array(rows.column("label").to_pylist(), float)
+    return written(docs.select(F.col(label_col).cast("int"), text_col).mapInArrow(run, "label int, features binary"), "labelled")
 
 
 def fit(docs: DataFrame, labels: DataFrame, trains: Column | None = None, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> Model:
@@ -77,20 +78,25 @@ def fit(docs: DataFrame, labels: DataFrame, trains: Column | None = None, p: Par
     taught = labels if trains is None else labels.filter(trains)
     known = taught.select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_label")).filter("_label IN (0, 1) AND _id IS NOT NULL")
     few = known.orderBy(F.xxhash64("_id"), "_id", "_label").limit(p.max_rows)  # the bound of what is broadcast
-    rows, y = _gathered(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).join(F.broadcast(few), "_id"), p, "_id", "_text", "_label")
-    return _solve(rows, y, p)
+    rows = _gathered(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).join(F.broadcast(few), "_id"), p, "_text", "_label")
+    # the driver holds one partition's rows at a time, and of all rows only the chosen features
+    return _solve(lambda: ((np.frombuffer(r["features"], "<u4"), r["label"]) for r in rows.toLocalIterator()), p)
 
 
-def _solve(rows: list[np.ndarray], y: np.ndarray, p: Params) -> Model:
+def _solve(read, p: Params) -> Model:
+    """``read()`` gives (distinct features, label) of each row, twice in the same order."""
+    size = len(LEVELS) << p.bits
+    pos, neg = np.full(size, p.smoothing, np.float32), np.full(size, p.smoothing, np.float32)
+    labels = []
+    for r, label in read():
+        (pos if label else neg)[r] += 1
+        labels.append(label)
+    y = np.array(labels, float)
     none = Model(p, np.zeros(0, np.int64), np.zeros(0), 0.0)
     share = (y.sum() + 1) / (len(y) + 2)
     none.intercept = float(np.log(share / (1 - share)))
     if not len(y) or y.min() == y.max():
         return none
-    size = 1 << p.bits
-    pos, neg = np.full(size, p.smoothing), np.full(size, p.smoothing)
-    for r, label in zip(rows, y, strict=True):
-        (pos if label else neg)[r] += 1
     npos, nneg = y.sum() + 2 * p.smoothing, (1 - y).sum() + 2 * p.smoothing
     ratio = np.log(pos / npos) - np.log(neg / nneg)
     sure = np.abs(ratio) / np.sqrt(1 / pos + 1 / neg)
@@ -100,10 +106,10 @@ def _solve(rows: list[np.ndarray], y: np.ndarray, p: Params) -> Model:
     if not len(feature):
         return none
     scale = ratio[feature]
-    place = np.full(size, -1, np.int64)
+    place = np.full(size, -1, np.int32)
     place[feature] = np.arange(len(feature))
-    found = [place[r][place[r] >= 0] for r in rows]
-    doc = np.repeat(np.arange(len(rows)), [len(f) for f in found])
+    found = [x[x >= 0] for x in (place[r] for r, _ in read())]
+    doc = np.repeat(np.arange(len(y)), [len(f) for f in found])
     col = np.concatenate(found)
     x = scale[col]
     balance = np.where(y > 0, 0.5 * len(y) / y.sum(), 0.5 * len(y) / (len(y) - y.sum()))

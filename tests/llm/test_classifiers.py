@@ -49,7 +49,7 @@ def test_toxicity_odd_rows(spark, docs_of):
 def test_ratio_scales_features():
     """A feature of one class only gets weight in that class's direction."""
     rows = [np.array([1, 2]), np.array([1, 2]), np.array([2, 3]), np.array([2, 3])] * 5
-    m = toxicity._solve(rows, np.array([1, 1, 0, 0] * 5, float), toxicity.Params(bits=4))
+    m = toxicity._solve(lambda: zip(rows, [1, 1, 0, 0] * 5, strict=True), toxicity.Params(bits=4))
     w = dict(zip(m.feature.tolist(), m.weight.tolist(), strict=True))
     assert w[1] > 0 > w[3] and abs(w.get(2, 0)) < 1e-6
 
