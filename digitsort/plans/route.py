@@ -1,9 +1,9 @@
 """Partition plans: counted bins packed into ordered partitions, and the route of each row.
 
-One aggregation gives the key's range; digits that are equal in all keys are
-skipped.  Bins are counted by a leading prefix of two bytes at most; those over
-the threshold are counted again by their next bytes (only their rows, only the
-key column), until they are light or hold one key.  Adjacent bins are packed into
+Bins are counted by a leading prefix of two bytes at most, with each bin's least
+and greatest key; those over the threshold are counted again (only their rows,
+only the key column) by the next byte in which their keys differ, until they are
+light or hold one key.  Adjacent bins are packed into
 partitions of even size, in key order; a bin of one key that is still too large is
 cut by the quantiles of the next sort column, or by a hash where there's none.
 
@@ -27,9 +27,11 @@ _U = 1 << 64
 
 @dataclass
 class Bin:
-    lo: int  # least key of the bin
+    lo: int  # least key that the bin may hold
     bits: int  # of the key below its prefix
     n: int
+    least: int  # keys that it does hold
+    most: int
 
 
 @dataclass
@@ -69,36 +71,36 @@ def plan_partitions(df: DataFrame, key: str, partitions: int, next_col: str | No
     r = r or Rules()
     if sampled:
         return _sampled(df, key, partitions)
-    span = df.agg(F.min(key).alias("low"), F.max(key).alias("high"), F.count(key).alias("n")).first()
-    total = span["n"]
-    if not total:
-        return Partitions(0, 0, 0, [], [], [])
-    low = span["low"]
-    skipped = common_prefix_bits(low, span["high"]) // 8 * 8 if skip else 0
     step = 16 if 256 < 1.5 * partitions else 8
-    below = max(0, 64 - skipped - step)
     floor = lambda b: F.col(key).bitwiseAND(F.lit(-1 << b))
 
     def count(rows: DataFrame, b: int) -> list[Bin]:
         """Bins by the bits above b: at most 2^step for each heavy one; a bin of one key has none left."""
         found = rows.groupBy(floor(b).alias("lo")).agg(F.count("*").alias("n"), F.min(key).alias("a"), F.max(key).alias("z")).collect()
-        return [Bin(x["a"], 0, x["n"]) if x["a"] == x["z"] else Bin(x["lo"], b, x["n"]) for x in found]
+        return [Bin(x["a"], 0, x["n"], x["a"], x["z"]) if x["a"] == x["z"] else Bin(x["lo"], b, x["n"], x["a"], x["z"]) for x in found]
 
-    bins, done, scans, heavy_bins = count(df, below), [], 1, 0
-    if r.heavy is None:
-        limit = total
-    else:
-        limit = r.heavy[0] * total / (r.heavy[1] * max(r.workers, partitions))
+    bins, done, scans, heavy_bins = count(df, 64 - step), [], 1, 0
+    total = sum(b.n for b in bins)
+    if not total:
+        return Partitions(0, 0, 0, [], [], [])
+    low, high = min(b.least for b in bins), max(b.most for b in bins)
+    limit = total if r.heavy is None else r.heavy[0] * total / (r.heavy[1] * max(r.workers, partitions))
     while bins:
-        heavy = [b for b in bins if b.n > limit and b.bits]
-        done += [b for b in bins if not (b.n > limit and b.bits)]
-        heavy_bins += len(heavy)
-        bins = []
-        for at in sorted({b.bits for b in heavy}):
-            lows = [b.lo for b in heavy if b.bits == at]
-            rows = df.filter(floor(at).isin(lows)) if len(lows) <= 64 else df.join(F.broadcast(df.sparkSession.createDataFrame([(x,) for x in lows], "heavy_lo long")), floor(at) == F.col("heavy_lo"), "left_semi")
-            bins += count(rows, max(0, at - 8))
+        alike = skip and len(bins) == 1 and not done  # a leading byte that all keys share
+        heavy = [b for b in bins if b.bits and (b.n > limit or alike)]
+        done += [b for b in bins if not (b.bits and (b.n > limit or alike))]
+        heavy_bins += len(heavy) * (not alike)
+        bins, parts = [], {}
+        for b in heavy:  # the next byte, or the first one in which the bin's keys differ
+            below = b.bits - 8
+            if skip:
+                below = min(below, 64 - common_prefix_bits(b.least, b.most) // 8 * 8 - (step if alike else 8))
+            parts.setdefault((b.bits, max(0, below)), []).append(b.lo)
+        for (at, below), lows in sorted(parts.items()):
+            rows = df if alike else df.filter(floor(at).isin(lows)) if len(lows) <= 64 else df.join(F.broadcast(df.sparkSession.createDataFrame([(x,) for x in lows], "heavy_lo long")), floor(at) == F.col("heavy_lo"), "left_semi")
+            bins += count(rows, below)
             scans += 1
+    skipped = common_prefix_bits(low, high) // 8 * 8 if skip else 0
     done.sort(key=lambda b: b.lo)
     plan = Partitions(total, low, skipped, done, [], [], {}, scans, heavy_bins)
     target = -(-total // partitions)
