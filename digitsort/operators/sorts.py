@@ -7,7 +7,6 @@ All return the input's columns; global order is partition order, then row order.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
@@ -21,6 +20,10 @@ from ..session import ship_package, written
 from . import kernels, passes
 
 
+#: Fewer rows aren't worth a task of their own.
+LEAST_ROWS = 2048
+
+
 def _order(columns: list[str], ascending: list[bool], nulls_first: bool) -> list[Column]:
     out = []
     for c, up in zip(columns, ascending, strict=True):
@@ -42,6 +45,7 @@ def adaptive_msd(df: DataFrame, columns: list[str], *, ascending: list[bool] | N
     rules = rules or Rules()
     up = ascending or [True] * len(columns)
     spark = df.sparkSession
+    least_rows = 1 if partitions else LEAST_ROWS
     partitions = partitions or max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     order = _order(columns, up, nulls_first)
     first, second = keys.leading(df, columns[0], up[0], skip)
@@ -57,7 +61,7 @@ def adaptive_msd(df: DataFrame, columns: list[str], *, ascending: list[bool] | N
     counted = keyed.select("_key", *([second] if second else []))
     nullable = df.schema[columns[0]].nullable
     solid = counted.filter("_key IS NOT NULL") if nullable else counted
-    plan = route.plan_partitions(solid, "_key", partitions, second, replace(rules, workers=max(rules.workers, partitions)), skip=skip, sampled=sampled)
+    plan = route.plan_partitions(solid, "_key", partitions, second, rules, skip=skip, sampled=sampled, least_rows=least_rows)
     if stats is not None:
         stats.update(scans=plan.scans, heavy=plan.heavy, partitions=plan.count, max_rows=plan.max_rows, total=plan.total)
     if not plan.first:

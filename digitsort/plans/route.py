@@ -66,11 +66,11 @@ def common_prefix_bits(low: int, high: int) -> int:
     return 64 - ((low ^ high) % _U).bit_length()
 
 
-def plan_partitions(df: DataFrame, key: str, partitions: int, next_col: str | None = None, r: Rules | None = None, skip: bool = True, sampled: bool = False) -> Partitions:
-    """``key``: a column of order keys without nulls; ``next_col``: the next sort column's."""
+def plan_partitions(df: DataFrame, key: str, partitions: int, next_col: str | None = None, r: Rules | None = None, skip: bool = True, sampled: bool = False, least_rows: int = 1) -> Partitions:
+    """``key``: a column of order keys without nulls; ``next_col``: the next sort column's; ``least_rows``: worth a partition."""
     r = r or Rules()
     if sampled:
-        return _sampled(df, key, partitions)
+        return _sampled(df, key, max(1, min(partitions, -(-df.count() // least_rows))))
     step = 16 if 256 < 1.5 * partitions else 8
     floor = lambda b: F.col(key).bitwiseAND(F.lit(-1 << b))
 
@@ -84,7 +84,8 @@ def plan_partitions(df: DataFrame, key: str, partitions: int, next_col: str | No
     if not total:
         return Partitions(0, 0, 0, [], [], [])
     low, high = min(b.least for b in bins), max(b.most for b in bins)
-    limit = total if r.heavy is None else r.heavy[0] * total / (r.heavy[1] * max(r.workers, partitions))
+    partitions = max(1, min(partitions, -(-total // least_rows)))
+    limit = total if r.heavy is None else r.heavy[0] * total / (r.heavy[1] * partitions)
     while bins:
         alike = skip and len(bins) == 1 and not done  # a leading byte that all keys share
         heavy = [b for b in bins if b.bits and (b.n > limit or alike)]
