@@ -59,9 +59,18 @@ def library(path: str) -> Tokenizer:
     return t
 
 
-@lru_cache(maxsize=4)
-def memo(path: str) -> IdMemo:
-    t = library(path)
+_memos: dict[str, IdMemo] = {}
+
+
+def memo(path: str, spec: str | None = None) -> IdMemo:
+    """A process's memo for a tokenizer; ``spec`` is its description, where it isn't to be made from the file here."""
+    if path not in _memos:
+        _memos[path] = _new_memo(Tokenizer.from_str(spec) if spec else library(path))
+    return _memos[path]
+
+
+def _new_memo(t: Tokenizer) -> IdMemo:
+    t.encode_special_tokens = True
     return IdMemo(lambda pieces: [e.ids for e in t.encode_batch_fast(pieces, add_special_tokens=False)])
 
 
@@ -94,22 +103,37 @@ def _spans(chunk, ids: np.ndarray, off: np.ndarray, path: str) -> np.ndarray:
     return np.stack([first - base, last - base], axis=1).astype(np.uint32)
 
 
-def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", with_offsets: bool = False) -> DataFrame:
-    """(id, n_tokens, ids[, offsets]): ids as little-endian unsigned 32-bit integers; offsets as pairs of those."""
-    ship_package(docs.sparkSession)
+def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", with_offsets: bool = False, with_decoded: bool = False) -> DataFrame:
+    """(id, n_tokens, ids[, offsets][, decoded]): ids as little-endian unsigned 32-bit integers; offsets as pairs of those.
+
+    ``with_decoded`` decodes the ids in the same pass: one Python worker for a task instead of two.
+    """
+    spark = docs.sparkSession
+    ship_package(spark)
+    spec = spark.sparkContext.broadcast(None if path.endswith(".json") else tokenizer_json(path))  # as large as the vocabulary
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row, chunk in text_chunks(batch.column(1)):
-                ids, off = memo(path).tokens(chunk)
+                ids, off = memo(path, spec.value).tokens(chunk)
                 columns = [batch.column(0).slice(row, chunk.n), pa.array(np.diff(off)), binary_array(ids.astype("<u4").tobytes(), off * 4)]
                 if with_offsets:
                     columns.append(binary_array(_spans(chunk, ids, off, path).astype("<u4").tobytes(), off * 8))
+                if with_decoded:
+                    columns.append(decoded_bytes(ids, off, path))
                 yield pa.RecordBatch.from_arrays(columns, names)
 
     kind = docs.schema[id_col].dataType.simpleString()
-    names = [id_col, "n_tokens", "ids", *["offsets"] * with_offsets]
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, ids binary" + ", offsets binary" * with_offsets)
+    names = [id_col, "n_tokens", "ids", *["offsets"] * with_offsets, *["decoded"] * with_decoded]
+    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, ids binary" + ", offsets binary" * with_offsets + ", decoded binary" * with_decoded)
+
+
+def decoded_bytes(ids: np.ndarray, off: np.ndarray, path: str) -> pa.Array:
+    """Bytes of each id list ids[off[k] : off[k + 1]]."""
+    table, tok = token_bytes(path)
+    n = np.diff(tok)[ids]
+    ends = np.concatenate([[0], np.cumsum(n)])
+    return binary_array(table[ranges(tok[ids], n)].tobytes(), ends[off])
 
 
 def decode(encoded: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), ids_col: str = "ids") -> DataFrame:
@@ -117,16 +141,11 @@ def decode(encoded: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), i
     ship_package(encoded.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, tok = token_bytes(path)
-        size = np.diff(tok)
         for batch in batches:
             column, row = batch.column(batch.num_columns - 1), 0
             while row < batch.num_rows:  # bounded parts of the batch
                 flat, off = binary_flat(column.slice(row, 512))
-                ids = flat.view("<u4")
-                n = size[ids]
-                ends = np.concatenate([[0], np.cumsum(n)])
-                out = binary_array(table[ranges(tok[ids], n)].tobytes(), ends[off // 4])
+                out = decoded_bytes(flat.view("<u4"), off // 4, path)
                 yield pa.RecordBatch.from_arrays([*(c.slice(row, 512) for c in batch.columns[:-1]), out], [*keep, "decoded"])
                 row += 512
 

@@ -49,9 +49,8 @@ SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM met WHERE
 
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
-    encoded = byte_bpe.encode(table(spark, sf_dir, "documents"), path)
-    both = byte_bpe.decode(encoded.withColumn("ids_sha256", F.sha2("ids", 256)), path, keep=("doc_id", "n_tokens", "ids_sha256"))
-    return both.select("doc_id", "n_tokens", "ids_sha256", F.sha2("decoded", 256).alias("decoded_sha256"))
+    both = byte_bpe.encode(table(spark, sf_dir, "documents"), path, with_decoded=True)
+    return both.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
 def op5_bagminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
