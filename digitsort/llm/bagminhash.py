@@ -159,12 +159,35 @@ def _signed(docs: DataFrame, p: Params, id_col: str, text_col: str) -> DataFrame
     return docs.select(id_col, text_col).mapInArrow(run, f"id {kind}, node binary, n long, bands array<long>, sketch binary")
 
 
-def _multisets(docs: DataFrame, p: Params) -> DataFrame:
-    """(node, n, shingles, counts) of each text of column ``text``."""
+#: Cells of the filter that spares most texts; when more ids are wanted than cells, it spares none and changes no result.
+FILTER_BITS = 20
+
+
+def _cells(wanted: DataFrame, tasks: int = 16) -> np.ndarray:
+    """Which cells the wanted hashes fall in: 2^FILTER_BITS bits, from as many bit maps as tasks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen = np.zeros(1 << FILTER_BITS, bool)
+        for batch in batches:
+            seen[batch.column(0).to_numpy() & ((1 << FILTER_BITS) - 1)] = True
+        yield pa.RecordBatch.from_arrays([pa.array([np.packbits(seen).tobytes()], pa.binary())], ["cells"])
+
+    out = np.zeros(1 << FILTER_BITS, bool)
+    for r in wanted.coalesce(tasks).mapInArrow(run, "cells binary").collect():
+        out |= np.unpackbits(np.frombuffer(r["cells"], np.uint8)).astype(bool)
+    return out
+
+
+def _multisets(docs: DataFrame, wanted: DataFrame, p: Params) -> DataFrame:
+    """(node, n, shingles, counts) of the texts in (h, text) whose hash shares a cell with a wanted one."""
+    spark = docs.sparkSession
+    shared = spark.sparkContext.broadcast(np.packbits(_cells(wanted)))  # 2^FILTER_BITS bits
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cells = np.unpackbits(shared.value).astype(bool)
         for batch in batches:
-            for _, chunk in text_chunks(batch.column(0)):
+            near = cells[batch.column(0).to_numpy() & ((1 << FILTER_BITS) - 1)]
+            for _, chunk in text_chunks(batch.column(1).filter(pa.array(near))):
                 doc, shingle, count = shingles(chunk, p)
                 off = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=chunk.n))])
                 node = binary_array(fingerprints(chunk.n, doc, shingle, count).tobytes(), np.arange(chunk.n + 1) * 16)
@@ -332,9 +355,9 @@ def near_duplicates(docs: DataFrame, p: Params | None = None, id_col: str = "doc
     needed = _brief(members.select("node").distinct(), "needed")
 
     hashed = lambda c: F.xxhash64(F.coalesce(c.cast("string"), F.lit("")))  # noqa: E731  null ids meet, too
-    wanted = nodes.join(needed, "node", "left_semi").select(hashed(F.col("id")).alias("_h")).distinct()
-    texts = docs.select(hashed(F.col(id_col)).alias("_h"), F.col(text_col).alias("text")).join(wanted, "_h", "left_semi").select("text")
-    sets = _multisets(texts, p).join(needed, "node", "left_semi")
+    wanted = nodes.join(needed, "node", "left_semi").select(hashed(F.col("id")).alias("h"))
+    texts = docs.select(hashed(F.col(id_col)).alias("h"), F.col(text_col).alias("text"))
+    sets = _multisets(texts, wanted, p).join(needed, "node", "left_semi")
     sets = written(sets.dropDuplicates(["node"]), "multisets")
 
     pairs = members.filter(F.col("node") != F.col("leader")).select(F.col("node").alias("a"), F.col("leader").alias("b")).distinct()
