@@ -118,7 +118,7 @@ def signatures(n: int, doc: np.ndarray, shingle: np.ndarray, count: np.ndarray,
         k = np.arange(step + 1, step + several + 1, dtype=np.uint64)
         x = mix64(seed[:, None] + k * _GOLDEN)
         gap = -np.log(((x >> np.uint64(32)).astype(np.float64) + 0.5) * 2.0**-32) / (slots * width)[:, None]
-        times = time[:, None] + np.cumsum(gap, axis=1)
+        times = np.cumsum(np.concatenate([time[:, None], gap], axis=1), axis=1)[:, 1:]  # point by point: the same bits however points are grouped
         place = ((x & np.uint64(0xFFFFFFFF)) * np.uint64(slots) >> np.uint64(32)).astype(np.int64) + (owner * slots)[:, None]
         wide = width > 1
         if wide.any():

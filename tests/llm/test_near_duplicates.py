@@ -106,6 +106,21 @@ def test_signatures_estimate_weighted_jaccard():
     assert abs((sig[0] == sig[1]).mean() - true) < 5 * (true * (1 - true) / slots) ** 0.5
 
 
+def test_signatures_do_not_depend_on_the_chunk():
+    """A text's signature has the same bits alone, among few texts and among many."""
+    rng, p = random.Random(5), bm.Params()
+    texts = [" ".join(words(rng, rng.randrange(5, 400))) for _ in range(800)] + [" ".join(words(rng, 12) * rng.randrange(2, 40)) for _ in range(50)]
+
+    def signed(some):
+        (_, c), = text_chunks(pa.array(some))
+        return bm.signatures(c.n, *bm.shingles(c, p), p.slots).view(np.uint64)
+
+    among = signed(texts)
+    for k in (*range(0, 800, 40), *range(800, 850, 5)):
+        assert (signed([texts[k]])[0] == among[k]).all()
+        assert (signed(texts[k - 5 : k + 1])[-1] == among[k]).all() if k >= 5 else True
+
+
 def test_shingles_follow_the_definition():
     texts = ["A b c d e f", "one two", "", None, "x " * 12]
     (_, c), = text_chunks(pa.array(texts))
