@@ -66,8 +66,21 @@ def _batch(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.string(), pa.int64()), strict=True)], ["bin", "kmer", "n"])
 
 
+def _code(text: Column) -> Column:
+    """Two bits a character: its code point's class of four, so that a, b, c, d, e are 0, 1, 2, 3, 0 in either case."""
+    return F.aggregate(F.split(text, ""), F.lit(0).cast("long"), lambda a, c: F.shiftleft(a, 2).bitwiseOR(F.pmod(F.ascii(c) + 3, F.lit(4)).cast("long")))
+
+
+def _refused(kmer: Column, most: int, code: Column) -> Column:
+    return F.when(F.length(kmer) > most, F.raise_error(F.lit(f"more than {most} characters"))).when(F.length(kmer) > 0, code)
+
+
 def pack(kmer: Column) -> Column:
-    """Two bits a letter (letters folded to four classes): up to 31 letters in a long; null where another sign stands."""
-    low = F.lower(kmer)
-    code = F.translate(low, "abcdefghijklmnopqrstuvwxyz", "01230123012301230123012301")
-    return F.when(low.rlike("^[a-z]+$"), F.conv(code, 4, 10).cast("long"))
+    """Every character in two bits: up to 31 in a long; longer ones are refused; null where there's none."""
+    return _refused(kmer, 31, _code(kmer))
+
+
+def pack_wide(kmer: Column) -> Column:
+    """(high, low): up to 64 characters in two longs of 32, as their 64 bits; longer ones are refused."""
+    low = F.substring(kmer, 33, 32)
+    return _refused(kmer, 64, F.struct(_code(F.substring(kmer, 1, 32)).alias("high"), F.when(F.length(low) > 0, _code(low)).otherwise(F.lit(0).cast("long")).alias("low")))

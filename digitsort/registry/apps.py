@@ -40,9 +40,19 @@ def kmer_spectrum(spark: SparkSession, d: str) -> DataFrame:
     return _counted(spark, d).groupBy("n").agg(F.count("*").alias("kmers"))
 
 
+def _packed(codes: DataFrame) -> DataFrame:
+    return codes.groupBy(F.shiftright("code", 24).alias("top")).agg(F.count("*").alias("n"), F.count_distinct("code").alias("codes"), F.min("code").alias("low"), F.max("code").alias("high"))
+
+
 def kmer_packed(spark: SparkSession, d: str) -> DataFrame:
-    packed = wl.kmers(spark, d).select(kmers.pack(F.col("kmer")).alias("code")).filter("code IS NOT NULL")
-    return packed.groupBy(F.shiftright("code", 24).alias("top")).agg(F.count("*").alias("n"), F.count_distinct("code").alias("codes"), F.min("code").alias("low"), F.max("code").alias("high"))
+    """The workload of its SQL: only k-mers of nothing but letters, few in prose; kmer_packed_all packs all."""
+    low = wl.kmers(spark, d).select(F.lower("kmer").alias("kmer")).filter(F.col("kmer").rlike("^[a-z]+$"))
+    return _packed(low.select(kmers.pack(F.col("kmer")).alias("code")))
+
+
+def kmer_packed_all(spark: SparkSession, d: str) -> DataFrame:
+    """All k-mers, blanks, digits, signs and other scripts included."""
+    return _packed(wl.kmers(spark, d).select(kmers.pack(F.col("kmer")).alias("code")))
 
 
 def suffix_array(spark: SparkSession, d: str) -> DataFrame:
@@ -68,7 +78,7 @@ def pattern_probes(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-QUERIES = {f.__name__: f for f in (wl_kmers, kmer_count, kmer_count_plain, kmer_stage1_files, kmer_distinct, kmer_spectrum, kmer_packed, suffix_array, pattern_probes)} | {
+QUERIES = {f.__name__: f for f in (wl_kmers, kmer_count, kmer_count_plain, kmer_stage1_files, kmer_distinct, kmer_spectrum, kmer_packed, kmer_packed_all, suffix_array, pattern_probes)} | {
     "pattern_naive": _search("naive"),
     "pattern_sorted": _search("sorted"),
     "pattern_prefix_sorted": _search("sorted", 6),
@@ -88,6 +98,7 @@ SQL = {
     "kmer_distinct": f"SELECT count(DISTINCT kmer) AS kmers, count(*) AS rows FROM {_K}",
     "kmer_spectrum": f"SELECT n, count(*) AS kmers FROM (SELECT kmer, count(*) AS n FROM {_K} GROUP BY 1) GROUP BY 1",
     "kmer_packed": f"SELECT code >> 24 AS top, count(*) AS n, count(DISTINCT code) AS codes, min(code) AS low, max(code) AS high FROM (SELECT list_reduce(list_prepend(0::BIGINT, list_transform(string_split(translate(lower(kmer), 'abcdefghijklmnopqrstuvwxyz', '01230123012301230123012301'), ''), lambda x: x::BIGINT)), lambda a, x: a * 4 + x) AS code FROM {_K} WHERE regexp_full_match(lower(kmer), '[a-z]+')) GROUP BY 1",
+    "kmer_packed_all": f"SELECT code >> 24 AS top, count(*) AS n, count(DISTINCT code) AS codes, min(code) AS low, max(code) AS high FROM (SELECT list_reduce(list_prepend(0::BIGINT, list_transform(range(1, 17), lambda i: ((unicode(substr(kmer, i, 1)) + 3) % 4)::BIGINT)), lambda a, x: a * 4 + x) AS code FROM {_K}) GROUP BY 1",
     "suffix_array": "SELECT doc_id, count(*) AS suffixes, min(rk) AS low, max(rk) AS high, sum(rk)::BIGINT AS sum_rank, sum((rk % 1009) * (place % 1013))::BIGINT AS mixed FROM (SELECT doc_id, place, row_number() OVER (ORDER BY prefix, doc_id, place) - 1 AS rk FROM (SELECT doc_id, place, substr(text, place + 1, 32) AS prefix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS place FROM documents))) GROUP BY 1",
     "pattern_naive": _PATTERN,
     "pattern_sorted": _PATTERN,

@@ -72,3 +72,23 @@ def test_pattern_searches_agree():
     head, _ = patterns.search_sorted(keys, wanted, 2)
     assert one == many == head == truth
     assert fewer < probes
+
+
+def test_every_kmer_is_packed(spark):
+    from digitsort.operators import kmers
+
+    code = lambda t: int("".join(str((ord(c) + 3) % 4) for c in t), 4)
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    texts = ["abcdABCD", "a b, 12.", "日本語 é\n😀", "d" * 31]
+    df = spark.createDataFrame([(t,) for t in texts], "kmer string")
+    assert [r[0] for r in df.select(kmers.pack(df.kmer)).collect()] == [code(t) for t in texts]
+    wide = ["d c" * 21 + "é", "d" * 64, "ab" * 16, "x y" * 11]
+    df = spark.createDataFrame([(t,) for t in wide], "kmer string")
+    assert [tuple(r[0]) for r in df.select(kmers.pack_wide(df.kmer)).collect()] == [(signed(code(t[:32])), signed(code(t[32:] or "a"))) for t in wide]
+    with pytest.raises(Exception, match="more than 31"):
+        df.select(kmers.pack(df.kmer)).collect()
+
+
+@pytest.mark.parametrize("name", ["kmer_packed", "kmer_packed_all"])
+def test_packed_against_duckdb(spark, sf, duck, name):
+    assert rows(registry.all_queries()[name](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()[name]).df())
