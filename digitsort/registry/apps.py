@@ -56,7 +56,15 @@ def kmer_packed_all(spark: SparkSession, d: str) -> DataFrame:
 
 
 def suffix_array(spark: SparkSession, d: str) -> DataFrame:
-    ranked = patterns.suffix_array(table(spark, d, "documents"))
+    """As its SQL: suffixes in order of their first 32 characters; suffix_array_whole orders by all of them."""
+    return _by_document(patterns.suffix_array(table(spark, d, "documents")))
+
+
+def suffix_array_whole(spark: SparkSession, d: str) -> DataFrame:
+    return _by_document(patterns.whole_suffix_array(table(spark, d, "documents")))
+
+
+def _by_document(ranked: DataFrame) -> DataFrame:
     return ranked.groupBy("doc_id").agg(F.count("*").alias("suffixes"), F.min("rank").alias("low"), F.max("rank").alias("high"), F.sum("rank").alias("sum_rank"), F.sum(F.col("rank") % 1009 * (F.col("at") % 1013)).alias("mixed"))
 
 
@@ -78,7 +86,7 @@ def pattern_probes(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-QUERIES = {f.__name__: f for f in (wl_kmers, kmer_count, kmer_count_plain, kmer_stage1_files, kmer_distinct, kmer_spectrum, kmer_packed, kmer_packed_all, suffix_array, pattern_probes)} | {
+QUERIES = {f.__name__: f for f in (wl_kmers, kmer_count, kmer_count_plain, kmer_stage1_files, kmer_distinct, kmer_spectrum, kmer_packed, kmer_packed_all, suffix_array, suffix_array_whole, pattern_probes)} | {
     "pattern_naive": _search("naive"),
     "pattern_sorted": _search("sorted"),
     "pattern_prefix_sorted": _search("sorted", 6),
@@ -100,6 +108,7 @@ SQL = {
     "kmer_packed": f"SELECT code >> 24 AS top, count(*) AS n, count(DISTINCT code) AS codes, min(code) AS low, max(code) AS high FROM (SELECT list_reduce(list_prepend(0::BIGINT, list_transform(string_split(translate(lower(kmer), 'abcdefghijklmnopqrstuvwxyz', '01230123012301230123012301'), ''), lambda x: x::BIGINT)), lambda a, x: a * 4 + x) AS code FROM {_K} WHERE regexp_full_match(lower(kmer), '[a-z]+')) GROUP BY 1",
     "kmer_packed_all": f"SELECT code >> 24 AS top, count(*) AS n, count(DISTINCT code) AS codes, min(code) AS low, max(code) AS high FROM (SELECT list_reduce(list_prepend(0::BIGINT, list_transform(range(1, 17), lambda i: ((unicode(substr(kmer, i, 1)) + 3) % 4)::BIGINT)), lambda a, x: a * 4 + x) AS code FROM {_K}) GROUP BY 1",
     "suffix_array": "SELECT doc_id, count(*) AS suffixes, min(rk) AS low, max(rk) AS high, sum(rk)::BIGINT AS sum_rank, sum((rk % 1009) * (place % 1013))::BIGINT AS mixed FROM (SELECT doc_id, place, row_number() OVER (ORDER BY prefix, doc_id, place) - 1 AS rk FROM (SELECT doc_id, place, substr(text, place + 1, 32) AS prefix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS place FROM documents))) GROUP BY 1",
+    "suffix_array_whole": "SELECT doc_id, count(*) AS suffixes, min(rk) AS low, max(rk) AS high, sum(rk)::BIGINT AS sum_rank, sum((rk % 1009) * (place % 1013))::BIGINT AS mixed FROM (SELECT doc_id, place, row_number() OVER (ORDER BY suffix, doc_id, place) - 1 AS rk FROM (SELECT doc_id, place, substr(text, place + 1) AS suffix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS place FROM documents))) GROUP BY 1",
     "pattern_naive": _PATTERN,
     "pattern_sorted": _PATTERN,
     "pattern_prefix_sorted": _PATTERN,

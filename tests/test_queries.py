@@ -92,3 +92,15 @@ def test_every_kmer_is_packed(spark):
 @pytest.mark.parametrize("name", ["kmer_packed", "kmer_packed_all"])
 def test_packed_against_duckdb(spark, sf, duck, name):
     assert rows(registry.all_queries()[name](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()[name]).df())
+
+
+def test_suffixes_are_ordered_by_their_whole_text(spark):
+    from digitsort.operators import patterns
+
+    texts = ["ab" * 40, "x" + "ab" * 40 + "a", "zé" * 5, "", "ab" * 40]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    want = sorted((t[i:].encode(), d, i) for d, t in enumerate(texts) for i in range(len(t)))
+    got = {(r["doc_id"], r["at"]): r["rank"] for r in patterns.whole_suffix_array(docs, 4).collect()}
+    assert got == {(d, i): k for k, (_, d, i) in enumerate(want)}
+    cut = {(r["doc_id"], r["at"]): r["rank"] for r in patterns.suffix_array(docs, 4).collect()}
+    assert cut != got  # the prefix alone does not order them
