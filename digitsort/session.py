@@ -1,8 +1,8 @@
 """Session helpers: shipping this package to executors and shared scratch tables.
 
 Nothing here changes a setting of the session.  Scratch tables live under the
-folder that ``spark.checkpoint.dir`` names; only where that is unset (tests,
-laptops) a folder under ``/tmp/checkpoints`` is used.
+folder that ``spark.checkpoint.dir`` names; where that is unset, under the warehouse
+folder, which a cluster shares, or for a local master under ``/tmp/checkpoints``.
 """
 
 from __future__ import annotations
@@ -38,7 +38,8 @@ def scratch_dir(spark: SparkSession) -> str:
     """A folder of this application that driver and executors share."""
     app = spark.sparkContext.applicationId
     if app not in _scratch:
-        root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or f"/tmp/checkpoints/{app}"
+        local = spark.sparkContext.master.split("[")[0] == "local"
+        root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or (f"/tmp/checkpoints/{app}" if local else spark.conf.get("spark.sql.warehouse.dir"))
         _scratch[app] = f"{root.rstrip('/')}/digitsort-{uuid.uuid4().hex[:12]}"
         atexit.register(_remove, spark, _scratch[app])
     return _scratch[app]
@@ -62,7 +63,16 @@ def written(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
     spark = df.sparkSession
     path = f"{scratch_dir(spark)}/{name}-{uuid.uuid4().hex[:8]}"
     df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    scan = spark.read.schema(df.schema).parquet(path)
+    scan._scratch = path
+    return scan
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete scratch tables that nothing unfinished reads any more; other frames are left alone."""
+    for df in tables:
+        if path := df.__dict__.pop("_scratch", None):
+            _remove(df.sparkSession, path)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
