@@ -8,12 +8,18 @@ whose points carry a time, a place and a level within the interval, and count
 where the level is below c.  Two places agree with the probability of the
 multisets' weighted Jaccard similarity.
 
-Texts of equal multisets become one node.  Nodes that agree in a band share a
-bucket.  Verification is exact, on whole multisets: first each member of a bucket
-against the bucket's least node, then, in buckets that hold more than one
-component, those members against all others inside blocks.  Signatures screen the
-first kind of pairs (``screen`` lies 4 standard errors below the threshold).  Links' connected
-components are the classes.
+Texts of equal multisets (by 128 bits) become one node, which gets a number.
+Nodes that agree in a band share a bucket.  Verification compares whole multisets
+of shingles, each known by 54 bits: first each member of a bucket against the
+bucket's least node, then, in buckets that hold more than one component, those
+members against all others inside blocks.  No pair of a bucket is left out but
+those whose sizes alone rule the similarity out.  Links' connected components are
+the classes.
+
+Between the steps only ids, numbers and bands move.  Texts are shuffled where a
+comparison needs them: a filter of the wanted rows' hashes, sized by their number
+up to 2^``filter_bits`` bits, spares all others; beyond that it spares fewer, at
+last none, and no result changes.
 
 Defined results: a null or empty text, or one without letters and digits, is a
 class of its own under its id; a null id's class is its group's least id, or null
@@ -26,14 +32,15 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..session import ship_package, written
+from ..session import release, ship_package, written
 from .ngrams import lower_table
 from .pretokens import LETTER, NUMBER, class_table
-from .textbatch import TextChunk, binary_array, binary_flat, mix64, ranges, span_hashes, text_chunks
+from .textbatch import TextChunk, binary_array, mix64, ranges, span_hashes, text_chunks
 
 _ID_BITS = np.uint64(54)  # of a shingle, beside 10 bits for the text's place in its chunk
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
@@ -45,8 +52,9 @@ class Params:
     similarity: float = 0.8
     bands: int = 24
     rows: int = 5
-    screen: float = 0.65
-    block: int = 128
+    block: int = 128  # texts of a block
+    block_shingles: int = 100_000  # and their shingles; one longer text is a block of its own
+    filter_bits: int = 26
 
     @property
     def slots(self) -> int:
@@ -136,11 +144,11 @@ def signatures(n: int, doc: np.ndarray, shingle: np.ndarray, count: np.ndarray,
 
 
 def _signed(docs: DataFrame, p: Params, id_col: str, text_col: str) -> DataFrame:
-    """(id, node, n, bands, sketch): node null without shingles."""
+    """(id, h, node, n, bands): h a hash of the text; node null without shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row, chunk in text_chunks(batch.column(1)):
+            for row, chunk in text_chunks(batch.column(2)):
                 doc, shingle, count = shingles(chunk, p)
                 n = np.bincount(doc, count, chunk.n).astype(np.int64)
                 print_ = fingerprints(chunk.n, doc, shingle, count)
@@ -151,52 +159,59 @@ def _signed(docs: DataFrame, p: Params, id_col: str, text_col: str) -> DataFrame
                 band = mix64(band + np.arange(p.bands, dtype=np.uint64))
                 has = n > 0
                 node = pa.array([x if ok else None for x, ok in zip(binary_array(print_.tobytes(), np.arange(chunk.n + 1) * 16).to_pylist(), has.tolist(), strict=True)], pa.binary())
-                sketch = (mix64(sig) & np.uint64(0xFFFF)).astype("<u2")
                 bands = pa.ListArray.from_arrays(pa.array(np.arange(chunk.n + 1) * p.bands, pa.int32()), pa.array(band.view(np.int64).ravel()))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, chunk.n), node, pa.array(n), bands, binary_array(sketch.tobytes(), np.arange(chunk.n + 1) * 2 * p.slots)], ["id", "node", "n", "bands", "sketch"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, chunk.n), batch.column(1).slice(row, chunk.n), node, pa.array(n), bands], ["id", "h", "node", "n", "bands"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"id {kind}, node binary, n long, bands array<long>, sketch binary")
+    return docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("h"), F.col(text_col).alias("text")).mapInArrow(run, f"id {kind}, h long, node binary, n long, bands array<long>")
 
 
-#: Cells of the filter that spares most texts; when more ids are wanted than cells, it spares none and changes no result.
-FILTER_BITS = 20
+def _key(id_: Column) -> Column:
+    """An id as a string that isn't null, so that null ids meet, too."""
+    return F.coalesce(F.concat(F.lit("="), id_.cast("string")), F.lit(""))
 
 
-def _cells(wanted: DataFrame, tasks: int = 16) -> np.ndarray:
-    """Which cells the wanted hashes fall in: 2^FILTER_BITS bits, from as many bit maps as tasks."""
+def _among(hashes: DataFrame, p: Params):
+    """A test of a hash column: false only for those that aren't in ``hashes``, a frame of one long column.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = np.zeros(1 << FILTER_BITS, bool)
-        for batch in batches:
-            seen[batch.column(0).to_numpy() & ((1 << FILTER_BITS) - 1)] = True
-        yield pa.RecordBatch.from_arrays([pa.array([np.packbits(seen).tobytes()], pa.binary())], ["cells"])
-
-    out = np.zeros(1 << FILTER_BITS, bool)
-    for r in wanted.coalesce(tasks).mapInArrow(run, "cells binary").collect():
-        out |= np.unpackbits(np.frombuffer(r["cells"], np.uint8)).astype(bool)
+    A bit map of 16 bits for each wanted hash, up to 2^filter_bits bits: that
+    bounds what the driver gathers and what is broadcast.
+    """
+    spark, name = hashes.sparkSession, hashes.columns[0]
+    bits = max(12, min(p.filter_bits, (16 * hashes.count()).bit_length()))
+    words = hashes.groupBy(F.col(name).bitwiseAND(F.lit((1 << bits - 6) - 1)).alias("word")).agg(F.expr(f"bit_or(shiftleft(1L, cast(shiftrightunsigned({name}, 40) & 63L as int)))").alias("bits")).toArrow()
+    held = np.zeros(1 << bits - 6, np.uint64)
+    held[words.column("word").to_numpy()] = words.column("bits").to_numpy().view(np.uint64)
+    shared = spark.sparkContext.broadcast(held)
+
+    @F.pandas_udf("boolean")
+    def test(h: pd.Series) -> pd.Series:
+        x = h.to_numpy().view(np.uint64)
+        held = shared.value
+        return pd.Series((held[(x & np.uint64(len(held) - 1)).astype(np.int64)] >> (x >> np.uint64(40) & np.uint64(63)) & np.uint64(1)).astype(bool))
+
+    return test
+
+
+def _texts(docs: DataFrame, needed: DataFrame, p: Params, id_col: str, text_col: str) -> DataFrame:
+    """(number, text) of the nodes in ``needed`` (number, k, h): one text of each."""
+    row_hash = lambda: F.xxhash64("k", "h")
+    test = _among(needed.select(row_hash().alias("x")), p)
+    rows = docs.select(_key(F.col(id_col)).alias("k"), F.xxhash64(text_col).alias("h"), F.col(text_col).alias("text")).filter(test(row_hash()))
+    # repeated rows are combined before they move
+    return rows.groupBy("k", "h").agg(F.first("text").alias("text")).join(needed, ["k", "h"]).select("number", "text")
+
+
+def _multisets(column: pa.Array, p: Params) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(shingles, counts) of each text."""
+    out = []
+    for _, chunk in text_chunks(column):
+        doc, shingle, count = shingles(chunk, p)
+        cut = np.searchsorted(doc, np.arange(chunk.n + 1))
+        out += [(shingle[a:b], count[a:b]) for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)]
     return out
 
 
-def _multisets(docs: DataFrame, wanted: DataFrame, p: Params) -> DataFrame:
-    """(node, n, shingles, counts) of the texts in (h, text) whose hash shares a cell with a wanted one."""
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(np.packbits(_cells(wanted)))  # 2^FILTER_BITS bits
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells = np.unpackbits(shared.value).astype(bool)
-        for batch in batches:
-            near = cells[batch.column(0).to_numpy() & ((1 << FILTER_BITS) - 1)]
-            for _, chunk in text_chunks(batch.column(1).filter(pa.array(near))):
-                doc, shingle, count = shingles(chunk, p)
-                off = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=chunk.n))])
-                node = binary_array(fingerprints(chunk.n, doc, shingle, count).tobytes(), np.arange(chunk.n + 1) * 16)
-                n = pa.array(np.bincount(doc, count, chunk.n).astype(np.int64))
-                yield pa.RecordBatch.from_arrays([node, n, binary_array(shingle.astype("<u8").tobytes(), off * 8), binary_array(count.astype("<u4").tobytes(), off * 4)], ["node", "n", "shingles", "counts"])
-
-    return docs.mapInArrow(run, "node binary, n long, shingles binary, counts binary")
-
-
 def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
     """Weighted Jaccard similarity of two multisets: sorted shingles and their counts."""
     _, i, j = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
@@ -205,28 +220,19 @@ def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray
     return common / total if total else 0.0
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, nodes: DataFrame, p: Params) -> DataFrame:
+def _verified(pairs: DataFrame, texts: DataFrame, p: Params) -> DataFrame:
     """The pairs (a, b) of nodes whose multisets are similar enough."""
 
-    def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            a, b = (np.frombuffer(b"".join(batch.column(k).to_pylist()), "<u2").reshape(batch.num_rows, p.slots) for k in (2, 3))
-            yield batch.filter(pa.array((a == b).mean(axis=1) >= p.screen)).select([0, 1])
-
-    brief = lambda x: nodes.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("sketch").alias(f"s_{x}"))
-    close = pairs.join(brief("a"), "a").join(brief("b"), "b").filter(F.least("n_a", "n_b") >= F.lit(p.similarity) * F.greatest("n_a", "n_b"))
-    close = written(close.select("a", "b", "s_a", "s_b").mapInArrow(near, "a binary, b binary"), "near-pairs")
-
     def exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = batch.to_pydict()
-            get = lambda s, c: (np.frombuffer(s, "<u8"), np.frombuffer(c, "<u4"))
-            keep = [similarity(get(*x), get(*y)) >= p.similarity for *_, x, y in zip(rows["a"], zip(rows["x"], rows["xc"], strict=True), zip(rows["y"], rows["yc"], strict=True), strict=True)]
+            _, first, back = np.unique(batch.column(1).to_numpy(), return_index=True, return_inverse=True)
+            x, y = _multisets(batch.column(2), p), _multisets(batch.column(3).take(pa.array(first)), p)
+            keep = [similarity(x[k], y[j]) >= p.similarity for k, j in enumerate(back.tolist())]
             yield batch.filter(pa.array(keep, pa.bool_())).select([0, 1])
 
-    left = close.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("x"), F.col("counts").alias("xc")), "a")
-    both = left.join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("y"), F.col("counts").alias("yc")), "b")
-    return both.select("a", "b", "x", "xc", "y", "yc").mapInArrow(exact, "a binary, b binary")
+    left = pairs.join(texts.select(F.col("number").alias("a"), F.col("text").alias("x")), "a")
+    both = left.join(texts.select(F.col("number").alias("b"), F.col("text").alias("y")), "b")
+    return both.select("a", "b", "x", "y").mapInArrow(exact, "a long, b long")
 
 
 def _brief(df: DataFrame, name: str) -> DataFrame:
@@ -235,22 +241,25 @@ def _brief(df: DataFrame, name: str) -> DataFrame:
 
 
 def components(links: DataFrame) -> DataFrame:
-    """(node, label) of nodes with links (a, b); the label is a component's least node.
+    """(node, label) of numbered nodes with links (a, b); the label is a component's least node.
 
     Each round takes the least label of all neighbours, then follows labels once
     (so that paths shrink by half); tables are written between rounds.
     """
     edges = _brief(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
     labels = _brief(edges.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")), "labels")
+    held = labels
     while True:
-        seen = edges.join(labels.withColumnRenamed("node", "b"), "b").select(F.col("a").alias("node"), "label", F.lit(None).cast("binary").alias("was"))
+        seen = edges.join(labels.withColumnRenamed("node", "b"), "b").select(F.col("a").alias("node"), "label", F.lit(None).cast("long").alias("was"))
         own = labels.select("node", "label", F.col("label").alias("was"))
         lower = _brief(seen.unionAll(own).groupBy("node").agg(F.min("label").alias("near"), F.max("was").alias("was")), "labels")
         on = lower.select(F.col("node").alias("near"), F.col("near").alias("label"))
         moved = _brief(lower.join(on, "near").select("node", F.least("label", "near").alias("label"), "was"), "labels")
-        labels = moved.select("node", "label")
+        release(held, lower)
+        labels, held = moved.select("node", "label"), moved
         if moved.filter(F.col("label") != F.col("was")).isEmpty():
-            return labels
+            release(edges)
+            return moved.drop("was")
 
 
 def _joined(links: DataFrame, labels: DataFrame) -> DataFrame:
@@ -260,41 +269,44 @@ def _joined(links: DataFrame, labels: DataFrame) -> DataFrame:
     return components(named.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
 
 
-def _block_links(members: DataFrame, labels: DataFrame, sets: DataFrame, p: Params) -> DataFrame:
+def _block_links(members: DataFrame, labels: DataFrame, texts: DataFrame, p: Params) -> DataFrame:
     """Links (a, b) between nodes of one bucket that are still in different components.
 
     Members outside of the least node's component meet all members, block by
     block, and are verified there: a block pair gives at most the links that join
     its components, so neither rows nor shuffles grow with a group's square.
     """
-    named = members.filter("size > 2").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    named = members.filter("size > 2").join(labels.withColumnRenamed("node", "number"), "number", "left").withColumn("label", F.coalesce("label", "number"))
     heads = labels.select(F.col("node").alias("leader"), F.col("label").alias("head"))
-    named = _brief(named.join(heads, "leader", "left").select("bucket", "size", "node", "leader", "label", (F.col("label") != F.coalesce("head", "leader")).alias("apart")), "bucket-members")
-    open_ = _brief(named.filter("apart").groupBy("bucket").agg(F.count("*").alias("apart_n")), "open-buckets")
-    rest = named.filter(F.col("node") != F.col("leader"))  # those were compared with the others before
-    full = rest.join(open_, "bucket").join(sets.select("node", "n", "shingles", "counts"), "node")
-    blocked = lambda rows, n, name: rows.withColumn("k", F.pmod(F.xxhash64("node"), F.ceil(n / p.block))).groupBy("bucket", "k").agg(F.collect_list(F.struct("node", "label", "apart", "n", "shingles", "counts")).alias(name)).drop("k")
-    one = blocked(full.filter("apart"), F.col("apart_n"), "x")
-    all_ = blocked(full, F.col("size"), "y")
+    named = _brief(named.join(heads, "leader", "left").select("bucket", "number", "n", "leader", "label", (F.col("label") != F.coalesce("head", "leader")).alias("apart")), "bucket-members")
+    blocks = lambda n, shingles: F.ceil(F.greatest(n / p.block, shingles / p.block_shingles))
+    sums = [F.count_if("apart").alias("x_n"), F.sum(F.when(F.col("apart"), F.col("n"))).alias("x_sum"), F.count("*").alias("y_n"), F.sum("n").alias("y_sum")]
+    open_ = named.groupBy("bucket").agg(*sums).filter("x_n > 0").select("bucket", blocks(F.col("x_n"), F.col("x_sum")).alias("x_blocks"), blocks(F.col("y_n"), F.col("y_sum")).alias("y_blocks"))
+    rest = _brief(named.filter("number <> leader").join(open_, "bucket"), "open-buckets")  # the leaders were compared with the others before
+    full = rest.join(texts, "number")
+    blocked = lambda rows, name: rows.withColumn("k", F.pmod(F.xxhash64("number"), F.col(f"{name}_blocks"))).groupBy("bucket", "k").agg(F.collect_list(F.struct("number", "label", "text")).alias(name)).drop("k")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for x, y in zip(*batch.columns, strict=True):
-                if found := _links_between(_Block(x.values), _Block(y.values), p.similarity):
-                    yield pa.RecordBatch.from_arrays([pa.array([f[c] for f in found], pa.binary()) for c in (0, 1)], ["a", "b"])
+                if found := _links_between(_Block(x.values, p), _Block(y.values, p), p.similarity):
+                    yield pa.RecordBatch.from_arrays([pa.array([f[c] for f in found], pa.int64()) for c in (0, 1)], ["a", "b"])
 
-    return one.join(all_, "bucket").select("x", "y").mapInArrow(compare, "a binary, b binary")
+    links = blocked(full.filter("apart"), "x").join(blocked(full, "y"), "bucket").select("x", "y").mapInArrow(compare, "a long, b long")
+    links = written(links, "links")
+    release(named, rest)
+    return links
 
 
 class _Block:
     """Some nodes' multisets as sets: the k-th of equal shingles is an element of its own."""
 
-    def __init__(self, rows: pa.StructArray) -> None:
-        self.node, self.label, self.apart = (rows.field(c).to_pylist() for c in ("node", "label", "apart"))
-        self.n = np.asarray(rows.field("n").to_pylist(), np.int64)
-        flat, off = binary_flat(rows.field("shingles"))
-        shingle, count = flat.view("<u8"), binary_flat(rows.field("counts"))[0].view("<u4").astype(np.int64)
-        owner = np.repeat(np.arange(len(self.n)), np.diff(off) // 8)
+    def __init__(self, rows: pa.StructArray, p: Params) -> None:
+        self.node, self.label = (rows.field(c).to_pylist() for c in ("number", "label"))
+        sets = _multisets(rows.field("text"), p)
+        shingle, count = np.concatenate([x for x, _ in sets]), np.concatenate([c for _, c in sets])
+        owner = np.repeat(np.arange(len(sets)), [len(x) for x, _ in sets])
+        self.n = np.array([c.sum() for _, c in sets])
         again = ranges(np.zeros(len(count), np.int64), count).astype(np.uint64)
         element = np.repeat(shingle, count)
         self.element = np.where(again == 0, element, mix64(element + again * _GOLDEN))
@@ -323,11 +335,11 @@ def _common(x: _Block, y: _Block, columns: int = 4096) -> np.ndarray:
     return out
 
 
-def _links_between(x: _Block, y: _Block, least: float) -> list[tuple[bytes, bytes]]:
+def _links_between(x: _Block, y: _Block, least: float) -> list[tuple[int, int]]:
     """Links that join components of two blocks."""
-    above: dict[bytes, bytes] = {}
+    above: dict[int, int] = {}
 
-    def root(label: bytes) -> bytes:
+    def root(label: int) -> int:
         while (up := above.get(label)) is not None:
             label = up
         return label
@@ -343,52 +355,73 @@ def _links_between(x: _Block, y: _Block, least: float) -> list[tuple[bytes, byte
     return found
 
 
-def near_duplicates(docs: DataFrame, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, class_id, class_rows): one row for each of the input; class_id is the class's least id."""
-    p = p or Params()
+def _classified(docs: DataFrame, p: Params, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """Two tables: (id, h, node) of all rows; (node, class_id, class_rows, stand_k, stand_h) of nodes in classes of several rows.
+
+    ``stand``: the row that stands for the class, that of its least id.
+    """
     ship_package(docs.sparkSession)
     signed = written(_signed(docs, p, id_col, text_col), "signed")
-    nodes = written(signed.filter("node IS NOT NULL").groupBy("node").agg(F.min("id").alias("id"), F.count("*").alias("rows"), F.first("n").alias("n"), F.first("bands").alias("bands"), F.first("sketch").alias("sketch")), "nodes")
-    placed = nodes.select("node", F.explode("bands").alias("bucket"))
-    buckets = _brief(placed.groupBy("bucket").agg(F.count("*").alias("size"), F.min("node").alias("leader")).filter("size > 1"), "buckets")
+    least = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "h")).alias("stand")
+    nodes = signed.filter("node IS NOT NULL").groupBy("node").agg(F.min("id").alias("id"), least, F.count("*").alias("rows"), F.first("n").alias("n"), F.first("bands").alias("bands"))
+    nodes = written(nodes.withColumn("number", F.monotonically_increasing_id()), "nodes")
+    placed = nodes.select("number", "n", F.explode("bands").alias("bucket"))
+    buckets = _brief(placed.groupBy("bucket").agg(F.count("*").alias("size"), F.min("number").alias("leader")).filter("size > 1"), "buckets")
     members = _brief(placed.join(buckets, "bucket"), "members")
-    needed = _brief(members.select("node").distinct(), "needed")
 
-    hashed = lambda c: F.xxhash64(F.coalesce(c.cast("string"), F.lit("")))  # noqa: E731  null ids meet, too
-    wanted = nodes.join(needed, "node", "left_semi").select(hashed(F.col("id")).alias("h"))
-    texts = docs.select(hashed(F.col(id_col)).alias("h"), F.col(text_col).alias("text"))
-    sets = _multisets(texts, wanted, p).join(needed, "node", "left_semi")
-    sets = written(sets.dropDuplicates(["node"]), "multisets")
+    needed = members.select("number").distinct().join(nodes.select("number", _key(F.col("stand.id")).alias("k"), F.col("stand.h").alias("h")), "number")
+    needed = _brief(needed, "needed")
+    texts = written(_texts(docs, needed, p, id_col, text_col), "texts")
 
-    pairs = members.filter(F.col("node") != F.col("leader")).select(F.col("node").alias("a"), F.col("leader").alias("b")).distinct()
-    links = written(_verified(pairs, sets, nodes, p), "links")
+    pairs = members.filter("number <> leader").select(F.col("number").alias("a"), F.col("n").alias("n_a"), F.col("leader").alias("b")).distinct().join(nodes.select(F.col("number").alias("b"), F.col("n").alias("n_b")), "b")
+    pairs = _brief(pairs.filter(F.least("n_a", "n_b") >= F.lit(p.similarity) * F.greatest("n_a", "n_b")).select("a", "b"), "pairs")
+    links = written(_verified(pairs, texts, p), "links")
     labels = components(links)
-    more = written(_block_links(members, labels, sets, p), "links")
-    grouped = nodes.select("node", "id", "rows").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    more = _block_links(members, labels, texts, p)
+    grouped = nodes.select(F.col("number").alias("n"), "node", "id", "stand", "rows").join(labels.withColumnRenamed("node", "n"), "n", "left").withColumn("label", F.coalesce("label", "n"))
     if not more.isEmpty():
         wider = _joined(more, labels).select(F.col("node").alias("label"), F.col("label").alias("whole"))
         grouped = grouped.join(wider, "label", "left").withColumn("label", F.coalesce("whole", "label")).drop("whole")
-    classes = grouped.groupBy("label").agg(F.min("id").alias("class_id"), F.sum("rows").alias("class_rows")).filter("class_rows > 1")
-    of_node = _brief(grouped.select("node", "label").join(classes, "label").select("node", "class_id", "class_rows"), "classes")
-    out = signed.select("id", "node").join(of_node, "node", "left")
+    grouped = _brief(grouped, "grouped")
+    classes = grouped.groupBy("label").agg(F.min("id").alias("class_id"), F.sum("rows").alias("class_rows"), F.min("stand").alias("stand")).filter("class_rows > 1")
+    classes = classes.select("label", "class_id", "class_rows", _key(F.col("stand.id")).alias("stand_k"), F.col("stand.h").alias("stand_h"))
+    of_node = _brief(grouped.select("node", "label").join(classes, "label").drop("label"), "classes")
+    rows = _brief(signed.select("id", "h", "node"), "rows")
+    release(signed, nodes, buckets, members, needed, texts, pairs, links, more, grouped)
+    return rows, of_node
+
+
+def near_duplicates(docs: DataFrame, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id, class_id, class_rows): one row for each of the input; class_id is the class's least id."""
+    rows, of_node = _classified(docs, p or Params(), id_col, text_col)
+    out = rows.join(of_node, "node", "left")
     return out.select(F.col("id").alias(id_col), F.when(F.col("class_rows").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("class_rows", F.lit(1)).alias("class_rows"))
 
 
 def keep_one(docs: DataFrame, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs``, all columns, that stand for their class: those of its least id.
+    """One row of each class, all columns: one that holds its least id (rows without an id come last) and, of the texts of that id, the one of least hash.
 
-    Rows that repeat an id stay once for each text.  Rows without an id can't be
-    told apart by it: where one of them stands for a class, each text of theirs
-    stays once.
+    Rows outside of classes of several rows stay where they are: only those that
+    a filter can't tell from rows of such classes meet them in a shuffle.
     """
-    held, times = (next(x for x in (f"{c}{k or ''}" for k in range(len(docs.columns) + 1)) if x not in docs.columns) for c in ("_id", "_times"))
-    classes = near_duplicates(docs, p, id_col, text_col)
-    stand = classes.filter(F.col(id_col).eqNullSafe(F.col("class_id"))) if id_col != "class_id" else classes
-    kept = _brief(stand.groupBy(F.col(id_col).alias(held)).agg(F.count("*").alias(times)), "kept")
-    rows = docs.join(kept, F.col(id_col).eqNullSafe(F.col(held)))
-    alone = rows.filter(F.col(times) == 1).select(*docs.columns)
-    several = rows.filter(F.col(times) > 1).select(*docs.columns).dropDuplicates([id_col, text_col])
-    return alone.unionAll(several)
+    p = p or Params()
+    rows, of_node = _classified(docs, p, id_col, text_col)
+    k = _key(F.col("id"))
+    met = rows.join(of_node, "node").groupBy(k.alias("_k"), F.col("h").alias("_h")).agg(F.count("*").alias("_times"), F.max((k == F.col("stand_k")) & (F.col("h") == F.col("stand_h"))).alias("_stands"))
+    met = _brief(met, "met")
+    free = lambda c: next(x for x in (f"{c}{j or ''}" for j in range(len(docs.columns) + 1)) if x not in docs.columns)
+    met = met.toDF(*(names := [free(c) for c in met.columns]))
+    fk, fh, times, stands = names
+    key, text_hash = _key(F.col(id_col)), F.xxhash64(text_col)
+    test = _among(met.select(F.xxhash64(fk, fh).alias("x")), p)
+    maybe = test(F.xxhash64(key, text_hash))
+    alone = docs.filter(~maybe)
+    looked_up = docs.filter(maybe).withColumns({fk: key, fh: text_hash}).join(met.hint("merge"), [fk, fh], "left")  # the same plan at every size
+    kept = looked_up.filter(F.col(stands).isNull() | (F.col(stands) & (F.col(times) == 1))).select(*docs.columns)
+    out = alone.unionAll(kept)
+    if met.filter((F.col(times) > 1) & F.col(stands)).isEmpty():
+        return out
+    return out.unionAll(looked_up.filter(F.col(stands) & (F.col(times) > 1)).select(*docs.columns).dropDuplicates([id_col, text_col]))
 
 
 def brute_force(texts: list[str | None], p: Params | None = None) -> list[list[float]]:

@@ -86,20 +86,7 @@ def ranges(start: np.ndarray, length: np.ndarray) -> np.ndarray:
     return np.repeat(start - (end - length), length) + np.arange(total)
 
 
-_MASK = (1 << 64) - 1
-_BASE = 0x9E3779B97F4A7C15 | 1
-_powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
-
-
-def _power_tables(n: int) -> list[np.ndarray]:
-    if len(_powers[0]) < n:
-        size = 1 << max(16, (n - 1).bit_length())
-        for k, base in enumerate((_BASE, pow(_BASE, -1, 1 << 64))):
-            p = np.ones(1, np.uint64)
-            while len(p) < size:  # doubling
-                p = np.concatenate([p, p * np.uint64(pow(base, len(p), 1 << 64))])
-            _powers[k] = p
-    return _powers
+_GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -110,8 +97,27 @@ def mix64(x: np.ndarray) -> np.ndarray:
 
 
 def span_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of values[start:end], the same wherever the span stands."""
-    pw, inv = _power_tables(len(values) + 1)
-    sums = np.zeros(len(values) + 1, np.uint64)
-    np.cumsum(mix64(values.astype(np.uint64) + np.uint64(0x51ED27)) * pw[: len(values)], out=sums[1:])
-    return mix64((sums[end] - sums[start]) * inv[start] + (end - start).astype(np.uint64))
+    """64-bit hashes of values[start:end], the same wherever the span stands; spans come in order and don't overlap.
+
+    Each value is scrambled with its place in the span before it is added, so that
+    no arrangement of a few letters cancels out, as it does in a polynomial.
+    """
+    size = end - start
+    if not len(size):
+        return np.zeros(0, np.uint64)
+    upto = np.cumsum(size)
+    place = np.arange(int(upto[-1])) - np.repeat(upto - size, size)
+    at = place + np.repeat(start, size)
+    sums = np.zeros(len(at) + 1, np.uint64)
+    np.cumsum(mix64(values[at].astype(np.uint64) + (place.astype(np.uint64) + np.uint64(1)) * _GOLDEN), out=sums[1:])
+    return mix64(sums[upto] - sums[upto - size] + size.astype(np.uint64) * _GOLDEN)
+
+
+def same_spans(a: np.ndarray, a_start: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_start: np.ndarray, b_size: np.ndarray) -> np.ndarray:
+    """Which spans a[a_start : a_start + a_size] equal those of b, value by value."""
+    same = a_size == b_size
+    size = np.where(same, a_size, 0)
+    differ = a[ranges(a_start, size)] != b[ranges(b_start, size)]
+    if differ.any():
+        same[np.repeat(np.arange(len(size)), size)[differ]] = False
+    return same

@@ -126,3 +126,34 @@ def test_shingles_follow_the_definition():
     (_, c), = text_chunks(pa.array(texts))
     doc, shingle, count = bm.shingles(c, bm.Params())
     assert np.bincount(doc, count, 5).tolist() == [2, 1, 0, 0, 8] and np.bincount(doc, minlength=5).tolist() == [2, 1, 0, 0, 1]
+
+
+def thue_morse(n):
+    """Two different words over a and b of 2^n letters that polynomial hashes modulo 2^64 don't tell apart from n = 10 on."""
+    word = "".join("ab"[k.bit_count() & 1] for k in range(1 << n))
+    return word, word.translate(str.maketrans("ab", "ba"))
+
+
+def test_words_with_colliding_polynomials_differ(docs_of):
+    a, b = thue_morse(11)
+    rows = [(1, a), (2, b), (3, a)]
+    assert {r["doc_id"]: r["class_id"] for r in bm.near_duplicates(docs_of(rows)).collect()} == {1: 1, 2: 2, 3: 1}
+
+
+def test_one_row_of_each_class_stays(docs_of):
+    """Also where ids repeat, or are null: of an id's texts, only those that stand for a class of their own."""
+    near = " ".join(f"w{k}" for k in range(200))
+    rows = [(1, near), (1, near + " more"), (2, "p q r s t u v"), (2, near + " x"), (None, "only here a b c d"), (None, "only here a b c d"), (None, near), (None, "quite alone e f g h i"), (9, "z y x w v u t"), (9, "z y x w v u t")]
+    kept = [(r["doc_id"], r["text"]) for r in bm.keep_one(docs_of(rows)).collect()]
+    of_near = [x for x in kept if x[1].startswith("w0")]
+    assert len(of_near) == 1 and of_near[0][0] == 1
+    assert sorted((x for x in kept if x not in of_near), key=str) == sorted([(2, "p q r s t u v"), (None, "only here a b c d"), (None, "quite alone e f g h i"), (9, "z y x w v u t")], key=str)
+
+
+def test_recall_against_all_pairs(spark):
+    """All documents of a given table: links between texts at the similarity, found through classes, and no class without links."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = [(r["doc_id"], r["text"]) for r in docs.select("doc_id", "text").collect()]
+    want = classes_by_brute_force(rows, bm.Params())
+    got = {r["doc_id"]: r["class_id"] for r in bm.near_duplicates(docs).collect()}
+    assert got == {rows[k][0]: c for k, c in want.items()}
