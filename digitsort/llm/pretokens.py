@@ -14,7 +14,7 @@ from functools import cache
 
 import numpy as np
 
-from .textbatch import TextChunk, ranges, span_hashes
+from .textbatch import TextChunk, ranges, same_spans, span_keys
 
 OTHER, LETTER, NUMBER, SPACE = 0, 1, 2, 3
 PART = 4096
@@ -65,76 +65,136 @@ def split(chunk: TextChunk) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return start, end, np.searchsorted(off, start, side="right") - 1
 
 
-class IdMemo:
-    """Distinct pre-tokens' ids as flat arrays, sorted by 64-bit hash.
+class Grown:
+    """A flat array that grows by doubling."""
 
-    ``encode`` gets the distinct pre-tokens that aren't known yet as strings and
-    returns their ids.  At ``limit`` entries the memo starts anew, which bounds
-    memory and changes no result.
-    """
+    def __init__(self, kind: type) -> None:
+        self.room, self.n = np.zeros(1 << 12, kind), 0
 
-    def __init__(self, encode: Callable[[list[str]], list[list[int]]], limit: int = 1_500_000) -> None:
-        self.encode, self.limit = encode, limit
-        self.clear()
+    def add(self, more: np.ndarray) -> int:
+        """Append; returns where it begins."""
+        begin, self.n = self.n, self.n + len(more)
+        if self.n > len(self.room):
+            room = np.zeros(max(self.n, 2 * len(self.room)), self.room.dtype)
+            room[:begin] = self.room[:begin]
+            self.room = room
+        self.room[begin : self.n] = more
+        return begin
 
-    def clear(self) -> None:
-        #: entries by hash: many settled ones, and recent ones that join them in bulk
-        self.settled, self.recent = _no_entries(), _no_entries()
-        self.flat = np.zeros(0, np.uint32)
+
+class Spans:
+    """Distinct character spans by 64-bit hash, each with its characters: a hit is one only if those agree.
+
+    ``settled`` holds many entries by hash, ``recent`` new ones that join them in bulk.
+    """
+
+    def __init__(self) -> None:
+        none = np.zeros(0, np.uint64), np.zeros((0, 3), np.int32)
+        self.settled, self.recent, self.chars = none, none, Grown(np.uint32)
 
     def __len__(self) -> int:
         return len(self.settled[0]) + len(self.recent[0])
 
-    def _find(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(known, start, size) of each hash."""
-        known, start, size = np.zeros(len(hashes), bool), np.zeros(len(hashes), np.int64), np.zeros(len(hashes), np.int64)
-        for keys, starts, sizes in (self.settled, self.recent):
+    def find(self, hashes: np.ndarray, codes: np.ndarray, start: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(entry, taken): the entry's number of each span, -1 where it has none; whether another span has its hash."""
+        entry, taken = np.full(len(hashes), -1), np.zeros(len(hashes), bool)
+        for keys, rows in (self.settled, self.recent):
             if len(keys):
                 pos = np.minimum(np.searchsorted(keys, hashes), len(keys) - 1)
-                hit = keys[pos] == hashes
-                start[hit], size[hit], known = starts[pos[hit]], sizes[pos[hit]], known | hit
-        return known, start, size
-
-    def _add(self, keys: np.ndarray, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        sizes, ids = [], [self.flat]
-        for k in range(0, len(pieces), PART):  # the library's results are far larger than ids
-            found = self.encode(pieces[k : k + PART])
-            sizes.append(np.fromiter(map(len, found), np.int32, len(found)))
-            ids.append(np.fromiter((i for x in found for i in x), np.uint32, int(sizes[-1].sum())))
-        size = np.concatenate(sizes)
-        start = (len(self.flat) + np.cumsum(size, dtype=np.int64) - size).astype(np.int32)
-        self.flat = np.concatenate(ids)
-        self.recent = _merged(self.recent, (keys, start, size))
+                hit = np.flatnonzero(keys[pos] == hashes)
+                found = rows[pos[hit]].astype(np.int64)
+                same = same_spans(self.chars.room, found[:, 1], found[:, 2], codes, start[hit], size[hit])
+                entry[hit[same]], taken[hit[~same]] = found[same, 0], True
+        return entry, taken
+
+    def add(self, hashes: np.ndarray, number: np.ndarray, codes: np.ndarray, start: np.ndarray, size: np.ndarray) -> None:
+        """Entries for ascending hashes that aren't taken."""
+        begin = self.chars.add(codes[ranges(start, size)])
+        self.recent = _merged(self.recent, (hashes, np.stack([number, begin + np.cumsum(size) - size, size], axis=1).astype(np.int32)))
         if len(self.recent[0]) > max(1 << 16, len(self.settled[0]) // 4):
-            self.settled, self.recent = _merged(self.settled, self.recent), _no_entries()
-        return start, size
+            self.settled, self.recent = _merged(self.settled, self.recent), (np.zeros(0, np.uint64), np.zeros((0, 3), np.int32))
+
+
+def _merged(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    keys = np.concatenate([a[0], b[0]])
+    order = np.argsort(keys, kind="stable")
+    return keys[order], np.concatenate([a[1], b[1]])[order]
+
+
+class Memo:
+    """What ``make`` found for each distinct span met so far.
+
+    ``make`` gets the codes, starts and sizes of new spans and returns the first
+    of their consecutive numbers.  At ``limit`` entries, or characters, the memo starts
+    anew, which bounds memory and changes no result; so do spans whose hash another one
+    has: they are made each time they come.
+    """
+
+    def __init__(self, limit: int = 1_500_000, chars: int = 1 << 25) -> None:
+        self.limit, self.most_chars = limit, chars
+        self.clear()
+
+    def clear(self) -> None:
+        self.spans = Spans()
+
+    def make(self, codes: np.ndarray, start: np.ndarray, size: np.ndarray) -> int:
+        raise NotImplementedError
+
+    def numbers(self, codes: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """The number of each span, which is the same for equal spans or was made anew."""
+        if len(self.spans) > self.limit or self.spans.chars.n > self.most_chars:
+            self.clear()
+        size = end - start
+        keys, exact = span_keys(codes, start, end)
+        hashes, at, back = np.unique(keys, return_index=True, return_inverse=True)
+        first, length = start[at], size[at]
+        entry, taken = self.spans.find(hashes, codes, first, length)
+        new = np.flatnonzero(entry < 0)
+        if len(new):
+            entry[new] = self.make(codes, first[new], length[new]) + np.arange(len(new))
+            keep = new[~taken[new]]
+            if len(keep):
+                self.spans.add(hashes[keep], entry[keep], codes, first[keep], length[keep])
+        number = entry[back]
+        check = np.flatnonzero(~exact | ~exact[at][back] | (size != length[back]))
+        check = check[at[back[check]] != check]
+        same = same_spans(codes, start[check], size[check], codes, first[back[check]], length[back[check]])
+        odd = check[~same]
+        if len(odd):  # equal hashes inside this chunk
+            number[odd] = self.make(codes, start[odd], size[odd]) + np.arange(len(odd))
+        return number
+
+
+class IdMemo(Memo):
+    """Ids of pre-tokens.  ``encode`` gets new ones as strings."""
+
+    def __init__(self, encode: Callable[[list[str]], list[list[int]]], limit: int = 1_500_000) -> None:
+        self.encode = encode
+        super().__init__(limit)
+
+    def clear(self) -> None:
+        super().clear()
+        self.ids, self.begin, self.size = Grown(np.uint32), Grown(np.int64), Grown(np.int32)
+
+    def make(self, codes: np.ndarray, start: np.ndarray, size: np.ndarray) -> int:
+        flat = codes[ranges(start, size)].astype("<u4").tobytes().decode("utf-32-le")
+        cut = np.concatenate([[0], np.cumsum(size)]).tolist()
+        number = self.begin.n
+        for k in range(0, len(size), PART):  # the library's results are far larger than ids
+            found = self.encode([flat[a:b] for a, b in zip(cut[k : k + PART], cut[k + 1 : k + PART + 1], strict=False)])
+            n = np.fromiter(map(len, found), np.int32, len(found))
+            begin = self.ids.add(np.fromiter((i for x in found for i in x), np.uint32, int(n.sum())))
+            self.begin.add(begin + np.cumsum(n, dtype=np.int64) - n)
+            self.size.add(n)
+        return number
 
     def tokens(self, chunk: TextChunk) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts one after another, and each text's offset there."""
         start, end, doc = split(chunk)
         if not len(start):
             return np.zeros(0, np.uint32), np.zeros(chunk.n + 1, np.int64)
-        distinct, at, back = np.unique(span_hashes(chunk.codes, start, end), return_index=True, return_inverse=True)
-        if len(self) > self.limit:
-            self.clear()
-        known, begin, size = self._find(distinct)
-        if not known.all():
-            new, text = ~known, chunk.text
-            begin[new], size[new] = self._add(distinct[new], [text[a:b] for a, b in zip(start[at[new]].tolist(), end[at[new]].tolist(), strict=True)])
-        size = size[back]
-        ids = self.flat[ranges(begin[back], size)]
+        number = self.numbers(chunk.codes, start, end)
+        size = self.size.room[number].astype(np.int64)
+        ids = self.ids.room[ranges(self.begin.room[number], size)]
         count = np.bincount(doc, weights=size, minlength=chunk.n).astype(np.int64)
         return ids, np.concatenate([[0], np.cumsum(count)])
-
-
-Entries = tuple[np.ndarray, np.ndarray, np.ndarray]
-
-
-def _no_entries() -> Entries:
-    return np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32)
-
-
-def _merged(a: Entries, b: Entries) -> Entries:
-    keys = np.concatenate([a[0], b[0]])
-    order = np.argsort(keys, kind="stable")
-    return keys[order], np.concatenate([a[1], b[1]])[order], np.concatenate([a[2], b[2]])[order]

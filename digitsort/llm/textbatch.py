@@ -87,6 +87,7 @@ def ranges(start: np.ndarray, length: np.ndarray) -> np.ndarray:
 
 
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+_MASKS = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -96,21 +97,38 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def span_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of values[start:end], the same wherever the span stands; spans come in order and don't overlap.
+def span_keys(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(hash, exact) of values[start:end], the same wherever the span stands; spans come in order and don't overlap.
 
-    Each value is scrambled with its place in the span before it is added, so that
-    no arrangement of a few letters cancels out, as it does in a polynomial.
+    Up to eight values below 256 are packed: among such spans of one length the
+    hash is exact.  Of other spans each value is scrambled with its place in the
+    span before it is added, so that no arrangement of a few letters cancels out,
+    as it does in a polynomial.
     """
     size = end - start
     if not len(size):
-        return np.zeros(0, np.uint64)
-    upto = np.cumsum(size)
-    place = np.arange(int(upto[-1])) - np.repeat(upto - size, size)
-    at = place + np.repeat(start, size)
-    sums = np.zeros(len(at) + 1, np.uint64)
-    np.cumsum(mix64(values[at].astype(np.uint64) + (place.astype(np.uint64) + np.uint64(1)) * _GOLDEN), out=sums[1:])
-    return mix64(sums[upto] - sums[upto - size] + size.astype(np.uint64) * _GOLDEN)
+        return np.zeros(0, np.uint64), np.zeros(0, bool)
+    exact = size <= 8
+    if values.max(initial=0) > 255:
+        wide = np.concatenate([[0], np.cumsum(values > 255)])
+        exact &= wide[end] == wide[start]
+    low = np.zeros(len(values) + 8, np.uint8)
+    low[: len(values)] = values.astype(np.uint8)
+    eight = np.ndarray(len(values) + 1, "<u8", low.tobytes(), strides=(1,))  # the eight values from each place on
+    sums = eight[start] & _MASKS[np.minimum(size, 8)]
+    rest = np.flatnonzero(~exact)
+    if len(rest):
+        n = size[rest]
+        upto = np.cumsum(n)
+        place = np.arange(int(upto[-1])) - np.repeat(upto - n, n)
+        x = mix64(values[place + np.repeat(start[rest], n)].astype(np.uint64) + (place.astype(np.uint64) + np.uint64(1)) * _GOLDEN)
+        running = np.concatenate([np.zeros(1, np.uint64), np.cumsum(x)])
+        sums[rest] = running[upto] - running[upto - n]
+    return mix64(sums + size.astype(np.uint64) * _GOLDEN), exact
+
+
+def span_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    return span_keys(values, start, end)[0]
 
 
 def same_spans(a: np.ndarray, a_start: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_start: np.ndarray, b_size: np.ndarray) -> np.ndarray:

@@ -26,11 +26,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from ..session import ship_package
-from .pretokens import SPACE, class_table
+from .pretokens import SPACE, Grown, Memo, class_table
 from .textbatch import TextChunk, mix64, ranges, text_chunks
 
 MARK = "▁"
-_MULT = np.uint64(0x2545F4914F6CDD1D)
 
 
 def zipf_scores(pieces: list[str]) -> dict[str, float]:
@@ -45,111 +44,121 @@ def vocabulary(path: str) -> tuple[dict[str, float], float]:
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_file=path)
-    plain = [i for i in range(sp.get_piece_size()) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i))]
+    # user-defined pieces (runs of marks) stand outside of the ranks
+    plain = [i for i in range(sp.get_piece_size()) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i) or not sp.id_to_piece(i).strip(MARK) and len(sp.id_to_piece(i)) > 1)]
     scores = zipf_scores([sp.id_to_piece(i) for i in plain])
     return scores, min(scores.values()) - 10.0
 
 
-def _fold(h: np.ndarray, code: np.ndarray) -> np.ndarray:
-    """Hash of a string one character longer."""
-    return (h + mix64(code.astype(np.uint64) + np.uint64(1))) * _MULT
-
-
-class PieceTable:
-    """Pieces' scores by length and hash, in open slots of 2^bits."""
-
-    def __init__(self, scores: dict[str, float], bits: int = 19) -> None:
-        self.shift, self.longest = np.uint64(64 - bits), max(map(len, scores), default=1)
-        pieces = list(scores)
-        h = np.array([self.hash(p) for p in pieces], np.uint64)
-        self.slot_hash, self.slot_score = np.zeros(1 << bits, np.uint64), np.full(1 << bits, -np.inf)
-        spare = {}
-        for k, (x, s) in enumerate(zip(h.tolist(), mix64(h) >> self.shift, strict=True)):
-            if self.slot_hash[s]:
-                spare[x] = scores[pieces[k]]
-            else:
-                self.slot_hash[s], self.slot_score[s] = x, scores[pieces[k]]
-        self.spare_hash = np.array(sorted(spare), np.uint64)
-        self.spare_score = np.array([spare[x] for x in sorted(spare)])
-
-    @staticmethod
-    def hash(piece: str) -> int:
-        h = np.zeros(1, np.uint64)
-        for c in piece:
-            h = _fold(h, np.array([ord(c)], np.uint32))
-        return int(h[0])
-
-    def scores(self, h: np.ndarray) -> np.ndarray:
-        """Score of each hash's piece, -inf where there's none."""
-        slot = mix64(h) >> self.shift
-        out = np.where(self.slot_hash[slot] == h, self.slot_score[slot], -np.inf)
-        if len(self.spare_hash):
-            rest = np.flatnonzero((self.slot_hash[slot] != h) & (self.slot_hash[slot] != 0))
-            if len(rest):
-                at = np.minimum(np.searchsorted(self.spare_hash, h[rest]), len(self.spare_hash) - 1)
-                out[rest] = np.where(self.spare_hash[at] == h[rest], self.spare_score[at], -np.inf)
+class PieceTrie:
+    """Pieces read from their last character: (state, character) leads to a state, which may have a piece's score.
+
+    Steps are looked up by that pair itself, in open slots of 2^bits, so none is
+    mistaken for another.  State 0 is the root; 0 also says that no step leads on.
+    """
+
+    def __init__(self, scores: dict[str, float]) -> None:
+        self.longest = max(map(len, scores), default=1)
+        step: dict[int, int] = {}
+        ends = [-np.inf]
+        for piece, score in scores.items():
+            state = 0
+            for c in reversed(piece):
+                key = state << 21 | ord(c)
+                if key not in step:
+                    step[key] = len(ends)
+                    ends.append(-np.inf)
+                state = step[key]
+            ends[state] = score
+        self.score = np.array(ends)
+        bits = max(4, (4 * len(step)).bit_length())
+        self.shift = np.uint64(64 - bits)
+        key, to = np.fromiter(step, np.int64, len(step)), np.fromiter(step.values(), np.int64, len(step))
+        slot = self._slot(key)
+        order = np.argsort(slot, kind="stable")
+        first = order[np.concatenate([[True], slot[order][1:] != slot[order][:-1]])] if len(order) else order
+        self.slot_key, self.slot_to = np.full(1 << bits, -1), np.zeros(1 << bits, np.int64)
+        self.slot_key[slot[first]], self.slot_to[slot[first]] = key[first], to[first]
+        spare = np.ones(len(key), bool)
+        spare[first] = False
+        by = np.argsort(key[spare])
+        self.spare_key, self.spare_to = key[spare][by], to[spare][by]
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return (mix64(key.astype(np.uint64) + np.uint64(1)) >> self.shift).astype(np.int64)
+
+    def step(self, state: np.ndarray, letter: np.ndarray) -> np.ndarray:
+        """The next states, 0 where there's none."""
+        key = state << 21 | letter
+        slot = self._slot(key)
+        held = self.slot_key[slot]
+        out = np.where(held == key, self.slot_to[slot], 0)
+        rest = np.flatnonzero((held != key) & (held >= 0))
+        if len(rest) and len(self.spare_key):
+            at = np.minimum(np.searchsorted(self.spare_key, key[rest]), len(self.spare_key) - 1)
+            out[rest] = np.where(self.spare_key[at] == key[rest], self.spare_to[at], 0)
         return out
 
 
 @lru_cache(maxsize=2)
-def piece_table(path: str) -> tuple[PieceTable, float]:
+def piece_trie(path: str) -> tuple[PieceTrie, float]:
     scores, byte = vocabulary(path)
-    return PieceTable(scores), byte
+    return PieceTrie(scores), byte
 
 
-def trie_counts(codes: np.ndarray, start: np.ndarray, size: np.ndarray, table: PieceTable, byte: float) -> tuple[np.ndarray, np.ndarray, int]:
+def trie_counts(codes: np.ndarray, start: np.ndarray, size: np.ndarray, pieces: PieceTrie, byte: float) -> tuple[np.ndarray, np.ndarray, int]:
     """(tokens, score) of each distinct pre-token codes[start : start + size], and the trie's number of nodes.
 
-    Levels hold only nodes of pre-tokens that go on.  ``window`` keeps, for the
-    last levels, each node's best score, tokens and its ancestor's place.
+    A node is its parent's number and its letter.  Levels hold only nodes of
+    pre-tokens that go on.  ``window`` keeps, for the last levels, each node's best
+    score and tokens; ``letters`` and ``parents`` what led there.
     """
     n = len(start)
     count, score = np.zeros(n, np.int64), np.zeros(n)
     word = np.flatnonzero(size > 0)
     node = np.zeros(len(word), np.int64)  # of each going word, at the level before
-    prefix = np.zeros(1, np.uint64)
     window: list[tuple[np.ndarray, np.ndarray]] = [(np.zeros(1), np.zeros(1, np.int64))]
-    chars: list[np.ndarray] = []  # at each level in the window: a node's last character
+    letters: list[np.ndarray] = []
     parents: list[np.ndarray] = []
     nodes, depth = 0, 0
     while len(word):
-        letter = codes[start[word] + depth]
-        key = _fold(prefix[node], letter)
-        uniq, at, back = np.unique(key, return_index=True, return_inverse=True)
+        uniq, back = np.unique(node << 21 | codes[start[word] + depth].astype(np.int64), return_inverse=True)
         nodes += len(uniq)
-        parents.append(node[at])
-        chars.append(letter[at])
+        parents.append(uniq >> 21)
+        letters.append(uniq & ((1 << 21) - 1))
         depth += 1
         best, tokens = np.full(len(uniq), -np.inf), np.zeros(len(uniq), np.int64)
-        # candidates: pieces of 1, 2, ... characters that end here, longest last
-        up, tail, power = np.arange(len(uniq)), np.zeros(len(uniq), np.uint64), 1
-        for length in range(1, min(depth, table.longest) + 1):
-            c = chars[-length][up]
-            power = power * int(_MULT) & 0xFFFFFFFFFFFFFFFF
-            tail = tail + mix64(c.astype(np.uint64) + np.uint64(1)) * np.uint64(power)
+        # candidates: pieces of 1, 2, ... characters that end here, longest last; nodes that no longer piece can reach drop out
+        at = up = np.arange(len(uniq))
+        state = np.zeros(len(uniq), np.int64)
+        for length in range(1, min(depth, pieces.longest) + 1):
+            c = letters[-length][up]
+            state = pieces.step(state, c)
             up = parents[-length][up]
-            value = table.scores(tail)
+            value = pieces.score[state]
             before, used = window[-length]
+            step = 1
             if length == 1:
                 width = np.where(c < 0x80, 1, np.where(c < 0x800, 2, np.where(c < 0x10000, 3, 4)))
-                missing = np.isneginf(value)
-                value = np.where(missing, width * byte, value)
-                step = np.where(missing, width, 1)
-            else:
-                step = 1
+                missing = np.isneginf(value) | (state == 0)
+                value, step = np.where(missing, width * byte, value), np.where(missing, width, 1)
             value = value + before[up]
-            better = value >= best
-            best = np.where(better, value, best)
-            tokens = np.where(better, used[up] + step, tokens)
+            better = (value >= best[at]) & ((state > 0) | (length == 1))
+            best[at[better]] = value[better]
+            tokens[at[better]] = (used[up] + step)[better]
+            on = state > 0
+            at, up, state = at[on], up[on], state[on]
+            if not len(at):
+                break
         window.append((best, tokens))
-        if len(window) > table.longest:
+        if len(window) > pieces.longest:
             window.pop(0)
-        if len(chars) >= table.longest:
-            chars.pop(0)
+        if len(letters) >= pieces.longest:
+            letters.pop(0)
             parents.pop(0)
         ended = size[word] == depth
         count[word[ended]], score[word[ended]] = tokens[back[ended]], best[back[ended]]
-        word, node, prefix = word[~ended], back[~ended], uniq
+        word, node = word[~ended], back[~ended]
     return count, score, nodes
 
 
@@ -172,42 +181,33 @@ def words(chunk: TextChunk) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return start, np.flatnonzero(ends), np.searchsorted(off, start, side="right") - 1
 
 
-class CountMemo:
-    """Counts and scores of pre-tokens met so far, sorted by hash; starts anew at ``limit`` entries."""
+class CountMemo(Memo):
+    """Tokens and scores of pre-tokens."""
 
     def __init__(self, path: str, limit: int = 1_500_000) -> None:
-        (self.table, self.byte), self.limit = piece_table(path), limit
-        self.clear()
+        self.pieces, self.byte = piece_trie(path)
+        super().__init__(limit)
 
     def clear(self) -> None:
-        self.keys, self.count, self.score = np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0)
+        super().clear()
+        self.count, self.score = Grown(np.int32), Grown(np.float64)
+
+    def make(self, codes: np.ndarray, start: np.ndarray, size: np.ndarray) -> int:
+        room = np.full(int((size + 1).sum()), ord(MARK), np.uint32)  # each behind its mark
+        begin = np.cumsum(size + 1) - size - 1
+        room[ranges(begin + 1, size)] = codes[ranges(start, size)]
+        count, score, _ = trie_counts(room, begin, size + 1, self.pieces, self.byte)
+        self.score.add(score)
+        return self.count.add(count)
 
     def totals(self, chunk: TextChunk) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Each text's pre-tokens, tokens and score."""
-        from .textbatch import span_hashes
-
         start, end, doc = words(chunk)
         if not len(start):
             return np.zeros(chunk.n, np.int64), np.zeros(chunk.n, np.int64), np.zeros(chunk.n)
-        distinct, at, back = np.unique(span_hashes(chunk.codes, start, end), return_index=True, return_inverse=True)
-        if len(self.keys) > self.limit:
-            self.clear()
-        pos = np.searchsorted(self.keys, distinct)
-        known = pos < len(self.keys)
-        known[known] = self.keys[pos[known]] == distinct[known]
-        if not known.all():
-            at = at[~known]
-            size = end[at] - start[at]
-            room = np.full(int((size + 1).sum()), ord(MARK), np.uint32)  # each behind its mark
-            begin = np.cumsum(size + 1) - size - 1
-            room[ranges(begin + 1, size)] = chunk.codes[ranges(start[at], size)]
-            count, score, _ = trie_counts(room, begin, size + 1, self.table, self.byte)
-            keys = np.concatenate([self.keys, distinct[~known]])
-            order = np.argsort(keys, kind="stable")
-            self.keys, self.count, self.score = keys[order], np.concatenate([self.count, count.astype(np.int32)])[order], np.concatenate([self.score, score])[order]
-            pos = np.searchsorted(self.keys, distinct)
-        per = np.bincount(doc, minlength=chunk.n)
-        return per, np.bincount(doc, self.count[pos][back], chunk.n).astype(np.int64), np.bincount(doc, self.score[pos][back], chunk.n)
+        number = self.numbers(chunk.codes, start, end)
+        count, score = self.count.room[number], self.score.room[number]
+        return np.bincount(doc, minlength=chunk.n), np.bincount(doc, count, chunk.n).astype(np.int64), np.bincount(doc, score, chunk.n)
 
 
 @lru_cache(maxsize=2)

@@ -8,7 +8,7 @@ import pytest
 from digitsort.llm import bagminhash as bm
 from digitsort.llm.textbatch import text_chunks
 
-from .conftest import ODD
+from .conftest import ODD, thue_morse
 
 
 def words(rng, n):
@@ -128,12 +128,6 @@ def test_shingles_follow_the_definition():
     assert np.bincount(doc, count, 5).tolist() == [2, 1, 0, 0, 8] and np.bincount(doc, minlength=5).tolist() == [2, 1, 0, 0, 1]
 
 
-def thue_morse(n):
-    """Two different words over a and b of 2^n letters that polynomial hashes modulo 2^64 don't tell apart from n = 10 on."""
-    word = "".join("ab"[k.bit_count() & 1] for k in range(1 << n))
-    return word, word.translate(str.maketrans("ab", "ba"))
-
-
 def test_words_with_colliding_polynomials_differ(docs_of):
     a, b = thue_morse(11)
     rows = [(1, a), (2, b), (3, a)]

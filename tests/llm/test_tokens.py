@@ -13,7 +13,7 @@ from tokenizers import Tokenizer
 from digitsort.llm import byte_bpe, pretokens, unigram
 from digitsort.llm.textbatch import text_chunks
 
-from .conftest import ODD
+from .conftest import ODD, thue_morse
 
 PATH = P.path("byte_bpe_multi_50k.tiktoken")
 PIECES = P.path("piece_bpe_32k.model")
@@ -129,7 +129,7 @@ def test_unigram_counts(docs_of):
 
 
 def test_trie_shares_prefixes():
-    table, byte = unigram.piece_table(PIECES)
+    table, byte = unigram.piece_trie(PIECES)
     words = ["abc", "abd", "ab", "xyz"]
     codes = np.array([ord(c) for w in words for c in w], np.uint32)
     size = np.array([len(w) for w in words])
@@ -147,3 +147,56 @@ def test_whole_table_digest(spark):
         ids = enc.encode_ordinary(texts[r["doc_id"]] or "")
         assert r["n_tokens"] == len(ids) and r["ids_sha256"] == hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest()
         assert r["decoded_sha256"] == hashlib.sha256((texts[r["doc_id"]] or "").encode()).hexdigest()
+
+
+ALIKE = [*thue_morse(10), " ".join(thue_morse(10)), *thue_morse(11)]
+
+
+def test_words_with_colliding_polynomials_keep_their_ids(docs_of):
+    enc = reference()
+    rows = byte_bpe.encode(docs_of(list(enumerate(ALIKE))), PATH, with_decoded=True).collect()
+    for r, text in zip(rows, ALIKE, strict=True):
+        assert np.frombuffer(r["ids"], "<u4").tolist() == enc.encode_ordinary(text) and bytes(r["decoded"]) == text.encode()
+
+
+def test_words_with_colliding_polynomials_keep_their_counts(docs_of):
+    rows = unigram.count_tokens(docs_of(list(enumerate(ALIKE))), PIECES).collect()
+    assert [r["n_tokens"] for r in rows] == [sum(brute(w)[1] for w in t.split()) for t in ALIKE]
+
+
+def test_memo_tells_spans_of_one_hash_apart(monkeypatch):
+    """With a hash of one bit nearly all spans collide, inside a chunk and with entries of earlier ones."""
+    monkeypatch.setattr(pretokens, "span_keys", lambda codes, start, end: ((end - start).astype(np.uint64) & np.uint64(1), np.zeros(len(start), bool)))
+    t = byte_bpe.library(PATH)
+    memo = pretokens.IdMemo(lambda p: [e.ids for e in t.encode_batch_fast(p, add_special_tokens=False)])
+    for text in ("one two three four five six seven", "one nine two", "six seven", "one two three"):
+        (_, c), = text_chunks(pa.array([text]))
+        assert memo.tokens(c)[0].tolist() == reference().encode_ordinary(text)
+
+
+def test_pieces_are_found_by_whole_steps():
+    scores, _ = unigram.vocabulary(PIECES)
+    trie, _ = unigram.piece_trie(PIECES)
+    for piece in list(scores)[::37]:
+        state = np.zeros(1, np.int64)
+        for c in reversed(piece):
+            state = trie.step(state, np.array([ord(c)]))
+        assert trie.score[state[0]] == scores[piece]
+    assert not any(p.strip(unigram.MARK) == "" and len(p) > 1 for p in scores)
+
+
+def test_whole_table_counts(spark):
+    """op6 over a whole table against the same dynamic program word by word."""
+    from functools import cache
+
+    from digitsort.llm import queries
+
+    one = cache(brute)
+    d = "/root/testdata/sf0.001"
+    texts = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{d}/documents.parquet").collect()}
+    rows = queries.op6_token_counts(spark, d).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        words = regex.split(r"\p{White_Space}+", (texts[r["doc_id"]] or ""))
+        found = [one(w) for w in words if w]
+        assert (r["n_pretokens"], r["n_tokens"]) == (len(found), sum(n for _, n in found))
