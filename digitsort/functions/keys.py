@@ -22,11 +22,6 @@ def digit(key: Column, position: int, bits: int = 8) -> Column:
     return F.shiftrightunsigned(key.bitwiseXOR(F.lit(MIN_LONG)), position * bits).bitwiseAND(F.lit((1 << bits) - 1))
 
 
-def digit_of_binary(key: Column, byte: int) -> Column:
-    """Byte ``byte`` (1: first) of a binary key; 0 past its end."""
-    return F.coalesce(F.conv(F.hex(F.substring(key, byte, 1)), 16, 10).cast("int"), F.lit(0))
-
-
 def mask(level: int, bits: int = 8) -> int:
     """The bits that the first ``level`` digits hold, as a signed number."""
     return -1 << max(0, 64 - bits * level)
@@ -51,54 +46,80 @@ def first_bytes(value: Column) -> Column:
     return F.conv(F.rpad(F.hex(F.substring(value, 1, KEY_BYTES)), 2 * KEY_BYTES, "0"), 16, -10).cast("long").bitwiseXOR(F.lit(MIN_LONG))
 
 
+def value_key(kind: T.DataType, c: Column) -> Column:
+    """Order key of a value by its type; nulls stay null.  Of strings and binaries: their first eight bytes."""
+    epoch = F.lit("1970-01-01 00:00:00").cast("timestamp_ntz")
+    if isinstance(kind, (T.ByteType, T.ShortType, T.IntegerType, T.LongType, T.BooleanType)):
+        return c.cast("long")
+    if isinstance(kind, (T.DoubleType, T.FloatType)):
+        return F.when(c.isNotNull(), double_order(c.cast("double")))
+    if isinstance(kind, T.DecimalType) and kind.precision <= 18:
+        return (c * F.lit(10**kind.scale).cast(T.DecimalType(19, 0))).cast("long")
+    if isinstance(kind, T.TimestampNTZType):
+        return F.timestamp_diff("MICROSECOND", epoch, c)
+    if isinstance(kind, T.TimestampType):
+        return F.unix_micros(c)
+    if isinstance(kind, T.DateType):
+        return F.unix_date(c).cast("long")
+    if isinstance(kind, T.DayTimeIntervalType):
+        return F.timestamp_diff("MICROSECOND", epoch, epoch + c)
+    if isinstance(kind, (T.StringType, T.BinaryType)):
+        return first_bytes(c.cast("binary"))
+    raise TypeError(f"{kind.simpleString()} has no order-preserving encoding")
+
+
+def whole(kind: T.DataType) -> bool:
+    """Whether equal order keys mean equal values."""
+    return not isinstance(kind, (T.StringType, T.BinaryType, T.ArrayType))
+
+
+def item_key(kind: T.ArrayType, c: Column, k: int) -> Column:
+    """Order key of an array's item; what isn't there, and null items, come before all values."""
+    return F.coalesce(value_key(kind.elementType, F.get(c, F.lit(k))), F.lit(MIN_LONG))
+
+
 def order_key(df: DataFrame, name: str, ascending: bool = True) -> Column:
     """Order key of a column by its type; nulls stay null."""
-    kind, c = df.schema[name].dataType, F.col(name)
-    if isinstance(kind, (T.ByteType, T.ShortType, T.IntegerType, T.LongType)):
-        k = c.cast("long")
-    elif isinstance(kind, (T.DoubleType, T.FloatType)):
-        k = F.when(c.isNotNull(), double_order(c.cast("double")))
-    elif isinstance(kind, T.DecimalType) and kind.precision <= 18:
-        k = (c * F.lit(10**kind.scale).cast(T.DecimalType(19, 0))).cast("long")
-    elif isinstance(kind, T.TimestampNTZType):
-        k = F.expr(f"timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', `{name}`)")
-    elif isinstance(kind, T.TimestampType):
-        k = F.unix_micros(c)
-    elif isinstance(kind, T.DateType):
-        k = F.unix_date(c).cast("long")
-    elif isinstance(kind, T.BooleanType):
-        k = c.cast("long")
-    elif isinstance(kind, T.DayTimeIntervalType):
-        k = F.expr(f"timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', TIMESTAMP_NTZ '1970-01-01 00:00:00' + `{name}`)")
-    elif isinstance(kind, (T.StringType, T.BinaryType)):
-        k = first_bytes(c.cast("binary"))
-    elif isinstance(kind, T.ArrayType):
-        k = F.when(F.size(c) > 0, double_order(F.get(c, F.lit(0)).cast("double"))) if isinstance(kind.elementType, (T.FloatType, T.DoubleType)) else F.get(c, F.lit(0)).cast("long")
-    else:
-        raise TypeError(f"{name}: {kind.simpleString()} has no order-preserving encoding")
+    kind, c = df.schema[name].dataType, F.col(f"`{name}`")
+    k = F.when(c.isNotNull(), item_key(kind, c, 0)) if isinstance(kind, T.ArrayType) else value_key(kind, c)
     return k if ascending else F.bitwise_not(k)
 
 
-def leading(df: DataFrame, name: str, ascending: bool = True, skip: bool = True) -> tuple[Column, Column | None]:
-    """Order keys of a column's first and next eight bytes (items); the latter only where a key can be longer.
+def common_bytes(low: bytes | None, high: bytes | None) -> int:
+    """Bytes that all values between two share at their start."""
+    if low is None:
+        return 0
+    return next((k for k, (x, y) in enumerate(zip(low, high, strict=False)) if x != y), min(len(low), len(high)))
 
-    With ``skip``, bytes that all strings start with are passed over.
-    """
+
+def leading(df: DataFrame, name: str, ascending: bool = True, skip: bool = True) -> Column:
+    """Order key of a column; with ``skip``, that of strings passes over the bytes that all of them start with."""
     kind = df.schema[name].dataType
-    turn = (lambda k: k) if ascending else F.bitwise_not
+    if skip and isinstance(kind, (T.StringType, T.BinaryType)):
+        value = F.col(name).cast("binary")
+        return _turned(first_bytes(F.substring(value, common_bytes(*df.agg(F.min(value), F.max(value)).first()) + 1, KEY_BYTES)), ascending)
+    return order_key(df, name, ascending)
+
+
+def following(df: DataFrame, rows: DataFrame, name: str, ascending: bool = True) -> Column | None:
+    """What orders ``rows`` of ``df``, equal in ``leading``, further: the bytes or items after those that all of them share; null if they're equal."""
+    kind, c = df.schema[name].dataType, F.col(name)
     if isinstance(kind, (T.StringType, T.BinaryType)):
-        value, common = F.col(name).cast("binary"), 0
-        if skip:
-            low, high = df.agg(F.min(F.col(name).cast("binary")), F.max(F.col(name).cast("binary"))).first()
-            while low is not None and common < min(len(low), len(high)) and low[common] == high[common]:
-                common += 1
-        part = lambda at: turn(first_bytes(F.substring(value, at + 1, KEY_BYTES)))
-        return part(common), part(common + KEY_BYTES)
+        value = c.cast("binary")
+        low, high = rows.agg(F.min(value), F.max(value)).first()
+        if low == high:
+            return None
+        return _turned(first_bytes(F.substring(value, common_bytes(bytes(low), bytes(high)) + 1, KEY_BYTES)), ascending)
     if isinstance(kind, T.ArrayType):
-        real = isinstance(kind.elementType, (T.FloatType, T.DoubleType))
-        item = lambda k: turn(double_order(F.get(F.col(name), F.lit(k)).cast("double")) if real else F.get(F.col(name), F.lit(k)).cast("long"))
-        return F.when(F.size(name) > 0, item(0)).otherwise(F.when(F.col(name).isNotNull(), turn(F.lit(MIN_LONG)))), F.when(F.size(name) > 1, item(1)).otherwise(turn(F.lit(MIN_LONG)))
-    return order_key(df, name, ascending), None
+        low, high = rows.agg(F.min(c), F.max(c)).first()
+        if low == high:
+            return None
+        return _turned(item_key(kind, c, next((k for k, (x, y) in enumerate(zip(low, high, strict=False)) if x != y), min(len(low), len(high)))), ascending)
+    return None
+
+
+def _turned(key: Column, ascending: bool) -> Column:
+    return key if ascending else F.bitwise_not(key)
 
 
 def encode(df: DataFrame, columns: list[str], ascending: list[bool] | None = None, nulls_first: bool = True) -> Column:

@@ -102,8 +102,11 @@ def digits(keys: np.ndarray, position: int) -> np.ndarray:
 
 
 def split_plain(keys: np.ndarray, position: int) -> tuple[np.ndarray, np.ndarray]:
-    """(order, offsets of the 256 bins): counting, then placing, without buffers."""
-    d = digits(keys, position)
+    """(order, offsets of the 256 bins): counting, then placing, without buffers.
+
+    The stable order by an eight-bit digit is numpy's own counting sort.
+    """
+    d = digits(keys, position).astype(np.uint8)
     base = np.concatenate([[0], np.cumsum(np.bincount(d, minlength=256))])
     return np.argsort(d, kind="stable"), base
 
@@ -121,7 +124,7 @@ def split_staged(keys: np.ndarray, position: int, staging: int = 256, record: in
     order = np.empty(len(keys), np.int64)
     at, held, flushes = base[:-1].copy(), [np.zeros(0, np.int64)] * 256, 0
     for k in range(0, len(keys), piece):
-        local = np.argsort(d[k : k + piece], kind="stable")
+        local = np.argsort(d[k : k + piece].astype(np.uint8), kind="stable")
         cut = np.concatenate([[0], np.cumsum(np.bincount(d[k : k + piece], minlength=256))])
         for v in np.flatnonzero(np.diff(cut)).tolist():
             rows = np.concatenate([held[v], local[cut[v] : cut[v + 1]] + k])
@@ -137,39 +140,49 @@ def split_staged(keys: np.ndarray, position: int, staging: int = 256, record: in
     return order, base, flushes
 
 
-def light_pass(keys: np.ndarray, position: int, total: int, rules, cache_bytes: int = 256 << 10, record: int = 16) -> tuple[np.ndarray, dict[str, int]]:
+def light_pass(keys: np.ndarray, position: int, total: int, rules, cache_bytes: int = 256 << 10, record: int = 16, key_bytes: int = 8) -> tuple[np.ndarray, dict[str, int]]:
     """Sorted order of a bin's keys by one worker, and counts of what it did.
 
-    Bins wait on a stack (one worker's queue order doesn't change its result).
+    Bins wait in a queue, largest first; those under ``total`` / queue_div go on at
+    once instead, without passing through it.
     """
+    import heapq
+
     from ..plans.bins import pick_split, pick_tiny
 
     order = np.arange(len(keys))
-    tally = {"plain": 0, "staged": 0, "insertion": 0, "shell": 0, "introspective": 0, "compared": 0, "moved": 0}
-    todo = [(0, len(keys), position)]
-    while todo:
-        low, high, p = todo.pop()
-        part = order[low:high]
-        kind = pick_split((high - low) * record, cache_bytes)
-        tally[kind] += 1
-        new, base = split_plain(keys[part], p) if kind == "plain" else split_staged(keys[part], p)[:2]
-        order[low:high] = part[new]
-        if p == 0:
-            continue
-        for v in np.flatnonzero(np.diff(base)).tolist():
-            a, b = low + int(base[v]), low + int(base[v + 1])
-            n = b - a
-            strong = rules.narrow is not None and high - low > rules.narrow * n
-            if rules.tiny and (n <= rules.small if strong else n < rules.tiny):
-                name = pick_tiny(n, 8, rules)
-                rows = list(zip(keys[order[a:b]].tolist(), order[a:b].tolist(), strict=True))
-                c, m = FINISHERS[name](rows)
-                order[a:b] = [r[1] for r in rows]
-                tally[name] += 1
-                tally["compared"] += c
-                tally["moved"] += m
-            else:
-                todo.append((a, b, p - 1))
+    tally = {"plain": 0, "staged": 0, "insertion": 0, "shell": 0, "introspective": 0, "queued": 0, "recursed": 0, "compared": 0, "moved": 0}
+    queue = [(-len(keys), 0, len(keys), position)]
+    while queue:
+        _, *first = heapq.heappop(queue)
+        mine = [tuple(first)]
+        while mine:
+            low, high, p = mine.pop()
+            part = order[low:high]
+            kind = pick_split((high - low) * record, cache_bytes)
+            tally[kind] += 1
+            new, base = split_plain(keys[part], p) if kind == "plain" else split_staged(keys[part], p)[:2]
+            order[low:high] = part[new]
+            if p == 0:
+                continue
+            for v in np.flatnonzero(np.diff(base)).tolist():
+                a, b = low + int(base[v]), low + int(base[v + 1])
+                n = b - a
+                strong = rules.narrow is not None and high - low > rules.narrow * n
+                if rules.tiny and (n <= rules.small if strong else n < rules.tiny):
+                    name = pick_tiny(n, key_bytes, rules)
+                    rows = list(zip(keys[order[a:b]].tolist(), order[a:b].tolist(), strict=True))
+                    c, m = FINISHERS[name](rows)
+                    order[a:b] = [r[1] for r in rows]
+                    tally[name] += 1
+                    tally["compared"] += c
+                    tally["moved"] += m
+                elif n * rules.queue_div < total:
+                    tally["recursed"] += 1
+                    mine.append((a, b, p - 1))
+                else:
+                    tally["queued"] += 1
+                    heapq.heappush(queue, (-n, a, b, p - 1))
     return order, tally
 
 

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Accumulator
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -31,7 +32,11 @@ def place(routed: DataFrame, name: str) -> DataFrame:
     Range exchanges sample anew each time they run, so the rows are written once,
     each with its partition and place, and both steps read that table.
     """
-    marked = written(routed.withColumn("_id", F.monotonically_increasing_id()), "placed", "lz4")
+    columns = routed.columns
+    if name in columns:
+        raise ValueError(f"there is a column {name} already")
+    rows = routed.toDF(*(f"c{k}" for k in range(len(columns))))
+    marked = written(rows.withColumn("_id", F.monotonically_increasing_id()), "placed", "lz4")
     part = F.shiftright("_id", 33)
     sizes = marked.groupBy(part.alias("_p")).agg(F.count("*").alias("n")).orderBy("_p").collect()  # as many rows as partitions
     base, at = [], {}
@@ -41,7 +46,24 @@ def place(routed: DataFrame, name: str) -> DataFrame:
         total += r["n"]
     base = [at.get(k, 0) for k in range(max(at, default=-1) + 1)] or [0]
     start = F.get(F.lit(base).cast("array<long>"), part.cast("int"))
-    return marked.withColumn(name, start + F.col("_id").bitwiseAND(F.lit((1 << 33) - 1))).drop("_id")
+    return marked.withColumn("_id", start + F.col("_id").bitwiseAND(F.lit((1 << 33) - 1))).toDF(*columns, name)
+
+
+def bases(counts: DataFrame) -> DataFrame:
+    """(_chunk, _digit, _base) from (_chunk, _digit, _n): rows of smaller digits, and of the digit in earlier chunks.
+
+    Two small windows: one over the digits' sums, at most as many rows as digits,
+    and one for each digit over its chunks.
+    """
+    before = Window.orderBy("_digit").rowsBetween(Window.unboundedPreceding, -1)
+    digits = counts.groupBy("_digit").agg(F.sum("_n").alias("_all")).select("_digit", F.coalesce(F.sum("_all").over(before), F.lit(0)).alias("_smaller"))
+    earlier = Window.partitionBy("_digit").orderBy("_chunk").rowsBetween(Window.unboundedPreceding, -1)
+    running = counts.withColumn("_earlier", F.coalesce(F.sum("_n").over(earlier), F.lit(0)))
+    return running.join(F.broadcast(digits), "_digit").select("_chunk", "_digit", (F.col("_smaller") + F.col("_earlier")).alias("_base"))
+
+
+def _marked(df: DataFrame, key: str, position: int, pos: str, chunk_rows: int, bits: int) -> DataFrame:
+    return df.withColumn("_digit", keys.digit(F.col(key), position, bits)).withColumn("_chunk", F.floor(F.col(pos) / chunk_rows).cast("long"))
 
 
 def counting_pass(df: DataFrame, key: str, position: int, pos: str = "pos", chunk_rows: int = 1 << 16, bits: int = 8) -> DataFrame:
@@ -50,15 +72,56 @@ def counting_pass(df: DataFrame, key: str, position: int, pos: str = "pos", chun
     Rows count within (chunk, digit); a small table adds what smaller digits and
     earlier chunks hold.  One shuffle of rows, by chunk and digit.
     """
-    marked = df.withColumn("_digit", keys.digit(F.col(key), position, bits)).withColumn("_chunk", F.floor(F.col(pos) / chunk_rows).cast("long"))
-    counts = marked.groupBy("_chunk", "_digit").agg(F.count("*").alias("_n"))
-    running = Window.orderBy("_digit", "_chunk").rowsBetween(Window.unboundedPreceding, -1)  # chunks x 256 rows
-    base = counts.withColumn("_base", F.coalesce(F.sum("_n").over(running), F.lit(0))).drop("_n")
+    marked = _marked(df, key, position, pos, chunk_rows, bits)
+    base = bases(marked.groupBy("_chunk", "_digit").agg(F.count("*").alias("_n")))
     within = Window.partitionBy("_chunk", "_digit").orderBy(pos)
     placed = marked.withColumn("_k", F.row_number().over(within) - 1)
     return placed.join(base, ["_chunk", "_digit"]).withColumn("new_pos", F.col("_base") + F.col("_k")).drop("_chunk", "_digit", "_base", "_k")
 
 
+def staged_pass(df: DataFrame, key: str, position: int, pos: str, staging: int, chunk_rows: int = 1 << 16, flushes: Accumulator | None = None) -> DataFrame:
+    """The same, each chunk split by the kernel with buffers of ``staging`` bytes for each digit.
+
+    One shuffle of rows, by chunk; a task holds one chunk at a time.  ``flushes``
+    counts the blocks that buffers wrote.
+    """
+    ship_package(df.sparkSession)
+    marked = _marked(df, key, position, pos, chunk_rows, 8)
+    base = bases(marked.groupBy("_chunk", "_digit").agg(F.count("*").alias("_n")))
+    chunks = marked.drop("_digit").repartition("_chunk").sortWithinPartitions("_chunk", pos)
+    at, chunk_at = chunks.columns.index(key), chunks.columns.index("_chunk")
+    names = [*chunks.columns, "_digit", "_k"]
+
+    def split(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        rows = pa.concat_batches(held)
+        k = rows.column(at).to_numpy(zero_copy_only=False).astype(np.int64)
+        order, begin, wrote = kernels.split_staged(k, position, staging)
+        if flushes is not None:
+            flushes.add(wrote)
+        d = kernels.digits(k, position)[order]
+        return pa.RecordBatch.from_arrays([*rows.take(pa.array(order)).columns, pa.array(d), pa.array(np.arange(len(k)) - begin[d])], names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        now = None
+        for batch in batches:
+            c = batch.column(chunk_at).to_numpy()
+            cut = [0, *(np.flatnonzero(np.diff(c)) + 1).tolist(), len(c)]
+            for a, b in zip(cut[:-1], cut[1:], strict=True):
+                if a == b:
+                    continue
+                if held and c[a] != now:
+                    yield split(held)
+                    held = []
+                now = c[a]
+                held.append(batch.slice(a, b - a))
+        if held:
+            yield split(held)
+
+    placed = chunks.mapInArrow(run, T.StructType(list(chunks.schema.fields)).add("_digit", "long").add("_k", "long"))
+    return placed.join(base, ["_chunk", "_digit"]).withColumn("new_pos", F.col("_base") + F.col("_k")).drop("_chunk", "_digit", "_base", "_k")
+
+
 def parallel_split(df: DataFrame, key: str, position: int, chunk: Column) -> DataFrame:
     """(chunk, digit, n, base): where each chunk writes its rows of each digit."""
     counts = df.select(chunk.alias("chunk"), keys.digit(F.col(key), position).alias("digit")).groupBy("chunk", "digit").agg(F.count("*").alias("n"))

@@ -5,7 +5,8 @@ and greatest key; those over the threshold are counted again (only their rows,
 only the key column) by the next byte in which their keys differ, until they are
 light or hold one key.  Adjacent bins are packed into
 partitions of even size, in key order; a bin of one key that is still too large is
-cut by the quantiles of the next sort column, or by a hash where there's none.
+cut by the quantiles of what orders its rows further (later bytes of the key, or
+the next sort column), or by a hash where there's nothing.
 
 What the driver holds is the borders: at most ``partitions`` plus the heavy keys'
 cuts.  Rows find their partition by a binary search over literals (few borders) or
@@ -14,6 +15,7 @@ by a broadcast table of at most 65,536 prefixes.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
@@ -42,7 +44,7 @@ class Partitions:
     bins: list[Bin]
     first: list[int]  # least key of each partition, ascending
     pieces: list[int]  # partitions that a partition's single key is cut into
-    cuts: dict[int, list[int]] = field(default_factory=dict)  # of single-key partitions: borders of the next column
+    cuts: dict[int, tuple[Column, list[int]]] = field(default_factory=dict)  # of single-key partitions: what orders their rows, and its borders
     scans: int = 1
     heavy: int = 0
     max_rows: int = 0
@@ -66,8 +68,8 @@ def common_prefix_bits(low: int, high: int) -> int:
     return 64 - ((low ^ high) % _U).bit_length()
 
 
-def plan_partitions(df: DataFrame, key: str, partitions: int, next_col: str | None = None, r: Rules | None = None, skip: bool = True, sampled: bool = False, least_rows: int = 1) -> Partitions:
-    """``key``: a column of order keys without nulls; ``next_col``: the next sort column's; ``least_rows``: worth a partition."""
+def plan_partitions(df: DataFrame, key: str, partitions: int, further: Callable[[DataFrame], Column | None] | None = None, r: Rules | None = None, skip: bool = True, sampled: bool = False, least_rows: int = 1) -> Partitions:
+    """``key``: a column of order keys without nulls; ``further``: what orders given rows of one key (no nulls); ``least_rows``: worth a partition."""
     r = r or Rules()
     if sampled:
         return _sampled(df, key, max(1, min(partitions, -(-df.count() // least_rows))))
@@ -112,11 +114,12 @@ def plan_partitions(df: DataFrame, key: str, partitions: int, next_col: str | No
             plan.first.append(b.lo)
             plan.pieces.append(max(1, min(partitions, b.n // target)) if alone else 1)
             room = 0
-            if alone and next_col and plan.pieces[-1] > 1:
+            rows = df.filter(F.col(key) == b.lo)
+            if alone and further and plan.pieces[-1] > 1 and (then := further(rows)) is not None:
                 m = plan.pieces[-1]
-                marks = df.filter(F.col(key) == b.lo).agg(F.percentile_approx(next_col, [k / m for k in range(1, m)], 10_000)).first()[0] or []
-                plan.cuts[len(plan.first) - 1] = sorted(set(marks))
-                plan.pieces[-1] = len(plan.cuts[len(plan.first) - 1]) + 1
+                marks = rows.agg(F.percentile_approx(then, [k / m for k in range(1, m)], 10_000)).first()[0] or []
+                plan.cuts[len(plan.first) - 1] = then, sorted(set(marks))
+                plan.pieces[-1] = len(plan.cuts[len(plan.first) - 1][1]) + 1
         room += b.n
         plan.max_rows = max(plan.max_rows, -(-room // plan.pieces[-1]))
     return plan
@@ -138,7 +141,7 @@ def _search(key: Column, first: list[int], at: list[int], low: int, high: int) -
     return F.when(key < F.lit(first[mid]), _search(key, first, at, low, mid)).otherwise(_search(key, first, at, mid, high))
 
 
-def route(df: DataFrame, key: str, plan: Partitions, next_col: str | None = None, literals: int = 128) -> DataFrame:
+def route(df: DataFrame, key: str, plan: Partitions, literals: int = 128) -> DataFrame:
     """``df`` in ``plan.count`` partitions whose ids follow key order: the one full shuffle."""
     if not plan.first:
         return df.coalesce(1)
@@ -166,7 +169,7 @@ def route(df: DataFrame, key: str, plan: Partitions, next_col: str | None = None
         which = F.get(F.array(*map(F.lit, ids)), F.col("_entry")) if ids != list(range(len(ids))) else F.col("_entry")
     for entry, m in enumerate(plan.pieces):
         if m > 1:
-            cuts = plan.cuts.get(entry)
-            part = F.size(F.filter(F.array(*(F.lit(c) for c in cuts)), lambda x: x < F.col(next_col))) if cuts is not None else F.pmod(F.xxhash64(*df.columns), F.lit(m)).cast("int")
+            then, cuts = plan.cuts.get(entry, (None, []))
+            part = sum((F.when(then > F.lit(c), 1).otherwise(0) for c in cuts), F.lit(0)) if then is not None else F.pmod(F.xxhash64(*df.columns), F.lit(m)).cast("int")
             which = F.when(k == F.lit(plan.first[entry]), F.lit(ids[entry]) + part).otherwise(which)
     return rows.withColumn("_part", which.cast("int")).repartitionById(plan.count, "_part").select(*df.columns)
