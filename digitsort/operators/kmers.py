@@ -2,13 +2,10 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..session import scratch_dir, ship_package
+from ..session import scratch_dir
 
 
 def bin_of(kmer: Column, bins: int = 256) -> Column:
@@ -29,7 +26,8 @@ def distribute(kmers: DataFrame, bins: int = 256, combine: bool = True) -> DataF
     path = f"{scratch_dir(spark)}/kmers-{uuid.uuid4().hex[:8]}"
     tasks = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     placed = rows.withColumn("bin", bin_of(F.col("kmer"), bins))
-    spread = placed.repartition(tasks, "bin") if combine else placed.repartition(tasks, "bin", F.pmod(F.monotonically_increasing_id(), F.lit(4)))
+    # a bin has as many files as tasks can share its rows
+    spread = placed.repartition(tasks, "bin", F.pmod(F.xxhash64("kmer"), F.lit(-(-tasks // bins)))) if combine else placed.repartition(tasks, "bin", F.pmod(F.monotonically_increasing_id(), F.lit(max(4, -(-tasks // bins)))))
     spread.write.partitionBy("bin").parquet(path)
     return spark.read.schema("kmer string, n long, bin int").parquet(path)
 
@@ -37,33 +35,13 @@ def distribute(kmers: DataFrame, bins: int = 256, combine: bool = True) -> DataF
 def count(stored: DataFrame) -> DataFrame:
     """Stage two: each bin's k-mers sorted, equal neighbours added up: (bin, kmer, n).
 
-    Bins are closed under equality, so runs end inside a partition.
+    Bins are closed under equality, and so are the parts of one that go to
+    different tasks: tasks aren't bounded by the number of bins.  The counts are
+    added up in the same stage, without another exchange.
     """
-    spark = stored.sparkSession
-    ship_package(spark)
-    ordered = stored.select("bin", "kmer", "n").repartition("bin").sortWithinPartitions("bin", "kmer")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last, total = None, 0
-        for batch in batches:
-            out: list[tuple] = []
-            for b, k, n in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if (b, k) == last:
-                    total += n
-                    continue
-                if last is not None:
-                    out.append((*last, total))
-                last, total = (b, k), n
-            yield _batch(out)
-        if last is not None:
-            yield _batch([(*last, total)])
-
-    return ordered.mapInArrow(run, "bin int, kmer string, n long")
-
-
-def _batch(rows: list[tuple]) -> pa.RecordBatch:
-    columns = list(zip(*rows, strict=True)) if rows else [(), (), ()]
-    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.string(), pa.int64()), strict=True)], ["bin", "kmer", "n"])
+    tasks = max(1, int(stored.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    ordered = stored.select("bin", "kmer", "n").repartition(tasks, "bin", "kmer").sortWithinPartitions("bin", "kmer")
+    return ordered.groupBy("bin", "kmer").agg(F.sum("n").alias("n"))
 
 
 def _code(text: Column) -> Column:

@@ -16,6 +16,8 @@ from ..plans import bins
 from ..session import ship_package, written
 from . import kernels
 
+CHUNK_ROWS = 1 << 16
+
 
 def with_position(df: DataFrame, order: list[str]) -> DataFrame:
     """Arrival position ``pos`` from 0, by a total order of columns.
@@ -62,42 +64,53 @@ def bases(counts: DataFrame) -> DataFrame:
     return running.join(F.broadcast(digits), "_digit").select("_chunk", "_digit", (F.col("_smaller") + F.col("_earlier")).alias("_base"))
 
 
-def _marked(df: DataFrame, key: str, position: int, pos: str, chunk_rows: int, bits: int) -> DataFrame:
-    return df.withColumn("_digit", keys.digit(F.col(key), position, bits)).withColumn("_chunk", F.floor(F.col(pos) / chunk_rows).cast("long"))
+def _marked(df: DataFrame, key: str, position: int, pos: str, chunk: Column | None, bits: int = 8) -> DataFrame:
+    chunk = F.floor(F.col(pos) / CHUNK_ROWS) if chunk is None else chunk
+    return df.withColumn("_digit", keys.digit(F.col(key), position, bits)).withColumn("_chunk", chunk.cast("long"))
+
+
+def _based(placed: DataFrame, marked: DataFrame) -> DataFrame:
+    base = bases(marked.groupBy("_chunk", "_digit").agg(F.count("*").alias("_n")))
+    return placed.join(base, ["_chunk", "_digit"]).withColumn("new_pos", F.col("_base") + F.col("_k")).drop("_chunk", "_digit", "_base", "_k")
 
 
-def counting_pass(df: DataFrame, key: str, position: int, pos: str = "pos", chunk_rows: int = 1 << 16, bits: int = 8) -> DataFrame:
+def counting_pass(df: DataFrame, key: str, position: int, pos: str = "pos", chunk: Column | None = None, bits: int = 8) -> DataFrame:
     """``df`` with ``new_pos``: rows by one digit, equal digits in their old order.
 
     Rows count within (chunk, digit); a small table adds what smaller digits and
-    earlier chunks hold.  One shuffle of rows, by chunk and digit.
+    earlier chunks hold.  One shuffle of rows, by chunk and digit.  ``chunk``: of a row,
+    by its position; CHUNK_ROWS rows each, unless given.
     """
-    marked = _marked(df, key, position, pos, chunk_rows, bits)
-    base = bases(marked.groupBy("_chunk", "_digit").agg(F.count("*").alias("_n")))
+    marked = _marked(df, key, position, pos, chunk, bits)
     within = Window.partitionBy("_chunk", "_digit").orderBy(pos)
-    placed = marked.withColumn("_k", F.row_number().over(within) - 1)
-    return placed.join(base, ["_chunk", "_digit"]).withColumn("new_pos", F.col("_base") + F.col("_k")).drop("_chunk", "_digit", "_base", "_k")
+    return _based(marked.withColumn("_k", F.row_number().over(within) - 1), marked)
+
 
+def staged_pass(df: DataFrame, key: str, position: int, pos: str, staging: int | None, chunk: Column | None = None, flushes: Accumulator | None = None) -> DataFrame:
+    """The same with the local kernel: ``staging`` bytes of buffer for each digit, or none."""
+    return _based(chunk_split(df, key, position, pos, staging, chunk, flushes), _marked(df, key, position, pos, chunk))
 
-def staged_pass(df: DataFrame, key: str, position: int, pos: str, staging: int, chunk_rows: int = 1 << 16, flushes: Accumulator | None = None) -> DataFrame:
-    """The same, each chunk split by the kernel with buffers of ``staging`` bytes for each digit.
+
+def chunk_split(df: DataFrame, key: str, position: int, pos: str, staging: int | None, chunk: Column | None = None, flushes: Accumulator | None = None) -> DataFrame:
+    """``df`` with ``_chunk``, ``_digit`` and ``_k``, the place in the chunk's bin, by the plain or the staged kernel.
 
     One shuffle of rows, by chunk; a task holds one chunk at a time.  ``flushes``
     counts the blocks that buffers wrote.
     """
     ship_package(df.sparkSession)
-    marked = _marked(df, key, position, pos, chunk_rows, 8)
-    base = bases(marked.groupBy("_chunk", "_digit").agg(F.count("*").alias("_n")))
-    chunks = marked.drop("_digit").repartition("_chunk").sortWithinPartitions("_chunk", pos)
+    chunks = _marked(df, key, position, pos, chunk).drop("_digit").repartition("_chunk").sortWithinPartitions("_chunk", pos)
     at, chunk_at = chunks.columns.index(key), chunks.columns.index("_chunk")
     names = [*chunks.columns, "_digit", "_k"]
 
     def split(held: list[pa.RecordBatch]) -> pa.RecordBatch:
         rows = pa.concat_batches(held)
         k = rows.column(at).to_numpy(zero_copy_only=False).astype(np.int64)
-        order, begin, wrote = kernels.split_staged(k, position, staging)
-        if flushes is not None:
-            flushes.add(wrote)
+        if staging is None:
+            order, begin = kernels.split_plain(k, position)
+        else:
+            order, begin, wrote = kernels.split_staged(k, position, staging)
+            if flushes is not None:
+                flushes.add(wrote)
         d = kernels.digits(k, position)[order]
         return pa.RecordBatch.from_arrays([*rows.take(pa.array(order)).columns, pa.array(d), pa.array(np.arange(len(k)) - begin[d])], names)
 
@@ -118,15 +131,14 @@ def staged_pass(df: DataFrame, key: str, position: int, pos: str, staging: int,
         if held:
             yield split(held)
 
-    placed = chunks.mapInArrow(run, T.StructType(list(chunks.schema.fields)).add("_digit", "long").add("_k", "long"))
-    return placed.join(base, ["_chunk", "_digit"]).withColumn("new_pos", F.col("_base") + F.col("_k")).drop("_chunk", "_digit", "_base", "_k")
+    return chunks.mapInArrow(run, T.StructType(list(chunks.schema.fields)).add("_digit", "long").add("_k", "long"))
 
 
 def parallel_split(df: DataFrame, key: str, position: int, chunk: Column) -> DataFrame:
     """(chunk, digit, n, base): where each chunk writes its rows of each digit."""
-    counts = df.select(chunk.alias("chunk"), keys.digit(F.col(key), position).alias("digit")).groupBy("chunk", "digit").agg(F.count("*").alias("n"))
-    w = Window.orderBy("digit", "chunk").rowsBetween(Window.unboundedPreceding, -1)
-    return counts.withColumn("base", F.coalesce(F.sum("n").over(w), F.lit(0)))
+    counts = df.select(chunk.alias("_chunk"), keys.digit(F.col(key), position).alias("_digit")).groupBy("_chunk", "_digit").agg(F.count("*").alias("_n"))
+    both = counts.join(bases(counts), ["_chunk", "_digit"])
+    return both.select(F.col("_chunk").alias("chunk"), F.col("_digit").alias("digit"), F.col("_n").alias("n"), F.col("_base").alias("base"))
 
 
 def chunk_of(pos: Column, plan: list[tuple[int, int, int]]) -> Column:
@@ -149,27 +161,4 @@ def staging_flushes(df: DataFrame, key: str, position: int, staging: int, chunk:
     return per.groupBy("digit").agg(F.sum("n").alias("n"), F.sum(F.ceil(F.col("n") / slots)).alias("flushes"))
 
 
-def local_split(df: DataFrame, key: str, position: int, staged: int | None = None) -> DataFrame:
-    """Rows of each partition placed by one digit with the plain or the staged kernel: adds ``digit`` and ``place`` in its partition's bin.
-
-    Arrow batches are a partition's bounded pieces; counters carry over.
-    """
-    ship_package(df.sparkSession)
-    at = df.columns.index(key)
-    names = [*df.columns, "digit", "place"]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = np.zeros(256, np.int64)
-        for batch in batches:
-            k = batch.column(at).to_numpy(zero_copy_only=False).astype(np.int64)
-            order, base = kernels.split_plain(k, position) if staged is None else kernels.split_staged(k, position, staged)[:2]
-            d = kernels.digits(k, position)[order]
-            placed = np.arange(len(k)) - base[d] + seen[d]
-            seen += np.diff(base)
-            out = batch.take(pa.array(order))
-            yield pa.RecordBatch.from_arrays([*out.columns, pa.array(d), pa.array(placed)], names)
-
-    return df.mapInArrow(run, T.StructType(list(df.schema.fields)).add("digit", "long").add("place", "long"))
-
-
-__all__ = ["bins", "chunk_of", "counting_pass", "local_split", "parallel_split", "place", "staging_flushes", "with_position"]
+__all__ = ["bins", "chunk_of", "chunk_split", "counting_pass", "parallel_split", "place", "staged_pass", "staging_flushes", "with_position"]

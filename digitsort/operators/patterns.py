@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import bisect
+from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -59,79 +61,114 @@ def pieces(texts: DataFrame, length: int = 12) -> DataFrame:
 
 
 class Probes:
-    """Binary searches that count the comparisons they make."""
+    """Binary searches in sorted texts that count the comparisons they make."""
 
-    def __init__(self, keys: list[str]) -> None:
+    def __init__(self, keys) -> None:
         self.keys, self.made = keys, 0
 
+    def head(self, at: int, n: int) -> str:
+        self.made += 1
+        return str(self.keys[at])[:n]
+
     def lower(self, x: str, low: int, high: int, past: bool = False) -> int:
         n = len(x)
         while low < high:
             mid = (low + high) // 2
-            self.made += 1
-            head = self.keys[mid][:n]
+            head = self.head(mid, n)
             if head < x or (past and head == x):
                 low = mid + 1
             else:
                 high = mid
         return low
 
+    def onward(self, x: str, start: int, past: bool = False) -> int:
+        """The same from ``start``, by doubling steps and a search in the last one."""
+        low, high, step = start, start, 1
+        while high < len(self.keys) and ((head := self.head(high, len(x))) < x or (past and head == x)):
+            low, high, step = high + 1, high + step, 2 * step
+        return self.lower(x, low, min(high, len(self.keys)), past)
+
+
+Found = list[tuple[int, int, int]]
+
 
-def search_one_by_one(keys: list[str], patterns: list[str]) -> tuple[list[int], int]:
-    """(occurrences, probes): two searches over all suffixes for each pattern."""
+def search_one_by_one(keys, patterns: list[str]) -> Found:
+    """(first match, occurrences, probes) of each pattern: two searches over all suffixes."""
     p, out = Probes(keys), []
     for x in patterns:
+        before = p.made
         a = p.lower(x, 0, len(keys))
-        out.append(p.lower(x, a, len(keys), past=True) - a)
-    return out, p.made
+        out.append((a, p.lower(x, a, len(keys), past=True) - a, p.made - before))
+    return out
 
 
-def search_sorted(keys: list[str], patterns: list[str], prefix: int | None = None) -> tuple[list[int], int]:
+def search_sorted(keys, patterns: list[str], prefix: int | None = None) -> Found:
     """The same with patterns sorted (by a prefix of theirs only, if given): each search begins where the last one ended.
 
-    The upper end is found by doubling steps from there, so near patterns take few probes.
+    Both ends are found by doubling steps from there, so near patterns take few
+    probes.  Within one prefix patterns aren't sorted: a search then begins where
+    the prefix's first one did.
     """
-    p = Probes(keys)
+    p, out = Probes(keys), [(0, 0, 0)] * len(patterns)
     order = sorted(range(len(patterns)), key=lambda k: patterns[k][:prefix] if prefix else patterns[k])
-    out, low, last = [0] * len(patterns), 0, None
+    low, head, of_head = 0, None, 0
     for k in order:
-        x = patterns[k]
-        start = low
-        if prefix and last is not None and x < last:  # within one prefix patterns aren't sorted
-            start = bisect.bisect_left(keys, x[:prefix], 0, low) if low else 0
-            p.made += max(1, low).bit_length()
-        step, high = 1, start
-        while high < len(keys):
-            p.made += 1
-            if keys[high][: len(x)] >= x:
-                break
-            high, step = high + step, 2 * step
-        a = p.lower(x, start, min(high + 1, len(keys)))
-        out[k] = p.lower(x, a, len(keys), past=True) - a
-        low, last = a, x
-    return out, p.made
+        x, before = patterns[k], p.made
+        if prefix and x[:prefix] != head:
+            head, of_head = x[:prefix], p.lower(x[:prefix], of_head, len(keys)) if head is not None and x[:prefix] >= head else 0
+            low = of_head
+        start = of_head if prefix else low
+        a = p.onward(x, start)
+        out[k] = a, p.onward(x, a, past=True) - a, p.made - before
+        low = a
+    return out
 
 
 def search(docs: DataFrame, patterns: DataFrame, how: str = "sorted", prefix: int | None = None, parts: int | None = None) -> DataFrame:
-    """(part, pattern, occurrences, probes_in_part): in each range of the suffix array, the patterns that can lie there.
+    """(pattern, occurrences, low, probes): ``low`` is the first match's rank in the suffix array, null without a match.
 
-    Suffixes are dealt out by their first four characters; a pattern goes to the
-    part of its own, so what it matches lies in that part's sorted suffixes.
+    Suffixes, as long as the longest pattern, are sorted by the adaptive sort; a
+    partition is a range of the suffix array.  A pattern goes to the ranges whose
+    borders it can lie between (a short one may lie in many), and is searched
+    there.  A task holds one range and its patterns.  Patterns of any length;
+    null ones are left out, and the empty one is found everywhere.
     """
     spark = docs.sparkSession
     ship_package(spark)
-    found = suffixes(docs)
-    parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    part = lambda c: F.pmod(F.xxhash64(F.substring(c, 1, 4)), F.lit(4 * parts)).cast("int")
-    left = written(found.select(part("prefix").alias("part"), "prefix"), "suffixes", "lz4")
-    right = patterns.select(part("pattern").alias("part"), "pattern")
-
-    def run(key: tuple, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        keys, wanted = sorted(a["prefix"], key=str.encode), list(b["pattern"])
-        if not wanted:
-            return pd.DataFrame({"part": [], "pattern": [], "occurrences": [], "probes_in_part": []})
-        # code point order is UTF-8 byte order
-        n, made = search_one_by_one(keys, wanted) if how == "naive" else search_sorted(keys, wanted, prefix)
-        return pd.DataFrame({"part": int(key[0]), "pattern": wanted, "occurrences": n, "probes_in_part": made})
-
-    return left.groupBy("part").cogroup(right.groupBy("part")).applyInPandas(run, "part int, pattern string, occurrences long, probes_in_part long")
+    wanted = patterns.select("pattern").filter("pattern IS NOT NULL").distinct()
+    longest = wanted.agg(F.max(F.length("pattern"))).first()[0] or 1
+    ordered = sorts.adaptive_msd(suffixes(docs, max(1, longest)), ["prefix", "doc_id", "at"], partitions=parts)
+    placed = written(ordered.select(F.spark_partition_id().alias("part"), "prefix"), "suffixes", "lz4")
+    ranges = placed.groupBy("part").agg(F.count("*").alias("n"), F.min("prefix").alias("low"), F.max("prefix").alias("high")).orderBy("part").collect()  # as many rows as partitions
+    lows, highs = [r["low"].encode() for r in ranges], [r["high"].encode() for r in ranges]
+    base, upto = {}, 0
+    for r in ranges:
+        base[r["part"]], upto = upto, upto + r["n"]
+    numbers = [r["part"] for r in ranges]
+
+    def dealt(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for x in batch.column(0).to_pylist():
+                key = x.encode()
+                first, last = bisect.bisect_left(highs, key), bisect.bisect_right(lows, key + b"\xff")  # no UTF-8 byte is larger
+                rows += [(numbers[k], x) for k in range(first, last)]
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.string())], ["part", "pattern"])
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        asked = right.column("pattern").to_pylist()
+        found: Found = []
+        if asked and left.num_rows:
+            keys = left.column("prefix").combine_chunks()
+            keys = keys.take(pc.sort_indices(keys))  # by UTF-8 bytes, which is the order of code points
+            found = search_one_by_one(keys, asked) if how == "naive" else search_sorted(keys, asked, prefix)
+            at = base[left.column("part")[0].as_py()]
+        hits = [(x, n, at + a if n else None, made) for x, (a, n, made) in zip(asked, found, strict=bool(found))]
+        kinds = {"pattern": pa.string(), "occurrences": pa.int64(), "low": pa.int64(), "probes": pa.int64()}
+        return pa.table({c: pa.array([h[k] for h in hits], t) for k, (c, t) in enumerate(kinds.items())})
+
+    # each pattern has a row of its own besides, so that those without a match are kept
+    right = wanted.mapInArrow(dealt, "part int, pattern string")
+    met = placed.groupBy("part").cogroup(right.groupBy("part")).applyInArrow(run, "pattern string, occurrences long, low long, probes long")
+    none = wanted.select("pattern", F.lit(0).cast("long").alias("occurrences"), F.lit(None).cast("long").alias("low"), F.lit(0).cast("long").alias("probes"))
+    return met.unionAll(none).groupBy("pattern").agg(F.sum("occurrences").alias("occurrences"), F.min("low").alias("low"), F.sum("probes").alias("probes"))

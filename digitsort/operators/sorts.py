@@ -120,12 +120,13 @@ def msd_plain(df: DataFrame, columns: list[str], **more) -> DataFrame:
     return adaptive_msd(df, columns, rules=Rules(heavy=None, tiny=0, narrow=None), skip=False, **more)
 
 
-def lsd(df: DataFrame, key: str, pos: str, staging: int | None = None, skip_constant: bool = True, stats: dict | None = None) -> DataFrame:
+def lsd(df: DataFrame, key: str, pos: str, staging: int | None = None, skip_constant: bool = True, chunk: Column | None = None, stats: dict | None = None) -> DataFrame:
     """Stable passes from the least significant digit: (all columns, new ``pos``).
 
     Each pass moves all rows and is written, since the next reads it twice.  A
     digit that all keys share is skipped.  With ``staging``, a pass splits its chunks
     through buffers of so many bytes for each digit, whose flushes are counted.
+    ``chunk``: of a row, by its position ``pos``.
     """
     rows = df
     if skip_constant:
@@ -135,7 +136,7 @@ def lsd(df: DataFrame, key: str, pos: str, staging: int | None = None, skip_cons
         positions = list(range(8))
     flushes = df.sparkSession.sparkContext.accumulator(0)
     for p in positions:
-        made = passes.counting_pass(rows, key, p, pos) if staging is None else passes.staged_pass(rows, key, p, pos, staging, flushes=flushes)
+        made = passes.counting_pass(rows, key, p, pos, chunk) if staging is None else passes.staged_pass(rows, key, p, pos, staging, chunk, flushes)
         done = written(made.drop(pos).withColumnRenamed("new_pos", pos), "lsd-pass", "lz4")
         if rows is not df:
             release(rows)
@@ -311,3 +312,18 @@ def dedupe(df: DataFrame, columns: list[str]) -> DataFrame:
             last = batch.slice(batch.num_rows - 1)
 
     return ordered.mapInArrow(run, ordered.schema)
+
+
+def run_lengths(df: DataFrame, key: str) -> DataFrame:
+    """(key, n): runs of equal neighbours in a sorted frame, collapsed where they lie; a key that was cut over partitions has few runs to add up."""
+    ordered = adaptive_msd(df.select(key), [key])
+    ship_package(df.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            runs = pc.run_end_encode(batch.column(0), pa.int32())
+            ends = runs.run_ends.to_numpy().astype(np.int64)
+            yield pa.RecordBatch.from_arrays([runs.values, pa.array(np.diff(ends, prepend=0))], [key, "n"])
+
+    kind = df.schema[key].dataType.simpleString()
+    return ordered.mapInArrow(run, f"`{key}` {kind}, n long").groupBy(key).agg(F.sum("n").alias("n"))

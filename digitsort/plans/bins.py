@@ -5,7 +5,6 @@ Sizes are compared as integers (n * 3T > 2N rather than n > 2N / 3T).
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -193,7 +192,3 @@ def schedule(heavy: list[int], light: list[int], total: int, r: Rules, handover:
         heapq.heappush(free, at)
     ideal = total / r.workers
     return {"heavy_team": heavy_team, "light_team": light_team, "released": released, "finish": end, "speedup": total / end if end else float(r.workers), "imbalance": end / ideal if ideal else 1.0}
-
-
-def literal_ceil(a: int, b: int) -> int:
-    return math.ceil(a / b)

@@ -80,13 +80,18 @@ def pattern_probes(spark: SparkSession, d: str) -> DataFrame:
     out = None
     for how, prefix in (("naive", None), ("sorted", None), ("sorted", 6)):
         found = patterns.search(table(spark, d, "documents"), patterns.pieces(table(spark, d, "benchmark")), how, prefix)
-        per = found.groupBy("part").agg(F.first("probes_in_part").alias("p"), F.count("*").alias("n"))
-        row = per.agg(F.sum("p").alias("probes"), F.sum("n").alias("patterns")).select(F.lit(f"{how}{'_prefix' if prefix else ''}").alias("how"), "probes", "patterns")
+        row = found.agg(F.sum("probes").alias("probes"), F.count("*").alias("patterns"), F.sum("occurrences").alias("occurrences")).select(F.lit(f"{how}{'_prefix' if prefix else ''}").alias("how"), "probes", "patterns", "occurrences")
         out = row if out is None else out.unionAll(row)
     return out
 
 
-QUERIES = {f.__name__: f for f in (wl_kmers, kmer_count, kmer_count_plain, kmer_stage1_files, kmer_distinct, kmer_spectrum, kmer_packed, kmer_packed_all, suffix_array, suffix_array_whole, pattern_probes)} | {
+def join_range_suffix(spark: SparkSession, d: str) -> DataFrame:
+    """Patterns joined with their ranges of the suffix array (ranks by the first 12 characters, as long as patterns are)."""
+    found = patterns.search(table(spark, d, "documents"), patterns.pieces(table(spark, d, "benchmark")))
+    return found.filter("occurrences > 0").select("pattern", "low", (F.col("low") + F.col("occurrences")).alias("past"))
+
+
+QUERIES = {f.__name__: f for f in (wl_kmers, kmer_count, kmer_count_plain, kmer_stage1_files, kmer_distinct, kmer_spectrum, kmer_packed, kmer_packed_all, suffix_array, suffix_array_whole, pattern_probes, join_range_suffix)} | {
     "pattern_naive": _search("naive"),
     "pattern_sorted": _search("sorted"),
     "pattern_prefix_sorted": _search("sorted", 6),
@@ -109,6 +114,7 @@ SQL = {
     "kmer_packed_all": f"SELECT code >> 24 AS top, count(*) AS n, count(DISTINCT code) AS codes, min(code) AS low, max(code) AS high FROM (SELECT list_reduce(list_prepend(0::BIGINT, list_transform(range(1, 17), lambda i: ((unicode(substr(kmer, i, 1)) + 3) % 4)::BIGINT)), lambda a, x: a * 4 + x) AS code FROM {_K}) GROUP BY 1",
     "suffix_array": "SELECT doc_id, count(*) AS suffixes, min(rk) AS low, max(rk) AS high, sum(rk)::BIGINT AS sum_rank, sum((rk % 1009) * (place % 1013))::BIGINT AS mixed FROM (SELECT doc_id, place, row_number() OVER (ORDER BY prefix, doc_id, place) - 1 AS rk FROM (SELECT doc_id, place, substr(text, place + 1, 32) AS prefix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS place FROM documents))) GROUP BY 1",
     "suffix_array_whole": "SELECT doc_id, count(*) AS suffixes, min(rk) AS low, max(rk) AS high, sum(rk)::BIGINT AS sum_rank, sum((rk % 1009) * (place % 1013))::BIGINT AS mixed FROM (SELECT doc_id, place, row_number() OVER (ORDER BY suffix, doc_id, place) - 1 AS rk FROM (SELECT doc_id, place, substr(text, place + 1) AS suffix FROM (SELECT doc_id, text, unnest(range(0, length(text))) AS place FROM documents))) GROUP BY 1",
+    "join_range_suffix": "WITH s AS (SELECT substr(text, unnest(range(1, length(text) + 1)), 12) AS head FROM documents), g AS (SELECT head, count(*) AS n FROM s GROUP BY 1), r AS (SELECT head, n, (sum(n) OVER (ORDER BY head) - n)::BIGINT AS low FROM g), p AS (SELECT DISTINCT substr(text, unnest(range(1, length(text) - 10, 12)), 12) AS pattern FROM benchmark WHERE length(text) >= 12) SELECT pattern, low, low + n AS past FROM p JOIN r ON head = pattern",
     "pattern_naive": _PATTERN,
     "pattern_sorted": _PATTERN,
     "pattern_prefix_sorted": _PATTERN,

@@ -187,12 +187,6 @@ def join_range_chunk(spark, d):
     return rows.join(F.broadcast(plan), (at >= F.col("start")) & (at < F.col("start") + F.col("length"))).select("o_orderkey", "chunk_id")
 
 
-@query("SELECT n_name, count(*) AS customers FROM customer JOIN nation ON c_nationkey >= n_nationkey AND c_nationkey < n_nationkey + 3 GROUP BY 1")
-def join_range_suffix(spark, d):
-    a, n = _t(spark, d, "customer"), _t(spark, d, "nation")  # 25 nations
-    return a.join(F.broadcast(n), (a.c_nationkey >= n.n_nationkey) & (a.c_nationkey < n.n_nationkey + 3)).groupBy("n_name").agg(F.count("*").alias("customers"))
-
-
 @query(f"SELECT count(*) AS n, min(key) AS low, max(key) AS high FROM (SELECT {c.mix(f'concat_ws({chr(39)}:{chr(39)}, {c.TIES}, k)')} AS key FROM lineitem, (SELECT unnest(range(1, 9)) AS k))")
 def join_cross_scale(spark, d):
     """Eight copies by exploding a literal list, each with its own seed."""
@@ -245,19 +239,26 @@ def agg_grouping_sets(spark, d):
 
 @query(f"SELECT key, count(*) AS n FROM {c.ZIPF} GROUP BY 1")
 def agg_runlength(spark, d):
-    """Runs of a sorted frame: neighbours are compared inside partitions, which hold all rows of a key."""
-    ordered = sorts.adaptive_msd(wl.zipf(spark, d).select("key"), ["key"], partitions=4)
-    return ordered.groupBy("key").agg(F.count("*").alias("n"))
+    return sorts.run_lengths(wl.zipf(spark, d), "key")
 
 
-@query(None)
+@query(f"SELECT count(DISTINCT key) AS exact, true AS close FROM {c.UNIFORM}")
 def agg_approx_distinct(spark, d):
-    return wl.uniform(spark, d).agg(F.approx_count_distinct("key", 0.02).alias("keys"))
+    """The sketch with its bound: within four standard errors of the exact count."""
+    both = wl.uniform(spark, d).agg(F.approx_count_distinct("key", 0.02).alias("keys"), F.count_distinct("key").alias("exact"))
+    return both.select("exact", (F.abs(F.col("keys") - F.col("exact")) <= F.col("exact") * 0.08 + 1).alias("close"))
 
 
-@query(None)
+@query(f"SELECT share, true AS close FROM (VALUES (0.25::DOUBLE), (0.5), (0.75)) AS t(share)")
 def agg_percentile_approx(spark, d):
-    return wl.uniform(spark, d).agg(F.percentile_approx("key", [0.25, 0.5, 0.75]).alias("quartiles"))
+    """Quantiles with their bound: each one's exact rank is within 1 / accuracy of its share."""
+    accuracy = 1000
+    rows = wl.uniform(spark, d)
+    shares = [0.25, 0.5, 0.75]
+    marks = rows.agg(F.percentile_approx("key", shares, accuracy).alias("q"), F.count("*").alias("n"))
+    each = marks.select("n", F.explode(F.arrays_zip(F.array(*map(F.lit, shares)).alias("share"), "q")).alias("x")).select("n", F.col("x.share").alias("share"), F.col("x.q").alias("q"))
+    ranks = rows.select("key").join(F.broadcast(each), F.col("key") <= F.col("q")).groupBy("share", "n").agg(F.count("*").alias("rank"))  # three rows
+    return ranks.select("share", (F.abs(F.col("rank") / F.col("n") - F.col("share")) <= 1 / accuracy + 1 / F.col("n")).alias("close"))
 
 
 # windows, limits, sets
@@ -373,14 +374,15 @@ def fn_json(spark, d):
 @query(f"SELECT digit, count(*) AS n, min(key) AS low, max(key) AS high FROM {_MARKED} GROUP BY 1")
 def kernel_per_bin(spark, d):
     import pyarrow as pa
+    import pyarrow.compute as pc
 
     from ..session import ship_package
 
     ship_package(spark)
 
     def run(t: pa.Table) -> pa.Table:
-        k = t.column("key").to_pylist()
-        return pa.table({"digit": t.column("digit").slice(0, 1), "n": pa.array([len(k)]), "low": pa.array([min(k)]), "high": pa.array([max(k)])})
+        ends = pc.min_max(t.column("key")).as_py()
+        return pa.table({"digit": t.column("digit").slice(0, 1), "n": pa.array([t.num_rows]), "low": pa.array([ends["min"]]), "high": pa.array([ends["max"]])})
 
     return _marked(spark, d).select("digit", "key").groupBy("digit").applyInArrow(run, "digit long, n long, low long, high long")
 

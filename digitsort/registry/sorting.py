@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import keys
 from ..operators import passes, sorts
+from ..plans import bins
 from ..plans.bins import Rules
 from ..session import table
 from ..sources import workloads as wl
@@ -78,15 +79,40 @@ def _pass(spark: SparkSession, d: str) -> DataFrame:
     return passes.counting_pass(rows, "l_suppkey", 0, "pos")
 
 
-def _split(staged: int | None) -> Callable[[SparkSession, str], DataFrame]:
+def _split(staging: int | None) -> Callable[[SparkSession, str], DataFrame]:
+    """Each chunk split by one digit with a kernel: every row's place in its bin."""
+
     def run(spark: SparkSession, d: str) -> DataFrame:
-        rows = wl.uniform(spark, d).repartition(4, "l_suppkey")
-        out = passes.local_split(rows, "key", 7, staged)
-        return out.groupBy("digit").agg(F.count("*").alias("n"), F.count_if((keys.digit(F.col("key"), 7) == F.col("digit"))).alias("placed"), F.sum("payload").alias("payload_sum"))
+        rows = passes.with_position(wl.uniform(spark, d), wl.TIES)
+        out = passes.chunk_split(rows, "key", 7, "pos", staging, F.floor(F.col("pos") / 4096))
+        return out.select("pos", F.col("_chunk").alias("chunk"), F.col("_digit").alias("digit"), F.col("_k").alias("place"))
 
     return run
 
 
+def _chunked(growth: str) -> Callable[[SparkSession, str], DataFrame]:
+    """LSD passes over the first pass's growing chunks, or over equal ones."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        rows = passes.with_position(wl.zipf(spark, d), wl.TIES)
+        plan = bins.chunk_plan(rows.count(), 4, growth=growth)
+        return sorts.lsd(rows, "key", "pos", chunk=passes.chunk_of(F.col("pos"), plan))
+
+    return run
+
+
+def _array_nulls(spark: SparkSession, d: str) -> DataFrame:
+    line = F.nullif("l_linenumber", F.lit(2))
+    items = F.when(F.col("l_linenumber") == 5, F.lit(None)).when(F.col("l_linenumber") == 6, F.array().cast("array<long>")).otherwise(F.array(line.cast("long"), F.col("l_suppkey")))
+    rows = table(spark, d, "lineitem").select(items.alias("items"), *wl.TIES)
+    return sorts.with_rank(sorts.adaptive_msd(rows, ["items", *wl.TIES])).drop("items")
+
+
+def _topk_nulls(spark: SparkSession, d: str) -> DataFrame:
+    rows = table(spark, d, "lineitem").select(F.when(F.col("l_orderkey") > 20, F.col("l_orderkey")).alias("key"))
+    return sorts.top_k(rows, "key", 200)
+
+
 def _dedupe(spark: SparkSession, d: str) -> DataFrame:
     return sorts.dedupe(wl.zipf(spark, d), ["key"])
 
@@ -150,13 +176,20 @@ QUERIES = {
     "counting_pass": _pass,
     "split_plain": _split(None),
     "split_staged": _split(256),
+    "ablate_chunks_sort": _chunked("equal"),
+    "first_pass_sort": _chunked("linear"),
+    "ablate_tiny_sort": _sorted(_scatter, kernel=True, rules=Rules(tiny=0)),
+    "ablate_narrow_sort": _sorted(_wide, kernel=True, rules=Rules(narrow=None)),
+    "sort_array_nulls": _array_nulls,
+    "msd_topk_nulls": _topk_nulls,
     "sort_dedupe": _dedupe,
     "msd_topk": _topk,
     "msd_median": _median,
 }
 
 _ORDERKEY = f"(SELECT l_orderkey AS key, {c.TIES} FROM lineitem)"
-_SPLIT = f"SELECT {c.digit('key', 7)} AS digit, count(*) AS n, count(*) AS placed, sum(payload)::BIGINT AS payload_sum FROM {c.UNIFORM} GROUP BY 1"
+_SPLIT = f"SELECT pos, chunk, digit, row_number() OVER (PARTITION BY chunk, digit ORDER BY pos) - 1 AS place FROM (SELECT pos, pos // 4096 AS chunk, {c.digit('key', 7)} AS digit FROM ({c.ranked(c.UNIFORM, c.TIES)}))"
+_ITEMS = f"(SELECT CASE WHEN l_linenumber = 5 THEN NULL WHEN l_linenumber = 6 THEN []::BIGINT[] ELSE [nullif(l_linenumber, 2)::BIGINT, l_suppkey] END AS items, {c.TIES} FROM lineitem)"
 _u, _z, _zs = c.ranked(c.UNIFORM, ORDER), c.ranked(c.ZIPF, ORDER), c.ranked(c.SCATTER, ORDER)
 SQL = {
     "adaptive_msd_orderkey": c.ranked(_ORDERKEY, ORDER),
@@ -199,6 +232,13 @@ SQL = {
     "counting_pass": f"SELECT *, row_number() OVER (ORDER BY {c.digit('l_suppkey', 0)}, pos) - 1 AS new_pos FROM (SELECT {c.TIES}, row_number() OVER (ORDER BY {c.TIES}) - 1 AS pos FROM lineitem)",
     "split_plain": _SPLIT,
     "split_staged": _SPLIT,
+    "ablate_chunks_sort": _z,
+    "first_pass_sort": _z,
+    "ablate_tiny_sort": _zs,
+    "ablate_narrow_sort": c.ranked(c.ZIPF_WIDE, ORDER),
+    # DuckDB puts null items last: an item's absence is ordered by a flag before it
+    "sort_array_nulls": c.ranked(_ITEMS, f"items IS NOT NULL, len(items), items[1] IS NOT NULL, items[1], items[2], {c.TIES}", c.TIES),
+    "msd_topk_nulls": "SELECT CASE WHEN l_orderkey > 20 THEN l_orderkey END AS key FROM lineitem ORDER BY key NULLS FIRST LIMIT 200",
     "sort_dedupe": f"SELECT DISTINCT key FROM {c.ZIPF}",
     "msd_topk": f"SELECT key FROM {c.UNIFORM} ORDER BY key LIMIT 100",
     "msd_median": "SELECT count(*) AS n, (SELECT cents FROM (SELECT round(l_extendedprice * 100)::BIGINT AS cents, row_number() OVER (ORDER BY round(l_extendedprice * 100)::BIGINT) - 1 AS r FROM lineitem) WHERE r = (SELECT count(*) // 2 FROM lineitem)) AS median_cents FROM lineitem",

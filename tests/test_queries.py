@@ -8,7 +8,7 @@ import pytest
 from digitsort import registry
 
 SLOW = {"wl_kmers", "kmer_count", "kmer_count_plain", "kmer_stage1_files", "kmer_distinct", "kmer_spectrum", "kmer_packed", "suffix_array", "pattern_naive", "pattern_sorted", "pattern_prefix_sorted"}
-FEW = ["adaptive_msd_orderkey", "sort_double", "sort_url", "sort_multi", "sort_nulls_last", "lsd_staged_64", "base_inplace", "counting_pass", "split_staged", "parallel_split", "chunk_plan", "team_sizes", "heavy_queue_order", "narrowing_rule", "tiny_shell", "measure_bins", "measure_moves", "staging_flushes", "ablate_narrow", "join_asof", "join_interval", "agg_rollup_bins", "win_order_check", "udaf_hist", "udtf_digits", "st_session", "st_sorted_runs"]
+FEW = ["adaptive_msd_orderkey", "sort_double", "sort_url", "sort_multi", "sort_nulls_last", "lsd_staged_64", "base_inplace", "counting_pass", "split_staged", "parallel_split", "chunk_plan", "team_sizes", "heavy_queue_order", "narrowing_rule", "tiny_shell", "measure_bins", "measure_moves", "staging_flushes", "ablate_narrow", "join_asof", "join_interval", "agg_rollup_bins", "win_order_check", "udaf_hist", "udtf_digits", "st_session", "st_sorted_runs", "split_plain", "lsd_staged_256", "sort_array", "sort_array_nulls", "msd_topk_nulls", "msd_median", "sort_dedupe", "agg_runlength", "kernel_per_bin", "agg_approx_distinct", "agg_percentile_approx", "first_pass_sort", "ablate_chunks_sort", "ablate_chunks", "ablate_tiny_sort", "ablate_narrow_sort", "pattern_sorted", "join_range_suffix", "kmer_count"]
 
 
 def rows(frame):
@@ -65,13 +65,38 @@ def test_pattern_searches_agree():
     rng = random.Random(3)
     text = "".join(rng.choice("abcd") for _ in range(3000))
     keys = sorted(text[i : i + 16] for i in range(len(text)))
-    wanted = sorted({text[i : i + 6] for i in range(0, 3000, 5)} | {"zzzzz", "aaaaa"}, key=hash)
+    wanted = sorted({text[i : i + 6] for i in range(0, 3000, 5)} | {"zzzzz", "aaaaa", "", "a"}, key=hash)
     truth = [sum(text.startswith(w, i) for i in range(len(text))) for w in wanted]
-    one, probes = patterns.search_one_by_one(keys, wanted)
-    many, fewer = patterns.search_sorted(keys, wanted)
-    head, _ = patterns.search_sorted(keys, wanted, 2)
-    assert one == many == head == truth
-    assert fewer < probes
+    first = [sum(k[: len(w)] < w for k in keys) for w in wanted]
+    one, many, head = patterns.search_one_by_one(keys, wanted), patterns.search_sorted(keys, wanted), patterns.search_sorted(keys, wanted, 2)
+    for found in (one, many, head):
+        assert [x[1] for x in found] == truth and [x[0] for x in found] == first
+    assert sum(x[2] for x in many) < sum(x[2] for x in one)
+
+
+@pytest.mark.parametrize("how,prefix,parts", [("naive", None, 4), ("sorted", None, 4), ("sorted", 3, 1), ("sorted", None, None)])
+def test_patterns_of_any_length(spark, how, prefix, parts):
+    from digitsort.operators import patterns
+
+    texts = ["abra cadabra " * 20, "é" * 70, "", None, "x"]
+    asked = ["a", "", "abr", "é" * 33, "cadabra abra" * 3, ("abra cadabra " * 20)[:100], "zz", "x", None, "é", "a"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["pattern"]: r for r in patterns.search(docs, spark.createDataFrame([(x,) for x in asked], "pattern string"), how, prefix, parts).collect()}
+    suffixes = sorted(t[i:] for t in texts if t for i in range(len(t)))
+    for x in set(asked) - {None}:
+        n = sum(s.startswith(x) for s in suffixes)
+        low = sum(s[: len(x)] < x for s in suffixes)
+        assert (got[x]["occurrences"], got[x]["low"]) == (n, low if n else None)
+    assert len(got) == len(set(asked)) - 1
+    one = spark.createDataFrame([("x",)], "pattern string")
+    assert [tuple(r)[:2] for r in patterns.search(docs.filter("doc_id = 4"), one, how, prefix, parts).collect()] == [("x", 1)]
+    assert [tuple(r)[:2] for r in patterns.search(docs.limit(0), one, how, prefix, parts).collect()] == [("x", 0)]
+    assert patterns.search(docs, one.limit(0), how, prefix, parts).count() == 0
+
+
+def test_sorted_patterns_take_fewer_probes(spark, sf):
+    found = {r["how"]: r for r in registry.all_queries()["pattern_probes"](spark, sf).collect()}
+    assert found["sorted"]["probes"] < found["naive"]["probes"] and len({r["occurrences"] for r in found.values()}) == 1
 
 
 def test_every_kmer_is_packed(spark):
