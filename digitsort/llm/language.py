@@ -102,6 +102,19 @@ def _document_frequencies(docs: DataFrame, p: Params, text_col: str) -> tuple[np
     return total[:-1], int(total[-1])
 
 
+def _sample(rows: DataFrame, most: int) -> DataFrame:
+    """At most ``most`` different texts of each language, those of least hash; ``rows``: _text, _lang, _h.
+
+    Rows are drawn where they lie, below a share of all hashes that about twice as
+    many different texts of their language have, so that no task gets a whole
+    language; repeated rows are combined before they move.
+    """
+    sizes = rows.groupBy("_lang").agg(F.approx_count_distinct("_h").alias("_n"))  # as many rows as languages
+    place = F.shiftrightunsigned("_h", 11) / F.lit(float(1 << 53))
+    drawn = rows.join(F.broadcast(sizes), "_lang").filter(place * F.col("_n") < 2 * most).groupBy("_lang", "_h").agg(F.first("_text").alias("_text"))
+    return drawn.withColumn("_k", F.row_number().over(Window.partitionBy("_lang").orderBy(F.shiftrightunsigned("_h", 11), "_h"))).filter(F.col("_k") <= most)
+
+
 def _cluster(v: np.ndarray, k: int, rounds: int) -> np.ndarray:
     """Spherical k-means from far-apart first centroids; deterministic."""
     c = v.mean(axis=0, keepdims=True)
@@ -119,20 +132,16 @@ def _cluster(v: np.ndarray, k: int, rounds: int) -> np.ndarray:
     return c
 
 
-def fit(docs: DataFrame, trains: Column | None = None, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
+def fit(docs: DataFrame, trains: Column | None = None, p: Params | None = None, text_col: str = "text", lang_col: str = "lang") -> Model:
     """``trains``: which rows of ``docs`` may be learned from; those with null language or text never are."""
     p = p or Params()
     spark = docs.sparkSession
     ship_package(spark)
     rows = docs.filter(trains if trains is not None else F.lit(True)).filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
-    rows = rows.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), F.col(lang_col).alias("_lang"))
+    rows = rows.select(F.col(text_col).alias("_text"), F.col(lang_col).alias("_lang"), F.xxhash64(text_col, lang_col).alias("_h"))
     df, n = _document_frequencies(rows, p, "_text")
     idf = (np.log((1 + n) / (1 + df)) + 0.05).astype(np.float32)
     model = Model(p, idf, [], np.zeros((0, 1 << p.bits), np.float32), np.zeros(0, np.int64), 0.0)
-    first = lambda df, *by: df.withColumn("_k", F.row_number().over(Window.partitionBy("_lang", *by).orderBy("_h", "_id"))).filter(F.col("_k") <= p.rows_per_language).drop("_k")
-    hashed = rows.select("_id", "_lang", F.xxhash64("_id").alias("_h")).withColumn("_salt", F.pmod("_h", F.lit(64)))
-    few = first(first(hashed, "_salt")).select("_id", "_lang").distinct()  # in parts first: a language may have most rows
-    # at most rows_per_language for each language
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -142,7 +151,7 @@ def fit(docs: DataFrame, trains: Column | None = None, p: Params | None = None,
                 off = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=chunk.n))])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, chunk.n), binary_array(feature.astype("<u2").tobytes(), off * 2), binary_array(tf[doc, feature].astype("<f4").tobytes(), off * 4)], ["lang", "feature", "tf"])
 
-    found = rows.join(F.broadcast(few), ["_id", "_lang"]).select("_lang", "_text").mapInArrow(run, "lang string, feature binary, tf binary").toArrow().to_pylist()
+    found = _sample(rows, p.rows_per_language).select("_lang", "_text").mapInArrow(run, "lang string, feature binary, tf binary").toArrow().to_pylist()
     closest = []
     for lang in sorted({r["lang"] for r in found}):
         own = [r for r in found if r["lang"] == lang and r["feature"]]

@@ -6,8 +6,10 @@ repeats.  Each feature's log-count ratio compares its smoothed document counts i
 classes; the features with the most certain ratios carry the model, and a
 logistic regression is fitted on presence times ratio.
 
-``fit`` uses at most ``max_rows`` labelled rows, those with the smallest hash of
-their id, so that the driver's memory is bounded.  Texts are read whole.
+``fit`` uses at most ``max_rows`` labelled rows, so that the driver's memory is
+bounded: of the labels, those with the smallest hash of their id, and of the rows
+that these ids have, different texts only, those with the smallest hash of id and
+text.  Texts are read whole.
 
 Defined results: null and empty texts have no features and score the model's
 intercept; rows without a label (null) teach nothing, and an id that is labelled
@@ -78,7 +80,12 @@ def fit(docs: DataFrame, labels: DataFrame, trains: Column | None = None, p: Par
     taught = labels if trains is None else labels.filter(trains)
     known = taught.select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_label")).filter("_label IN (0, 1) AND _id IS NOT NULL")
     few = known.orderBy(F.xxhash64("_id"), "_id", "_label").limit(p.max_rows)  # the bound of what is broadcast
-    rows = _gathered(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).join(F.broadcast(few), "_id"), p, "_text", "_label")
+    met = docs.select(F.col(id_col).alias("_id"), F.xxhash64(text_col).alias("_h"), F.col(text_col).alias("_text")).join(F.broadcast(few.groupBy("_id", "_label").agg(F.count("*").alias("_times"))), "_id")
+    # an id may have many rows: which ones teach is settled by narrow rows, and copies are combined before texts move
+    keys = met.groupBy("_id", "_h", "_label").agg(F.max("_times").alias("_times")).select("_id", "_h", "_label", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int"))))
+    keys = keys.orderBy(F.xxhash64("_id", "_h"), "_id", "_h", "_label").limit(p.max_rows).groupBy("_id", "_h", "_label").agg(F.count("*").alias("_times"))
+    chosen = met.drop("_times").join(F.broadcast(keys), ["_id", "_h", "_label"]).groupBy("_id", "_h", "_label").agg(F.first("_text").alias("_text"), F.first("_times").alias("_times"))
+    rows = _gathered(chosen.select("_text", "_label", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int")))).drop("col"), p, "_text", "_label")
     # the driver holds one partition's rows at a time, and of all rows only the chosen features
     return _solve(lambda: ((np.frombuffer(r["features"], "<u4"), r["label"]) for r in rows.toLocalIterator()), p)
 

@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 #: Rules up to this number are broadcast; more meet the expressions by a shuffle.
 BROADCAST_RULES = 100_000
 PREFIX_HEX = 8
+#: Repeated rows come back in arrays of so many at most.
+COPIES = 10_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -68,5 +70,6 @@ def judge(pages: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col:
         F.col("_path").alias("path"),
         F.col("_rule.rule").alias("rule"),
         F.coalesce(F.col("_rule.verdict"), F.lit(default)).alias("verdict"),
-        F.explode(F.array_repeat(F.lit(0), F.col("_times").cast("int"))).alias("_copy"),
-    ).drop("_copy")
+        F.col("_times"),
+        F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("_times") - 1) / COPIES))).alias("_part"),  # arrays of bounded length
+    ).select(id_col, "host", "path", "rule", "verdict", F.explode(F.array_repeat(F.lit(0), F.least(F.lit(COPIES), F.col("_times") - F.col("_part") * COPIES).cast("int"))).alias("_copy")).drop("_copy")

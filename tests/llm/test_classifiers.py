@@ -46,6 +46,21 @@ def test_toxicity_odd_rows(spark, docs_of):
     assert toxicity.fit(docs_of(rows), labels.limit(0)).score is not None
 
 
+def test_training_rows_are_bounded_after_the_join(spark, monkeypatch):
+    """An id with very many rows, copies or different texts, or very many labels doesn't pass the bound."""
+    docs = spark.range(6000).select(F.when(F.col("id") < 3000, 7).when(F.col("id") < 5000, 8).otherwise(F.col("id")).alias("doc_id"), F.when(F.col("id") < 3000, F.lit("same text")).otherwise(F.concat(F.lit("text "), F.col("id").cast("string"))).alias("text"), F.lit("en").alias("lang"))
+    labels = spark.range(500).select(F.when(F.col("id") < 300, 7).when(F.col("id") < 400, 8).otherwise(F.col("id") + 5000).alias("doc_id"), (F.col("id") % 2).cast("int").alias("toxic"))
+    seen = []
+    monkeypatch.setattr(toxicity, "_solve", lambda read, p: seen.append(len(list(read()))))
+    for most in (10, 100_000):
+        toxicity.fit(docs, labels, p=toxicity.Params(max_rows=most))
+    assert seen[0] == 10 and seen[1] <= 100_000
+    p = language.Params(rows_per_language=50)
+    rows = docs.select(F.col("text").alias("_text"), F.col("lang").alias("_lang"), F.xxhash64("text", "lang").alias("_h"))
+    texts = [r["_text"] for r in language._sample(rows, p.rows_per_language).collect()]
+    assert len(texts) == 50 == len(set(texts))
+
+
 def test_ratio_scales_features():
     """A feature of one class only gets weight in that class's direction."""
     rows = [np.array([1, 2]), np.array([1, 2]), np.array([2, 3]), np.array([2, 3])] * 5
