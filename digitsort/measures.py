@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import json
 import re
 import statistics
 import time
 from collections.abc import Callable
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -22,6 +24,11 @@ def timed(make: Callable[[], DataFrame], repeats: int = 3, warm: bool = True) ->
     return statistics.median(runs)
 
 
+def stored() -> dict[str, list[dict]]:
+    """Times that ``bench.py`` measured and stored beside this module: sizes, cores, records."""
+    return json.loads(Path(__file__).with_name("measured.json").read_text())
+
+
 def speedup(times: DataFrame) -> DataFrame:
     """times: algorithm, workers, seconds.  Adds the time of one worker over this time, for the same algorithm."""
     one = F.max(F.when(F.col("workers") == 1, F.col("seconds"))).over(Window.partitionBy("algorithm"))

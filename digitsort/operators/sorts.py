@@ -74,7 +74,7 @@ def adaptive_msd(df: DataFrame, columns: list[str], *, ascending: list[bool] | N
     nullable = rows.schema[by[0]].nullable
     # a null shares the outermost partition; the local sort orders it by the column itself
     filled = keyed.withColumn("_key", F.coalesce("_key", F.lit(edge))) if nullable else keyed
-    plan = route.plan_partitions(filled, "_key", partitions, further, rules, skip=skip, sampled=sampled, least_rows=least_rows)
+    plan = route.plan_partitions(filled, "_key", partitions, further, rules, skip=skip, sampled=sampled, least_rows=least_rows, wide=not keys.whole(rows.schema[by[0]].dataType))
     if stats is not None:
         stats.update(scans=plan.scans, heavy=plan.heavy, partitions=plan.count, max_rows=plan.max_rows, total=plan.total)
     if not plan.first:

@@ -68,12 +68,12 @@ def common_prefix_bits(low: int, high: int) -> int:
     return 64 - ((low ^ high) % _U).bit_length()
 
 
-def plan_partitions(df: DataFrame, key: str, partitions: int, further: Callable[[DataFrame], Column | None] | None = None, r: Rules | None = None, skip: bool = True, sampled: bool = False, least_rows: int = 1) -> Partitions:
-    """``key``: a column of order keys without nulls; ``further``: what orders given rows of one key (no nulls); ``least_rows``: worth a partition."""
+def plan_partitions(df: DataFrame, key: str, partitions: int, further: Callable[[DataFrame], Column | None] | None = None, r: Rules | None = None, skip: bool = True, sampled: bool = False, least_rows: int = 1, wide: bool = False) -> Partitions:
+    """``key``: a column of order keys without nulls; ``wide``: count by two bytes at once, for keys as uneven as text; ``further``: what orders given rows of one key (no nulls); ``least_rows``: worth a partition."""
     r = r or Rules()
     if sampled:
         return _sampled(df, key, max(1, min(partitions, -(-df.count() // least_rows))))
-    step = 16 if 256 < 1.5 * partitions else 8
+    step = 16 if wide or 256 < 1.5 * partitions else 8
     floor = lambda b: F.col(key).bitwiseAND(F.lit(-1 << b))
 
     def count(rows: DataFrame, b: int) -> list[Bin]:

@@ -12,8 +12,11 @@ from ..session import table
 from ..sources import workloads as wl
 from . import common as c
 
-#: Example times: algorithm, workers, seconds.
-TIMES = [("adaptive_msd", 1, 8.0), ("adaptive_msd", 2, 4.2), ("adaptive_msd", 4, 2.3), ("lsd_staged_64", 1, 12.0), ("lsd_staged_64", 2, 7.0), ("lsd_staged_64", 4, 4.4), ("comparison", 1, 16.0), ("comparison", 2, 9.0), ("comparison", 4, 5.6)]
+_STORED = measures.stored()
+
+
+def _measured(spark: SparkSession, what: str, schema: str) -> DataFrame:
+    return spark.createDataFrame([tuple(r[c.split()[0]] for c in schema.split(", ")) for r in _STORED[what]], schema)
 
 
 def _scatter(spark: SparkSession, d: str) -> DataFrame:
@@ -33,16 +36,15 @@ def _summary(source, r: bins.Rules):
 
 
 def measure_speedup(spark: SparkSession, d: str) -> DataFrame:
-    return measures.speedup(spark.createDataFrame(TIMES, "algorithm string, workers int, seconds double"))
+    return measures.speedup(_measured(spark, "cores", "algorithm string, workers int, seconds double"))
 
 
 def measure_ranking(spark: SparkSession, d: str) -> DataFrame:
-    times = spark.createDataFrame(TIMES, "algorithm string, workers int, seconds double")
-    return measures.ranking(times.withColumn("workload", F.concat(F.lit("w"), F.col("workers"))).drop("workers"))
+    return measures.ranking(_measured(spark, "sizes", "workload string, algorithm string, seconds double"))
 
 
 def measure_growth(spark: SparkSession, d: str) -> DataFrame:
-    return measures.growth(spark.createDataFrame([(8, 4.0), (16, 5.5), (24, 7.5), (32, 10.0)], "bytes int, seconds double"))
+    return measures.growth(_measured(spark, "records", "bytes int, seconds double"))
 
 
 def measure_passes(spark: SparkSession, d: str) -> DataFrame:
@@ -122,12 +124,12 @@ QUERIES = {f.__name__: f for f in (measure_speedup, measure_ranking, measure_gro
 }
 
 _SUM = "SELECT level, side, action, count(*) AS bins, sum(n)::BIGINT AS rows FROM bins GROUP BY ALL"
-_times = "(VALUES " + ", ".join(f"('{a}', {t}, {s}::DOUBLE)" for a, t, s in TIMES) + ") AS t(algorithm, workers, seconds)"
+_values = lambda what: ", ".join("(" + ", ".join(f"'{v}'" if isinstance(v, str) else f"{v}::DOUBLE" if isinstance(v, float) else str(v) for v in r.values()) + ")" for r in _STORED[what])
 _flush = lambda slots: f"SELECT digit, sum(n)::BIGINT AS n, sum((n + {slots - 1}) // {slots})::BIGINT AS flushes FROM (SELECT {c.digit('key', 7)} AS digit, pos // 4096 AS chunk, count(*) AS n FROM (SELECT *, row_number() OVER (ORDER BY {c.TIES}) - 1 AS pos FROM {c.UNIFORM}) GROUP BY ALL) GROUP BY 1"
 SQL = {
-    "measure_speedup": f"SELECT algorithm, workers, seconds, round(max(CASE WHEN workers = 1 THEN seconds END) OVER (PARTITION BY algorithm) / seconds, 6) AS speedup FROM {_times}",
-    "measure_ranking": f"SELECT 'w' || workers AS workload, algorithm, seconds, rank() OVER (PARTITION BY workers ORDER BY seconds) AS place FROM {_times}",
-    "measure_growth": "SELECT bytes, seconds, round(bytes / 8.0::DOUBLE, 6) AS size_ratio, round(seconds / 4.0::DOUBLE, 6) AS time_ratio FROM (VALUES (8, 4.0::DOUBLE), (16, 5.5), (24, 7.5), (32, 10.0)) AS t(bytes, seconds)",
+    "measure_speedup": f"SELECT algorithm, workers, seconds, round(max(CASE WHEN workers = 1 THEN seconds END) OVER (PARTITION BY algorithm) / seconds, 6) AS speedup FROM (VALUES {_values('cores')}) AS t(algorithm, workers, seconds)",
+    "measure_ranking": f"SELECT workload, algorithm, seconds, rank() OVER (PARTITION BY workload ORDER BY seconds) AS place FROM (VALUES {_values('sizes')}) AS t(workload, algorithm, seconds)",
+    "measure_growth": f"SELECT bytes, seconds, round(bytes / min(bytes) OVER (), 6) AS size_ratio, round(seconds / first(seconds) OVER (ORDER BY bytes), 6) AS time_ratio FROM (VALUES {_values('records')}) AS t(bytes, seconds)",
     "measure_passes": " UNION ALL ".join(f"SELECT {p} AS position, count(DISTINCT {c.digit('l_orderkey', p)}) AS digits, CASE WHEN count(DISTINCT {c.digit('l_orderkey', p)}) > 1 THEN 2 ELSE 0 END AS traversals FROM lineitem" for p in range(8)),
     "measure_bins": c.decisions(c.SCATTER) + _SUM,
     "measure_bins_wide": c.decisions(c.ZIPF_WIDE) + _SUM,

@@ -28,7 +28,7 @@ def ship_package(spark: SparkSession) -> None:
         return
     target = os.path.join(tempfile.mkdtemp(prefix="digitsort-"), f"{_PACKAGE.name}.zip")
     with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as z:
-        for p in sorted(_PACKAGE.rglob("*.py")):
+        for p in sorted(x for x in _PACKAGE.rglob("*") if x.suffix in (".py", ".json")):
             z.write(p, p.relative_to(_PACKAGE.parent))
     spark.sparkContext.addPyFile(target)
     _shipped[app] = target

@@ -59,9 +59,9 @@ def zipf_exact(spark: SparkSession, sf_dir: str, universe: int = 256, theta: flo
     return rows.join(F.broadcast(cdf), "cell").filter("low <= u AND u < high").select(F.col("rank").alias("key"), F.col("l_partkey").alias("payload"), *TIES)
 
 
-def record_size(spark: SparkSession, sf_dir: str, size: int) -> DataFrame:
+def record_size(spark: SparkSession, sf_dir: str, size: int, copies: int = 1) -> DataFrame:
     """8-byte keys with 0, 8, 16 or 24 bytes of data."""
-    rows, s = _lineitem(spark, sf_dir)
+    rows, s = _lineitem(spark, sf_dir, copies)
     data = [F.col("l_partkey").alias("data1"), F.col("l_suppkey").alias("data2"), F.col("l_extendedprice").alias("data3")][: size // 8 - 1]
     return rows.select(keys.mix64(s).alias("key"), *data, *TIES)
 

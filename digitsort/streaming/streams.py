@@ -3,20 +3,23 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import sorts
 from ..session import scratch_dir, table
 
 
-def source(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
+def source(spark: SparkSession, sf_dir: str, files: int = 4, again: str | None = None) -> DataFrame:
     """Events as a file stream of several micro-batches, in order of time.
 
     Files are taken by modification time, so they are written one after another:
     with a watermark, rows of an earlier file that came later would be late.
+    ``again``: that much of the stream's beginning comes once more at its end.
     """
     rows = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     path = f"{scratch_dir(spark)}/events-{uuid.uuid4().hex[:8]}"
@@ -25,6 +28,10 @@ def source(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
         at = F.unix_micros("ts")
         part = rows.filter((at >= low if low is not None else F.lit(True)) & (at < high if high is not None else F.lit(True)))
         part.coalesce(1).sortWithinPartitions("ts").write.mode("append").parquet(path)
+    if again:
+        first = rows.agg(F.min("ts").alias("first_ts"))  # one row
+        late = rows.join(F.broadcast(first), F.col("ts") < F.col("first_ts") + F.expr(f"INTERVAL {again}")).drop("first_ts")
+        late.coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
 
 
@@ -82,6 +89,26 @@ def sorted_runs(events: DataFrame, key: str = "value") -> DataFrame:
     return sorts.with_rank(sorts.adaptive_msd(runs, [key, "event_id"]))
 
 
-def batch(spark: SparkSession, sf_dir: str, make: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """The same over the table at once."""
-    return make(table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+def closed_windows(events: DataFrame, size: str = "1 hour") -> DataFrame:
+    """Windows that the watermark has closed, for the append mode: rows that come later than it are dropped."""
+    w = events.withWatermark("ts", "1 hour").groupBy(F.window("ts", size)).agg(F.count("*").alias("n"))
+    return w.select(F.col("window.start").alias("start"), "n")
+
+
+def with_customers(events: DataFrame, customers: DataFrame) -> DataFrame:
+    """The stream joined with a table."""
+    return events.join(customers.select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id").select("event_id", "user_id", "c_mktsegment")
+
+
+def running_counts(events: DataFrame) -> DataFrame:
+    """(user_id, seen, last_id): after each micro-batch, what a user's state holds; the state is two numbers a user."""
+
+    def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        seen, last = state.get if state.exists else (0, -1)
+        for f in frames:
+            seen, last = seen + len(f), max(last, int(f["event_id"].max()))
+        state.update((seen, last))
+        yield pd.DataFrame({"user_id": [key[0]], "seen": [seen], "last_id": [last]})
+
+    kept = events.select("user_id", "event_id").groupBy("user_id")
+    return kept.applyInPandasWithState(step, "user_id long, seen long, last_id long", "seen long, last_id long", "append", GroupStateTimeout.NoTimeout)

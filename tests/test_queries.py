@@ -8,7 +8,7 @@ import pytest
 from digitsort import registry
 
 SLOW = {"wl_kmers", "kmer_count", "kmer_count_plain", "kmer_stage1_files", "kmer_distinct", "kmer_spectrum", "kmer_packed", "suffix_array", "pattern_naive", "pattern_sorted", "pattern_prefix_sorted"}
-FEW = ["adaptive_msd_orderkey", "sort_double", "sort_url", "sort_multi", "sort_nulls_last", "lsd_staged_64", "base_inplace", "counting_pass", "split_staged", "parallel_split", "chunk_plan", "team_sizes", "heavy_queue_order", "narrowing_rule", "tiny_shell", "measure_bins", "measure_moves", "staging_flushes", "ablate_narrow", "join_asof", "join_interval", "agg_rollup_bins", "win_order_check", "udaf_hist", "udtf_digits", "st_session", "st_sorted_runs", "split_plain", "lsd_staged_256", "sort_array", "sort_array_nulls", "msd_topk_nulls", "msd_median", "sort_dedupe", "agg_runlength", "kernel_per_bin", "agg_approx_distinct", "agg_percentile_approx", "first_pass_sort", "ablate_chunks_sort", "ablate_chunks", "ablate_tiny_sort", "ablate_narrow_sort", "pattern_sorted", "join_range_suffix", "kmer_count"]
+FEW = ["adaptive_msd_orderkey", "sort_double", "sort_url", "sort_multi", "sort_nulls_last", "lsd_staged_64", "base_inplace", "counting_pass", "split_staged", "parallel_split", "chunk_plan", "team_sizes", "heavy_queue_order", "narrowing_rule", "tiny_shell", "measure_bins", "measure_moves", "staging_flushes", "ablate_narrow", "join_asof", "join_interval", "agg_rollup_bins", "win_order_check", "udaf_hist", "udtf_digits", "st_session", "st_sorted_runs", "st_late_rows", "st_window_topk", "st_static_join", "st_state", "measure_speedup", "measure_ranking", "measure_growth", "split_plain", "lsd_staged_256", "sort_array", "sort_array_nulls", "msd_topk_nulls", "msd_median", "sort_dedupe", "agg_runlength", "kernel_per_bin", "agg_approx_distinct", "agg_percentile_approx", "first_pass_sort", "ablate_chunks_sort", "ablate_chunks", "ablate_tiny_sort", "ablate_narrow_sort", "pattern_sorted", "join_range_suffix", "kmer_count"]
 
 
 def rows(frame):
