@@ -130,7 +130,7 @@ class Memo:
     has: they are made each time they come.
     """
 
-    def __init__(self, limit: int = 1_500_000, chars: int = 1 << 25) -> None:
+    def __init__(self, limit: int = 1_000_000, chars: int = 1 << 23) -> None:
         self.limit, self.most_chars = limit, chars
         self.clear()
 
@@ -168,7 +168,7 @@ class Memo:
 class IdMemo(Memo):
     """Ids of pre-tokens.  ``encode`` gets new ones as strings."""
 
-    def __init__(self, encode: Callable[[list[str]], list[list[int]]], limit: int = 1_500_000) -> None:
+    def __init__(self, encode: Callable[[list[str]], list[list[int]]], limit: int = 1_000_000) -> None:
         self.encode = encode
         super().__init__(limit)
 

@@ -184,7 +184,7 @@ def words(chunk: TextChunk) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 class CountMemo(Memo):
     """Tokens and scores of pre-tokens."""
 
-    def __init__(self, path: str, limit: int = 1_500_000) -> None:
+    def __init__(self, path: str, limit: int = 1_000_000) -> None:
         self.pieces, self.byte = piece_trie(path)
         super().__init__(limit)
 
