@@ -32,12 +32,12 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import release, ship_package, written
+from .bitmap import among
 from .ngrams import lower_table
 from .pretokens import LETTER, NUMBER, class_table
 from .textbatch import TextChunk, binary_array, mix64, ranges, span_hashes, text_chunks
@@ -171,32 +171,10 @@ def _key(id_: Column) -> Column:
     return F.coalesce(F.concat(F.lit("="), id_.cast("string")), F.lit(""))
 
 
-def _among(hashes: DataFrame, p: Params):
-    """A test of a hash column: false only for those that aren't in ``hashes``, a frame of one long column.
-
-    A bit map of 16 bits for each wanted hash, up to 2^filter_bits bits: that
-    bounds what the driver gathers and what is broadcast.
-    """
-    spark, name = hashes.sparkSession, hashes.columns[0]
-    bits = max(12, min(p.filter_bits, (16 * hashes.count()).bit_length()))
-    words = hashes.groupBy(F.col(name).bitwiseAND(F.lit((1 << bits - 6) - 1)).alias("word")).agg(F.expr(f"bit_or(shiftleft(1L, cast(shiftrightunsigned({name}, 40) & 63L as int)))").alias("bits")).toArrow()
-    held = np.zeros(1 << bits - 6, np.uint64)
-    held[words.column("word").to_numpy()] = words.column("bits").to_numpy().view(np.uint64)
-    shared = spark.sparkContext.broadcast(held)
-
-    @F.pandas_udf("boolean")
-    def test(h: pd.Series) -> pd.Series:
-        x = h.to_numpy().view(np.uint64)
-        held = shared.value
-        return pd.Series((held[(x & np.uint64(len(held) - 1)).astype(np.int64)] >> (x >> np.uint64(40) & np.uint64(63)) & np.uint64(1)).astype(bool))
-
-    return test
-
-
 def _texts(docs: DataFrame, needed: DataFrame, p: Params, id_col: str, text_col: str) -> DataFrame:
     """(number, text) of the nodes in ``needed`` (number, k, h): one text of each."""
     row_hash = lambda: F.xxhash64("k", "h")
-    test = _among(needed.select(row_hash().alias("x")), p)
+    test = among(needed.select(row_hash().alias("x")), p.filter_bits)
     rows = docs.select(_key(F.col(id_col)).alias("k"), F.xxhash64(text_col).alias("h"), F.col(text_col).alias("text")).filter(test(row_hash()))
     # repeated rows are combined before they move
     return rows.groupBy("k", "h").agg(F.first("text").alias("text")).join(needed, ["k", "h"]).select("number", "text")
@@ -413,7 +391,7 @@ def keep_one(docs: DataFrame, p: Params | None = None, id_col: str = "doc_id", t
     met = met.toDF(*(names := [free(c) for c in met.columns]))
     fk, fh, times, stands = names
     key, text_hash = _key(F.col(id_col)), F.xxhash64(text_col)
-    test = _among(met.select(F.xxhash64(fk, fh).alias("x")), p)
+    test = among(met.select(F.xxhash64(fk, fh).alias("x")), p.filter_bits)
     maybe = test(F.xxhash64(key, text_hash))
     alone = docs.filter(~maybe)
     looked_up = docs.filter(maybe).withColumns({fk: key, fh: text_hash}).join(met.hint("merge"), [fk, fh], "left")  # the same plan at every size

@@ -32,6 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ship_package, written
+from .bitmap import among
 
 RECORD = "archive string, offset long, data binary"
 CAPTURE = "id long, url string, url_key string, time string, record_type string, payload_bytes long, payload_digest string, refers_to long, archive string, offset long, length long, payload binary"
@@ -51,9 +52,10 @@ def digest(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
-def record(id_: int | None, url: str | None, time: str, payload: bytes, refers_to: int | None, found: str) -> bytes:
-    """One record; ``found`` is the payload's digest."""
-    http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
+def record(id_: int | None, url: str | None, time: str, payload: bytes | None, refers_to: int | None, found: str, size: int | None = None) -> bytes:
+    """One record; ``found`` is the payload's digest, ``size`` its length where a revisit comes without it."""
+    size = len(payload) if size is None else size
+    http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {size}\r\n\r\n".encode()
     revisit = refers_to is not None
     block = http if revisit else http + payload
     target = "".join(c if c.isprintable() and c not in "\r\n" else "%%%02X" % ord(c) for c in url) if url else "urn:none"
@@ -93,11 +95,23 @@ def captured_at(id_: int | None) -> str:
 
 
 def with_revisits(pages: DataFrame, id_col: str, url_col: str, payload_col: str) -> DataFrame:
-    """(id, url, payload, refers_to).  Payloads held once need no join: only digests met again are looked up."""
+    """(id, url, payload, payload_bytes, sha, refers_to); a revisit may come without its payload.
+
+    Payloads held once stay where they are.  Of repeated ones, rows that can't be
+    the response meet the table of repeated digests by id, URL and digest alone;
+    what a payload moves for is to be the response, or a filter's rare mistake.
+    """
     rows = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).cast("string").alias("url"), F.coalesce(F.col(payload_col).cast("binary"), F.lit(b"")).alias("payload"))
-    rows = rows.withColumn("sha", F.sha1("payload"))
+    rows = rows.withColumn("payload_bytes", F.length("payload").cast("long")).withColumn("sha", F.sha1("payload"))
     again = written(rows.groupBy("sha").agg(F.count("*").alias("n"), F.min("id").alias("first")).filter("n > 1").select(F.col("sha").alias("again"), "first"), "warc-digests")
-    return rows.join(again, F.col("sha") == F.col("again"), "left").select("id", "url", "payload", F.when(~F.col("id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+    repeated = among(again.select(F.xxhash64("again").alias("x")))
+    response = among(again.select(F.xxhash64("again", "first").alias("x")))
+    maybe = repeated(F.xxhash64("sha"))
+    # a group without any id has no least one: its rows are responses, hashed as (digest, null)
+    met = rows.filter(maybe).withColumn("payload", F.when(response(F.xxhash64("sha", "id")), F.col("payload")))
+    met = met.join(again, F.col("sha") == F.col("again"), "left")
+    refers_to = F.when(~F.col("id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to")
+    return rows.filter(~maybe).withColumn("refers_to", F.lit(None).cast("long")).unionByName(met.select("id", "url", "payload", "payload_bytes", "sha", refers_to))
 
 
 def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", prefix: str = "crawl", level: int = 1) -> DataFrame:
@@ -110,8 +124,8 @@ def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "ur
             for k in range(0, batch.num_rows, 128):
                 data, at = [], []
                 for r in batch.slice(k, 128).to_pylist():
-                    payload = r["payload"]
-                    x = gzip.compress(record(r["id"], r["url"], captured_at(r["id"]), payload, r["refers_to"], digest(payload)), level, mtime=0)
+                    found = base64.b32encode(bytes.fromhex(r["sha"])).decode()
+                    x = gzip.compress(record(r["id"], r["url"], captured_at(r["id"]), r["payload"], r["refers_to"], found, r["payload_bytes"]), level, mtime=0)
                     data.append(x)
                     at.append(offset)
                     offset += len(x)

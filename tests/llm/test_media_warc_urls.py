@@ -3,6 +3,7 @@ import gzip
 import hashlib
 import heapq
 import random
+import zlib
 
 import duckdb
 import pytest
@@ -101,6 +102,33 @@ def test_warc_round_trip(spark, tmp_path):
     assert warc.capture_history(index).agg({"captures": "sum"}).first()[0] == len(PAGES)
 
 
+def test_revisits_leave_their_payloads(spark):
+    rows = [(k, "http://a", "copy" * 500) for k in range(300)] + [(k, "http://b", f"own {k}") for k in range(300, 400)] + [(None, "http://c", "no id")] * 3
+    out = warc.with_revisits(spark.createDataFrame(rows, "page_id long, url string, html string"), "page_id", "url", "html").collect()
+    assert len(out) == len(rows) and all(r["payload"] is not None for r in out if r["refers_to"] is None)
+    assert {r["id"] for r in out if r["refers_to"] == 0} == set(range(1, 300))
+    assert sum(r["payload"] is not None for r in out if r["refers_to"] == 0) < 30  # moved by a filter's mistake
+
+
+def test_warc_query_whole_table(spark, sf):
+    pages = [(r["page_id"], r["url"], r["html"]) for r in spark.read.parquet(f"{sf}/pages.parquet").collect()]
+    got = queries.op1_warc_index(spark, sf).select("page_id", "url_key", "payload_bytes", "payload_digest", "record_type", "refers_to").collect()
+    want = [(x[0], warc.url_key(x[1]), *x[2:]) for x in expected(pages)]
+    assert sorted(map(tuple, got), key=repr) == sorted(want, key=repr)
+
+
+def test_ogg_query_whole_table(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()
+    want = []
+    for r in docs:
+        raw = (r["text"] or "").encode()
+        payload = raw + b" " * (-len(raw) % 192 if raw else 192)
+        media = ogg.write_ogg(payload)
+        want.append((r["doc_id"], len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(media), hashlib.sha256(media).hexdigest()))
+    got = queries.op10_ogg(spark, sf).select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256").collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
 def test_warc_empty(spark):
     none = spark.createDataFrame([], "page_id long, url string, html string")
     assert warc.merge_index(warc.read_archives(warc.write_archives(none))).count() == 0
