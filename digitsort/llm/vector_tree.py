@@ -1,10 +1,20 @@
 """Approximate nearest neighbours by a hierarchical k-means tree.
 
-``fit`` clusters a bounded sample of vectors into a tree; every row is indexed
-under its leaf.  A query walks the tree best bin first: a priority queue holds
-unopened nodes by their centroid's cosine, and each leaf that leaves the queue is
-a visit.  The number of visits is calibrated: sample queries are answered exactly
-over all rows, and visits widen until the wanted recall is reached on them.
+``fit`` clusters a bounded sample of vectors into a tree; every row is placed
+under its leaf.  A leaf of more than ``split_rows`` rows gets a tree of its own,
+from a bounded sample of its rows, and so on down: leaves stay of one size while
+the tree deepens with the table.  The topmost tree is broadcast, those below are a
+table that rows and queries meet by leaf.
+
+A query walks best bin first: a priority queue holds unopened nodes, and each leaf
+that leaves it is a visit.  A node's place in the queue is the least cosine on its
+path, so that below the topmost tree the queue is an order by it: each level keeps
+a query's first nodes, as many as visits.  The number of visits is calibrated:
+sample queries are answered exactly over all rows, and visits widen until the
+wanted recall is reached on them.
+
+Of equal vectors the k + 1 least ids are indexed: none of the others can be among
+any row's k nearest, as ties go to the smaller id.
 
 Queries and indexed vectors meet leaf by leaf in blocks, so that a pair of rows
 is never a row; within a block, equal vectors are scored once and stand for their
@@ -20,6 +30,7 @@ than k give fewer rows; an empty table gives none.  Only two columns are read.
 from __future__ import annotations
 
 import heapq
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -28,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..session import ship_package, written
+from ..session import release, ship_package, written
 
 
 @dataclass
@@ -38,10 +49,18 @@ class Params:
     leaf_rows: int = 200
     max_depth: int = 3
     sample_rows: int = 8192
+    split_rows: int = 3200
+    child_rows: int = 4096  # expected rows of the sample for a leaf's own tree
     calibration_rows: int = 128
     recall: float = 0.97
     rounds: int = 8
     block: int = 512
+    first_visits: int = 64  # where calibration begins
+
+    @property
+    def base(self) -> int:
+        """More than a tree's leaves: a leaf's number is (its parent's + 1) * base + its place."""
+        return (self.branching + 1) ** self.max_depth
 
 
 @dataclass
@@ -103,19 +122,22 @@ class Tree:
         down(self.root, np.arange(len(v)))
         return out
 
-    def visits(self, q: np.ndarray, most: int) -> list[int]:
-        """Leaves in best-bin-first order."""
-        queue, tick, out = [(-1.0, 0, self.root)], 0, []
+    def walk(self, q: np.ndarray, most: int) -> list[tuple[int, float, float]]:
+        """Leaves in best-bin-first order, each with the least cosine on its path and its own."""
+        queue, tick, out = [(-1.0, -1.0, 0, self.root)], 0, []
         while queue and len(out) < most:
-            _, _, node = heapq.heappop(queue)
+            least, own, _, node = heapq.heappop(queue)
             if not isinstance(node, Node):
-                out.append(node)
+                out.append((node, -least, -own))
                 continue
             for near, child in zip((node.children @ q).tolist(), node.nodes, strict=True):
                 tick += 1
-                heapq.heappush(queue, (-near, tick, child))
+                heapq.heappush(queue, (max(least, -near), -near, tick, child))
         return out
 
+    def visits(self, q: np.ndarray, most: int) -> list[int]:
+        return [leaf for leaf, _, _ in self.walk(q, most)]
+
 
 def best(queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, vectors: np.ndarray, k: int) -> list[list[tuple[int, float]]]:
     """Each query's k nearest rows of a block, other than itself: by score, ties to the smaller id."""
@@ -156,6 +178,7 @@ def _matrix(column: pa.Array) -> np.ndarray:
 @dataclass
 class Index:
     tree: Tree | None
+    levels: list[DataFrame]  # leaf, tree: trees of leaves, from the top down
     rows: DataFrame  # leaf, k, ids, vectors: blocks of all rows
     p: Params
     visits: int = 1
@@ -187,16 +210,59 @@ def _top(near: DataFrame, k: int) -> DataFrame:
     return near.distinct().withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
+def _least_ids(good: DataFrame, k: int) -> DataFrame:
+    """Distinct (id, v): of equal vectors the k + 1 least ids, cut before rows are shuffled."""
+    w = Window.partitionBy("v").orderBy("id")
+    return good.withColumn("r", F.dense_rank().over(w)).filter(F.col("r") <= k + 1).groupBy("v", "id").agg(F.lit(None).alias("r")).select("id", "v")
+
+
+def _blocks(placed: DataFrame, p: Params) -> DataFrame:
+    """(leaf, n, k, ids, vectors): about ``block`` rows each; n rows in the leaf."""
+    size = placed.groupBy("leaf").agg(F.count("*").alias("n"))
+    cut = placed.join(size, "leaf").withColumn("k", F.pmod(F.xxhash64("id"), F.ceil(F.col("n") / p.block)))
+    return written(cut.groupBy("leaf", "k").agg(F.first("n").alias("n"), F.collect_list(F.struct("id", "v")).alias("x")).select("leaf", "n", "k", F.col("x.id").alias("ids"), F.col("x.v").alias("vectors")), "leaf-blocks")
+
+
+def _trees_of_leaves(blocks: DataFrame, p: Params, level: int) -> DataFrame:
+    """(leaf, tree) of the leaves to be split; none for those whose sampled rows can't be told apart."""
+    big = blocks.filter(F.col("n") > p.split_rows).select("leaf", "n", F.explode(F.arrays_zip("ids", "vectors")).alias("x"))
+    picked = big.filter(F.pmod(F.xxhash64("x.ids", F.lit(level)), F.lit(1 << 30)) < F.lit(float(p.child_rows << 30)) / F.col("n"))
+    samples = picked.groupBy("leaf").agg(F.first("n").alias("n"), F.sort_array(F.collect_list("x")).alias("x")).select("leaf", "n", F.col("x.vectors").alias("vectors"))
+
+    def grow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for leaf, n, v in zip(*batch.columns, strict=True):
+                tree = Tree(_matrix(v.values), max(2, min(p.branching**p.max_depth, n.as_py() // p.leaf_rows)), p)
+                if tree.leaves > 1:
+                    yield pa.RecordBatch.from_arrays([pa.array([leaf.as_py()]), pa.array([pickle.dumps(tree)], pa.binary())], ["leaf", "tree"])
+
+    return written(samples.mapInArrow(grow, "leaf long, tree binary"), "trees")
+
+
+def _split(blocks: DataFrame, trees: DataFrame, p: Params) -> DataFrame:
+    """(id, v, leaf) of all rows, one level further down."""
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for leaf, ids, vectors, tree in zip(*batch.columns, strict=True):
+                number = np.full(len(ids.values), leaf.as_py(), np.int64)
+                if tree.is_valid:
+                    number = (number + 1) * p.base + pickle.loads(tree.as_buffer()).assign(unit(_matrix(vectors.values)))
+                yield pa.RecordBatch.from_arrays([ids.values, vectors.values, pa.array(number)], ["id", "v", "leaf"])
+
+    return written(blocks.select("leaf", "ids", "vectors").join(trees, "leaf", "left").mapInArrow(place, "id long, v array<double>, leaf long"), "leaves")
+
+
 def fit(rows: DataFrame, p: Params | None = None, id_col: str = "vec_id", vector_col: str = "embedding") -> Index:
-    """A tree from at most ``sample_rows`` rows, all rows' blocks by leaf, and calibrated visits."""
+    """Trees from samples of ``sample_rows`` rows and of about ``child_rows`` of each leaf to be split, all rows' blocks by leaf, and calibrated visits."""
     p = p or Params()
     spark = rows.sparkSession
     ship_package(spark)
-    good = usable(rows, id_col, vector_col)
+    good = written(_least_ids(usable(rows, id_col, vector_col), p.k), "vectors")
     total = good.count()
-    sample = good.orderBy(F.xxhash64("id"), "id").limit(p.sample_rows).toArrow().combine_chunks()
+    sample = good.orderBy(F.xxhash64("id"), "id", "v").limit(p.sample_rows).toArrow().combine_chunks()
     if not total:
-        return Index(None, good.limit(0).select(F.lit(0).alias("leaf"), F.array("id").alias("ids"), F.array("v").alias("vectors")), p)
+        return Index(None, [], good.select(F.lit(0).alias("leaf"), F.array("id").alias("ids"), F.array("v").alias("vectors")), p)
     tree = Tree(_matrix(sample.column("v").combine_chunks()), max(1, min(p.branching**p.max_depth, total // p.leaf_rows)), p)
     shared = spark.sparkContext.broadcast(tree)  # at most branching^max_depth centroids
 
@@ -207,26 +273,83 @@ def fit(rows: DataFrame, p: Params | None = None, id_col: str = "vec_id", vector
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(shared.value.assign(unit(v)))], ["id", "v", "leaf"])
 
     placed = written(good.mapInArrow(place, "id long, v array<double>, leaf long"), "leaves")
-    size = placed.groupBy("leaf").agg(F.count("*").alias("n"))  # as many rows as leaves
-    cut = placed.join(F.broadcast(size), "leaf").withColumn("k", F.pmod(F.xxhash64("id"), F.ceil(F.col("n") / p.block)))
-    blocks = written(cut.groupBy("leaf", "k").agg(F.collect_list(F.struct("id", "v")).alias("x")).select("leaf", F.col("x.id").alias("ids"), F.col("x.v").alias("vectors")), "leaf-blocks")
-    index = Index(tree, blocks, p)
+    blocks = _blocks(placed, p)
+    levels: list[DataFrame] = []
+    while p.base ** (len(levels) + 2) < 1 << 63 and not blocks.filter(F.col("n") > p.split_rows).isEmpty():
+        trees = _trees_of_leaves(blocks, p, len(levels))
+        if trees.isEmpty():
+            break
+        release(placed)
+        placed, before = _split(blocks, trees, p), blocks
+        blocks = _blocks(placed, p)
+        release(before)
+        levels.append(trees)
+    release(placed)
+    index = Index(tree, levels, blocks, p)
     _calibrate(index, good, spark)
     return index
 
 
+def _walks(asked: DataFrame, index: Index, most: int, queries: int) -> DataFrame:
+    """(id, v, leaf, near, own): each query's first leaves, best bin first; no more than ``most``."""
+    p = index.p
+    shared = asked.sparkSession.sparkContext.broadcast(index.tree)
+    names = ["id", "v", "leaf", "near", "own"]
+    schema = "id long, v array<double>, leaf long, near double, own double"
+
+    def opened(ids: pa.Array, v: pa.Array, walks: list[list[tuple[int, float, float]]]) -> pa.RecordBatch:
+        at = pa.array(np.repeat(np.arange(len(walks)), [len(x) for x in walks]))
+        columns = [pa.array([leaf[c] for x in walks for leaf in x], t) for c, t in enumerate((pa.int64(), pa.float64(), pa.float64()))]
+        return pa.RecordBatch.from_arrays([ids.take(at), v.take(at), *columns], names)
+
+    def top(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(0, batch.num_rows, 1024):
+                ids, v = batch.slice(k, 1024).columns
+                yield opened(ids, v, [shared.value.walk(q, most) if shared.value else [] for q in unit(_matrix(v))])
+
+    def down(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for leaf, held, tree in zip(*batch.columns, strict=True):
+                ids, v, near, own = held.values.flatten()
+                leaf = leaf.as_py()
+                if not tree.is_valid:
+                    yield opened(ids, v, [[(leaf, a, b)] for a, b in zip(near.to_pylist(), own.to_pylist(), strict=True)])
+                    continue
+                below = pickle.loads(tree.as_buffer())
+                yield opened(ids, v, [[((leaf + 1) * p.base + x, min(a, b), c) for x, b, c in below.walk(q, most)] for q, a in zip(unit(_matrix(v)), near.to_pylist(), strict=True)])
+
+    walks = asked.mapInArrow(top, schema)
+    first = Window.partitionBy("id", "v").orderBy(F.desc("near"), F.desc("own"), "leaf")
+    for trees in index.levels:
+        k = F.pmod(F.xxhash64("id"), F.lit(max(1, queries // p.block))).alias("k")
+        held = walks.groupBy("leaf", k).agg(F.collect_list(F.struct("id", "v", "near", "own")).alias("q"))
+        walks = held.join(trees, "leaf", "left").select("leaf", "q", "tree").mapInArrow(down, schema)
+        walks = walks.withColumn("n", F.row_number().over(first)).filter(F.col("n") <= most).drop("n")
+    return walks
+
+
 def _calibrate(index: Index, good: DataFrame, spark) -> None:
     p = index.p
-    asked = good.orderBy(F.xxhash64("id", F.lit(3)), "id").limit(p.calibration_rows).collect()
+    asked = good.orderBy(F.xxhash64("id", F.lit(3)), "id", "v").limit(p.calibration_rows).collect()
     truth = _exact(asked, index.rows, spark, p)
     wanted = sorted({i for f in truth.values() for i in f})
     leaf_of = dict(index.rows.select("leaf", F.explode("ids").alias("id")).join(F.broadcast(spark.createDataFrame([(i,) for i in wanted] or [(0,)], "id long")), "id").select("id", "leaf").collect())
-    queries = {r["id"]: unit(np.array([r["v"]]))[0] for r in asked}
-    walks = {i: {leaf: at for at, leaf in enumerate(index.tree.visits(q, index.tree.leaves))} for i, q in queries.items()}
-    at = sorted(walks[i][leaf_of[j]] for i, f in truth.items() for j in f)
-    need = int(np.ceil(p.recall * len(at)))
-    index.visits = at[max(0, need - 1)] + 1 if at else 1
-    index.recall = sum(x < index.visits for x in at) / len(at) if at else 1.0
+    near = [(i, leaf_of[j]) for i, f in truth.items() for j in f]
+    need = int(np.ceil(p.recall * len(near)))
+    queries = spark.createDataFrame([(r["id"], r["v"]) for r in asked], "id long, v array<double>")
+    most = p.first_visits
+    while near:
+        order: dict[int, list] = {}
+        for r in _walks(queries, index, most, len(asked)).select("id", "leaf", "near", "own").toArrow().to_pylist():  # calibration_rows x most
+            order.setdefault(r["id"], []).append((-r["near"], -r["own"], r["leaf"]))
+        place = {(i, x[2]): k for i, found in order.items() for k, x in enumerate(sorted(found))}
+        at = sorted(place[x] for x in near if x in place)
+        if len(at) >= need:
+            index.visits = at[max(0, need - 1)] + 1
+            index.recall = sum(x < index.visits for x in at) / len(near)
+            return
+        most *= 4
 
 
 def search(index: Index, rows: DataFrame, is_query: Column | None = None, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
@@ -236,19 +359,8 @@ def search(index: Index, rows: DataFrame, is_query: Column | None = None, id_col
     ship_package(spark)
     asked = rows if is_query is None else rows.filter(is_query)
     asked = usable(asked, id_col, vector_col)
-    shared, visits = spark.sparkContext.broadcast(index.tree), index.visits
-
-    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(0, batch.num_rows, 1024):
-                part = batch.slice(k, 1024)
-                v = _matrix(part.column(1))
-                leaves = [shared.value.visits(q, visits) for q in unit(v)] if shared.value else [[]] * len(v)
-                at = np.repeat(np.arange(len(v)), [len(x) for x in leaves])
-                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(at)), part.column(1).take(pa.array(at)), pa.array([x for y in leaves for x in y], pa.int64())], ["id", "v", "leaf"])
-
-    walks = asked.mapInArrow(walk, "id long, v array<double>, leaf long")
     count = asked.count()
+    walks = _walks(asked, index, index.visits, count)
     asking = walks.withColumn("k", F.pmod(F.xxhash64("id"), F.lit(max(1, count // p.block)))).groupBy("leaf", "k").agg(F.collect_list(F.struct("id", "v")).alias("q"))
     met = asking.select("leaf", F.col("q.id").alias("qid"), F.col("q.v").alias("qv")).join(index.rows, "leaf").select("qid", "qv", "ids", "vectors")
 

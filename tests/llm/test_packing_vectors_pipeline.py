@@ -123,6 +123,28 @@ def test_vector_search_odd_rows(spark):
     assert vector_tree.search(vector_tree.fit(few), few, F.col("vec_id") % 50 == 0).count() == 1
 
 
+def test_leaves_stay_of_one_size_and_queues_span_levels(spark):
+    rng = np.random.default_rng(4)
+    centre = rng.normal(size=(30, 8))
+    v = (centre[rng.integers(0, 30, 3000)] + 0.4 * rng.normal(size=(3000, 8))).astype(np.float32)
+    v[::3] = v[0]  # a third of all rows
+    df = spark.createDataFrame([(k, x.tolist()) for k, x in enumerate(v)], "vec_id long, embedding array<float>")
+    p = vector_tree.Params(branching=4, max_depth=1, leaf_rows=10, split_rows=60, child_rows=200, block=16, recall=0.97, first_visits=4)
+    index = vector_tree.fit(df, p)
+    blocks = index.rows.collect()
+    assert len(index.levels) >= 2 and max(r["n"] for r in blocks) <= 60
+    held = {i for r in blocks for i in r["ids"]}
+    assert held == {k for k in range(3000) if k % 3} | set(range(0, 18, 3))
+    want = brute([(k, x.tolist()) for k, x in enumerate(v)], 5)
+    got = {}
+    for r in vector_tree.search(index, df, F.col("vec_id") % 50 == 0).orderBy("query_id", "rank").collect():
+        got.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
+    assert set(got) == set(want) and all(len(x) == 5 for x in got.values())
+    assert sum(len(dict(got[q]).keys() & dict(want[q]).keys()) for q in want) >= 0.9 * 5 * len(want)
+    assert index.visits < len({r["leaf"] for r in blocks})
+    assert all(got[q] == want[q] for q in want if q % 3 == 0)
+
+
 def test_vector_recall(spark):
     d = "/root/testdata/sf0.1"
     rows = {r["vec_id"]: r["embedding"] for r in spark.read.parquet(f"{d}/embeddings.parquet").collect()}
