@@ -162,17 +162,22 @@ def best(queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, vectors: n
 
 
 def usable(rows: DataFrame, id_col: str, vector_col: str) -> DataFrame:
-    """(id, v): rows that take part."""
+    """(id, v): rows that take part.  Floats stay floats until they are compared, in double precision."""
+    kind = "array<float>" if rows.schema[vector_col].dataType.simpleString() == "array<float>" else "array<double>"
     v = F.col("v")
     good = F.col("id").isNotNull() & v.isNotNull() & ~F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists(v, lambda x: x != 0)
-    rows = rows.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter(good)
+    rows = rows.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast(kind).alias("v")).filter(good)
     sizes = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").first()
     return rows.filter(F.size("v") == (sizes["d"] if sizes else 0))
 
 
+def _kind(rows: DataFrame) -> str:
+    return rows.schema["v"].dataType.simpleString()
+
+
 def _matrix(column: pa.Array) -> np.ndarray:
     flat = column.flatten()
-    return flat.to_numpy(zero_copy_only=False).reshape(len(column), -1) if len(column) else np.zeros((0, 1))
+    return flat.to_numpy(zero_copy_only=False).astype(float).reshape(len(column), -1) if len(column) else np.zeros((0, 1))
 
 
 @dataclass
@@ -241,6 +246,7 @@ def _trees_of_leaves(blocks: DataFrame, p: Params, level: int) -> DataFrame:
 
 def _split(blocks: DataFrame, trees: DataFrame, p: Params) -> DataFrame:
     """(id, v, leaf) of all rows, one level further down."""
+    kind = blocks.schema["vectors"].dataType.elementType.simpleString()
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -250,7 +256,7 @@ def _split(blocks: DataFrame, trees: DataFrame, p: Params) -> DataFrame:
                     number = (number + 1) * p.base + pickle.loads(tree.as_buffer()).assign(unit(_matrix(vectors.values)))
                 yield pa.RecordBatch.from_arrays([ids.values, vectors.values, pa.array(number)], ["id", "v", "leaf"])
 
-    return written(blocks.select("leaf", "ids", "vectors").join(trees, "leaf", "left").mapInArrow(place, "id long, v array<double>, leaf long"), "leaves")
+    return written(blocks.select("leaf", "ids", "vectors").join(trees, "leaf", "left").mapInArrow(place, f"id long, v {kind}, leaf long"), "leaves")
 
 
 def fit(rows: DataFrame, p: Params | None = None, id_col: str = "vec_id", vector_col: str = "embedding") -> Index:
@@ -272,7 +278,7 @@ def fit(rows: DataFrame, p: Params | None = None, id_col: str = "vec_id", vector
             if len(v):
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(shared.value.assign(unit(v)))], ["id", "v", "leaf"])
 
-    placed = written(good.mapInArrow(place, "id long, v array<double>, leaf long"), "leaves")
+    placed = written(good.mapInArrow(place, f"id long, v {_kind(good)}, leaf long"), "leaves")
     blocks = _blocks(placed, p)
     levels: list[DataFrame] = []
     while p.base ** (len(levels) + 2) < 1 << 63 and not blocks.filter(F.col("n") > p.split_rows).isEmpty():
@@ -295,7 +301,7 @@ def _walks(asked: DataFrame, index: Index, most: int, queries: int) -> DataFrame
     p = index.p
     shared = asked.sparkSession.sparkContext.broadcast(index.tree)
     names = ["id", "v", "leaf", "near", "own"]
-    schema = "id long, v array<double>, leaf long, near double, own double"
+    schema = f"id long, v {_kind(asked)}, leaf long, near double, own double"
 
     def opened(ids: pa.Array, v: pa.Array, walks: list[list[tuple[int, float, float]]]) -> pa.RecordBatch:
         at = pa.array(np.repeat(np.arange(len(walks)), [len(x) for x in walks]))
