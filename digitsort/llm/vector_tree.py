@@ -40,6 +40,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import release, ship_package, written
+from .textbatch import ranges
 
 
 @dataclass
@@ -139,26 +140,30 @@ class Tree:
         return [leaf for leaf, _, _ in self.walk(q, most)]
 
 
-def best(queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, vectors: np.ndarray, k: int) -> list[list[tuple[int, float]]]:
-    """Each query's k nearest rows of a block, other than itself: by score, ties to the smaller id."""
+def best(queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, vectors: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query ids, ids, scores): each query's k nearest rows of a block, other than itself, by score, ties to the smaller id."""
     ids, at = np.unique(ids, return_index=True)
     vectors = vectors[at]
     flat = np.ascontiguousarray(vectors).view(np.dtype((np.void, vectors.dtype.itemsize * vectors.shape[1]))).ravel()
     _, first, same = np.unique(flat, return_index=True, return_inverse=True)
     order = np.argsort(same, kind="stable")  # ids of equal vectors, ascending
-    begin = np.concatenate([[0], np.cumsum(np.bincount(same))])
+    held = np.bincount(same)
+    begin = np.cumsum(held) - held
     distinct = vectors[first]
     rough = unit(queries) @ unit(distinct).T
-    out = []
     need = min(k + 1, len(distinct))
     floor = -np.partition(-rough, need - 1, axis=1)[:, need - 1] - 1e-9
-    for r, (q, qid) in enumerate(zip(queries, query_ids.tolist(), strict=True)):
-        near = np.flatnonzero(rough[r] >= floor[r])
-        found = []
-        for j, s in zip(near.tolist(), cosines(np.broadcast_to(q, (len(near), len(q))), distinct[near]).tolist(), strict=True):
-            found += [(-s, i) for i in ids[order[begin[j] : min(begin[j + 1], begin[j] + k + 1)]].tolist() if i != qid]
-        out.append([(i, -s) for s, i in sorted(found)[:k]])
-    return out
+    row, near = np.nonzero(rough >= floor[:, None])
+    times = np.minimum(held[near], k + 1)
+    some = range(0, len(row), 16384)  # pairs held at a time
+    score = np.repeat(np.concatenate([cosines(queries[row[i : i + 16384]], distinct[near[i : i + 16384]]) for i in some]), times)
+    row, found = np.repeat(row, times), ids[order[ranges(begin[near], times)]]
+    other = found != query_ids[row]
+    row, found, score = row[other], found[other], score[other]
+    by = np.lexsort((found, -score, row))
+    row, found, score = row[by], found[by], score[by]
+    top = np.arange(len(row)) - np.searchsorted(row, row) < k
+    return query_ids[row[top]], found[top], score[top]
 
 
 def usable(rows: DataFrame, id_col: str, vector_col: str) -> DataFrame:
@@ -200,8 +205,7 @@ def _exact(queries: list, blocks: DataFrame, spark, p: Params) -> dict[int, list
         for batch in batches:
             for block, vectors in zip(batch.column(0), batch.column(1), strict=True):
                 found = best(q, ids, block.values.to_numpy(), _matrix(vectors.values), p.k)
-                rows = [(int(i), j, s) for i, f in zip(ids, found, strict=True) for j, s in f]
-                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.float64()))], ["query_id", "vec_id", "score"])
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in found], ["query_id", "vec_id", "score"])
 
     near = blocks.select("ids", "vectors").mapInArrow(run, "query_id long, vec_id long, score double")
     out: dict[int, list[int]] = {}
@@ -373,9 +377,8 @@ def search(index: Index, rows: DataFrame, is_query: Column | None = None, id_col
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for qid, qv, ids, vectors in zip(*batch.columns, strict=True):
-                asked = qid.values.to_numpy()
-                rows = [(i, j, s) for i, f in zip(asked.tolist(), best(_matrix(qv.values), asked, ids.values.to_numpy(), _matrix(vectors.values), p.k), strict=True) for j, s in f]
-                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.float64()))], ["query_id", "vec_id", "score"])
+                found = best(_matrix(qv.values), qid.values.to_numpy(), ids.values.to_numpy(), _matrix(vectors.values), p.k)
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in found], ["query_id", "vec_id", "score"])
 
     near = met.mapInArrow(compare, "query_id long, vec_id long, score double")
     return _top(near, p.k).select("query_id", "rank", "vec_id", "score")
