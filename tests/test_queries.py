@@ -129,3 +129,53 @@ def test_suffixes_are_ordered_by_their_whole_text(spark):
     assert got == {(d, i): k for k, (_, d, i) in enumerate(want)}
     cut = {(r["doc_id"], r["at"]): r["rank"] for r in patterns.suffix_array(docs, 4).collect()}
     assert cut != got  # the prefix alone does not order them
+
+
+@pytest.mark.parametrize("combine", [True, False])
+def test_kmers_of_whole_texts(spark, combine):
+    from collections import Counter
+    import hashlib
+
+    from digitsort.operators import kmers
+
+    texts = ["banana bandana" * 5, "", None, "short", "日本語é" * 30, "né à la façon 😀" * 9, "😀" * 40, "a", "banana bandana" * 5]
+    docs = spark.createDataFrame([(t,) for t in texts], "text string").coalesce(1)
+    for k in (1, 4, 16, 33):
+        want = Counter(t[i : i + k] for t in texts if t for i in range(len(t) - k + 1))
+        stored = kmers.distribute_texts(docs, k, combine)
+        got = kmers.count_texts(stored, k).collect()
+        assert {r["kmer"]: r["n"] for r in got} == want and len(got) == len(want)
+        assert all(r["bin"] == int(hashlib.md5(r["kmer"].encode()).hexdigest()[:4], 16) % 256 for r in got)
+        bins = {r["bin"]: r for r in kmers.bins_of(stored, k).collect()}
+        assert {b: r["last_kmer"] for b, r in bins.items()} == {b: max(x["kmer"] for x in got if x["bin"] == b) for b in {x["bin"] for x in got}}
+        assert sum(r["rows"] for r in bins.values()) == sum(want.values()) and sum(r["once"] for r in bins.values()) == sum(n == 1 for n in want.values())
+        assert {r["n"]: r["kmers"] for r in kmers.spectrum(stored, k).collect()} == Counter(want.values())
+    assert kmers.bins_of(kmers.distribute_texts(docs.limit(0))).count() == 0
+
+
+def test_stage_one_stores_less_than_its_kmers(spark, sf):
+    from pyspark.sql import functions as F
+
+    from digitsort.operators import kmers
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    stored = kmers.distribute_texts(docs).agg(F.sum(F.length("data"))).first()[0]
+    assert stored < 4 * docs.agg(F.sum(F.length("text"))).first()[0]  # a row a k-mer took more than 16 bytes each
+
+
+def test_counts_beyond_memory_go_to_files(monkeypatch):
+    from collections import Counter
+
+    from digitsort.operators import runs
+
+    monkeypatch.setattr(runs, "CHUNK", 100)
+    rng, counts, want = np.random.default_rng(5), runs.Counts(150), Counter()
+    for _ in range(30):
+        x, y = rng.integers(0, 40, 60).astype(np.uint64), rng.integers(0, 10, 60).astype(np.uint64)
+        counts.add([x, y], np.ones(60, np.int64))
+        want.update(zip(x.tolist(), y.tolist(), strict=True))
+    found = [z for key, n in counts.result() for z in zip(key[0].tolist(), key[1].tolist(), n.tolist(), strict=True)]
+    assert counts.files and len(found) == len(want) and {(a, b): n for a, b, n in found} == want
+    x, y = rng.integers(0, 3, 500).astype(np.uint64), rng.integers(0, 5, 500).astype(np.uint64)
+    key, n = runs.added([x, y], np.ones(500, np.int64), head=np.zeros(500, np.uint64))  # all of one hash
+    assert dict(zip(zip(key[0].tolist(), key[1].tolist(), strict=True), n.tolist(), strict=True)) == Counter(zip(x.tolist(), y.tolist(), strict=True))
