@@ -3,6 +3,7 @@
 import duckdb
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import pytest
 
 from digitsort import registry
@@ -179,3 +180,21 @@ def test_counts_beyond_memory_go_to_files(monkeypatch):
     x, y = rng.integers(0, 3, 500).astype(np.uint64), rng.integers(0, 5, 500).astype(np.uint64)
     key, n = runs.added([x, y], np.ones(500, np.int64), head=np.zeros(500, np.uint64))  # all of one hash
     assert dict(zip(zip(key[0].tolist(), key[1].tolist(), strict=True), n.tolist(), strict=True)) == Counter(zip(x.tolist(), y.tolist(), strict=True))
+
+
+def test_no_suffix_moves(spark, monkeypatch):
+    from digitsort.operators import patterns, runs, sorts
+
+    monkeypatch.setattr(sorts, "adaptive_msd", None)  # a row a suffix went through the sort of a table
+    texts = ["abcabcabd" * 30, "日本" * 20]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    asked = ["abc", "本日本", "abd" + "abc" * 2, "abd" * 2]
+    got = patterns.searches(docs, spark.createDataFrame([(x,) for x in asked], "pattern string"), [("naive", None), ("sorted", 2)]).collect()
+    assert {(r["way"], r["pattern"]): r["occurrences"] for r in got} == {(w, x): sum(t.startswith(x, i) for t in texts for i in range(len(t))) for w in (0, 1) for x in asked}
+    for longest in (1, 7, 50, 1000):  # suffixes of texts cut into chunks are all there, and in order
+        heads = []
+        for chunk in runs.chunks([pa.array(texts)], longest - 1, 64):
+            of = patterns.Heads(*chunk, longest)
+            heads += (mine := [of[i] for i in range(len(of))])
+            assert mine == sorted(mine)
+        assert sorted(heads) == sorted(t[i : i + longest] for t in texts for i in range(len(t)))
