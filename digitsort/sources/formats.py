@@ -34,7 +34,7 @@ def bucketed(df: DataFrame, key: str, buckets: int = 8) -> DataFrame:
 
 class KeyReader(DataSourceReader):
     def __init__(self, options: dict) -> None:
-        self.n, self.parts, self.universe = int(options.get("rows", 1000)), int(options.get("parts", 4)), int(options.get("universe", 0))
+        self.n, self.parts, self.universe, self.low = (int(options.get(o, x)) for o, x in (("rows", 1000), ("parts", 4), ("universe", 0), ("low", 0)))
 
     def partitions(self) -> list[InputPartition]:
         return [InputPartition(k) for k in range(self.parts)]
@@ -42,10 +42,10 @@ class KeyReader(DataSourceReader):
     def read(self, partition: InputPartition):
         import hashlib
 
-        for k in range(partition.value, self.n, self.parts):
+        for k in range(self.low + partition.value, self.low + self.n, self.parts):
             h = int.from_bytes(hashlib.md5(str(k).encode()).digest()[:8], "big")
-            u = (h >> 32) / 2**32
-            yield (k, int(self.universe * u**4) if self.universe else h - (1 << 63))
+            u = ((h >> 32) + 0.5) / 2**32
+            yield (k, int(self.universe * (u * u) * (u * u)) if self.universe else h - (1 << 63))
 
 
 class KeySource(DataSource):
@@ -62,6 +62,7 @@ class KeySource(DataSource):
         return KeyReader(self.options)
 
 
-def generated(spark: SparkSession, rows: int, universe: int = 0, parts: int = 4) -> DataFrame:
+def generated(spark: SparkSession, rows: int, universe: int = 0, parts: int = 4, low: int = 0) -> DataFrame:
+    """Keys of the ids from ``low`` on."""
     spark.dataSource.register(KeySource)
-    return spark.read.format("digit_keys").option("rows", rows).option("parts", parts).option("universe", universe).load()
+    return spark.read.format("digit_keys").option("rows", rows).option("parts", parts).option("universe", universe).option("low", low).load()

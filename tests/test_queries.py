@@ -198,3 +198,10 @@ def test_no_suffix_moves(spark, monkeypatch):
             heads += (mine := [of[i] for i in range(len(of))])
             assert mine == sorted(mine)
         assert sorted(heads) == sorted(t[i : i + longest] for t in texts for i in range(len(t)))
+
+
+@pytest.mark.parametrize("name", ["gen_uniform", "src_generator"])
+def test_generated_keys_are_those_of_events(spark, sf, duck, name):
+    found = registry.all_queries()[name](spark, sf)
+    assert "events.parquet" in found._jdf.queryExecution().toString()
+    assert rows(found.toPandas()) == rows(duck.execute(registry.all_sql()[name]).df())
