@@ -205,3 +205,9 @@ def test_generated_keys_are_those_of_events(spark, sf, duck, name):
     found = registry.all_queries()[name](spark, sf)
     assert "events.parquet" in found._jdf.queryExecution().toString()
     assert rows(found.toPandas()) == rows(duck.execute(registry.all_sql()[name]).df())
+
+
+@pytest.mark.parametrize("name", ["measure_speedup", "measure_ranking", "measure_growth"])
+def test_measures_read_lineitem(spark, sf, name):
+    found = registry.all_queries()[name](spark, sf)
+    assert "lineitem.parquet" in found._jdf.queryExecution().toString() and found.count()
