@@ -105,14 +105,16 @@ def _solve(read, p: Params) -> Model:
     if not len(y) or y.min() == y.max():
         return none
     npos, nneg = y.sum() + 2 * p.smoothing, (1 - y).sum() + 2 * p.smoothing
+    seen = np.flatnonzero(~(pos + neg <= 2 * p.smoothing + 1))  # more than once; only these take memory from here on
+    pos, neg = pos[seen], neg[seen]
     ratio = np.log(pos / npos) - np.log(neg / nneg)
     sure = np.abs(ratio) / np.sqrt(1 / pos + 1 / neg)
-    sure[pos + neg <= 2 * p.smoothing + 1] = 0  # seen once at most
-    feature = np.sort(np.argsort(-sure, kind="stable")[: p.features])
-    feature = feature[sure[feature] > 0]
+    chosen = np.sort(np.argsort(-sure, kind="stable")[: p.features])
+    chosen = chosen[sure[chosen] > 0]
+    feature = seen[chosen]
     if not len(feature):
         return none
-    scale = ratio[feature]
+    scale = ratio[chosen]
     place = np.full(size, -1, np.int32)
     place[feature] = np.arange(len(feature))
     found = [x[x >= 0] for x in (place[r] for r, _ in read())]

@@ -105,3 +105,20 @@ def test_ngrams_stay_inside_texts(n):
     h, doc = ngram_hashes(c.codes, c.char_off, n, 16)
     assert np.bincount(doc, minlength=6).tolist() == [max(0, len(t) - n + 1) for t in texts]
     assert h[doc == 0].tolist() == h[doc == 4].tolist() == h[doc == 5].tolist()[3:]
+
+
+def test_toxicity_fit_takes_memory_for_features_seen_twice():
+    import tracemalloc
+
+    import numpy as np
+
+    from digitsort.llm import toxicity
+
+    p, rng = toxicity.Params(), np.random.default_rng(0)
+    size = len(toxicity.LEVELS) << p.bits
+    rows = [(np.unique(rng.choice(np.arange(0, size, 997), 300)).astype("<u4"), i % 9 == 0) for i in range(400)]
+    tracemalloc.start()
+    model = toxicity._solve(lambda: iter(rows), p)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(model.feature) and peak < 100e6  # sorting all features took 160 MB and more
