@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from ..session import ship_package, written
 from .ngrams import LEVELS, level_features
-from .textbatch import binary_array, text_chunks
+from .textbatch import text_chunks
 
 
 @dataclass
@@ -61,16 +61,24 @@ class Model:
 
 
 def _gathered(docs: DataFrame, p: Params, text_col: str, label_col: str) -> DataFrame:
-    """(label, features) of each labelled row, a table."""
+    """(label, n, features) of each labelled row, a table; ``features`` are the compressed steps between n features."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row, chunk in text_chunks(batch.column(1)):
                 doc, feature = level_features(chunk, p.orders, p.bits)
                 off = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=chunk.n))])
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, chunk.n), binary_array(feature.astype("<u4").tobytes(), off * 4)], ["label", "features"])
+                steps = (np.diff(feature[a:b], prepend=0).astype("<u4").tobytes() for a, b in zip(off[:-1], off[1:], strict=True))
+                made = pa.array([pa.compress(x, codec="zstd", asbytes=True) for x in steps], pa.binary())
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, chunk.n), pa.array(np.diff(off).astype(np.int32)), made], ["label", "n", "features"])
 
-    return written(docs.select(F.col(label_col).cast("int"), text_col).mapInArrow(run, "label int, features binary"), "labelled")
+    return written(docs.select(F.col(label_col).cast("int"), text_col).mapInArrow(run, "label int, n int, features binary"), "labelled")
+
+
+def _features(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
+    """The features of each row of ``_gathered``."""
+    for n, data in zip(batch.column(1).to_pylist(), batch.column(2), strict=True):
+        yield np.cumsum(np.frombuffer(pa.decompress(data.as_buffer(), decompressed_size=4 * n, codec="zstd"), "<u4"), dtype=np.int64)
 
 
 def fit(docs: DataFrame, labels: DataFrame, trains: Column | None = None, p: Params | None = None, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> Model:
@@ -86,8 +94,66 @@ def fit(docs: DataFrame, labels: DataFrame, trains: Column | None = None, p: Par
     keys = keys.orderBy(F.xxhash64("_id", "_h"), "_id", "_h", "_label").limit(p.max_rows).groupBy("_id", "_h", "_label").agg(F.count("*").alias("_times"))
     chosen = met.drop("_times").join(F.broadcast(keys), ["_id", "_h", "_label"]).groupBy("_id", "_h", "_label").agg(F.first("_text").alias("_text"), F.first("_times").alias("_times"))
     rows = _gathered(chosen.select("_text", "_label", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int")))).drop("col"), p, "_text", "_label")
-    # the driver holds one partition's rows at a time, and of all rows only the chosen features
-    return _solve(lambda: ((np.frombuffer(r["features"], "<u4"), r["label"]) for r in rows.toLocalIterator()), p)
+    # the driver gets the chosen features only: all of them would pass through its memory, 30 times as many
+    few = _kept(rows, _chosen(rows, p))
+    return _solve(lambda: ((np.frombuffer(r["features"], "<u4"), r["label"]) for r in few.toLocalIterator()), p)
+
+
+def _chosen(rows: DataFrame, p: Params) -> np.ndarray:
+    """The features that carry the model of these rows, ascending: each task counts its rows' features, one task adds the counts up."""
+    size = len(LEVELS) << p.bits
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n, labels = np.zeros((2, size), np.uint32), np.zeros(2, np.int64)
+        for batch in batches:
+            for label, feature in zip(batch.column(0).to_pylist(), _features(batch), strict=True):
+                n[label][feature] += 1
+                labels[label] += 1
+        if labels.sum():
+            at = np.flatnonzero(n[0] + n[1])
+            raw = np.diff(at, prepend=0).astype("<u4").tobytes() + n[:, at].astype("<u4").tobytes()
+            yield pa.RecordBatch.from_arrays([pa.array([labels[0]]), pa.array([labels[1]]), pa.array([len(at)]), pa.array([pa.compress(raw, codec="zstd", asbytes=True)], pa.binary())], ["nneg", "npos", "n", "data"])
+
+    def added(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n, labels = np.full((2, size), p.smoothing, np.float32), np.zeros(2, np.int64)
+        for batch in batches:
+            for nneg, npos, m, data in zip(*(batch.column(c).to_pylist() for c in range(3)), batch.column(3), strict=True):
+                raw = np.frombuffer(pa.decompress(data.as_buffer(), decompressed_size=12 * m, codec="zstd"), "<u4").reshape(3, m)
+                n[:, np.cumsum(raw[0], dtype=np.int64)] += raw[1:]
+                labels += nneg, npos
+        if labels.min():
+            yield pa.RecordBatch.from_arrays([pa.array(_certain(n[1], n[0], labels[1], labels[0], p)[0])], ["feature"])
+
+    parts = rows.mapInArrow(counted, "nneg long, npos long, n long, data binary")
+    found = parts.repartitionById(1, F.lit(0)).mapInArrow(added, "feature long")
+    return np.array([r[0] for r in found.collect()], np.int64)  # at most Params.features
+
+
+def _kept(rows: DataFrame, feature: np.ndarray) -> DataFrame:
+    """The rows with these features only."""
+    shared = rows.sparkSession.sparkContext.broadcast(feature)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        feature = shared.value
+        wanted = np.zeros(feature.max(initial=0) + 1, bool)
+        wanted[feature] = True
+        for batch in batches:
+            left = (x[: np.searchsorted(x, len(wanted))] for x in _features(batch))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x[wanted[x]].astype("<u4").tobytes() for x in left], pa.binary())], ["label", "features"])
+
+    return written(rows.mapInArrow(run, "label int, features binary"), "labelled")
+
+
+def _certain(pos: np.ndarray, neg: np.ndarray, ones: float, zeros: float, p: Params) -> tuple[np.ndarray, np.ndarray]:
+    """(features, log-count ratios) of the most certain ones, of smoothed counts."""
+    npos, nneg = ones + 2 * p.smoothing, zeros + 2 * p.smoothing
+    seen = np.flatnonzero(~(pos + neg <= 2 * p.smoothing + 1))  # more than once; only these take memory from here on
+    pos, neg = pos[seen], neg[seen]
+    ratio = np.log(pos / npos) - np.log(neg / nneg)
+    sure = np.abs(ratio) / np.sqrt(1 / pos + 1 / neg)
+    chosen = np.sort(np.argsort(-sure, kind="stable")[: p.features])
+    chosen = chosen[sure[chosen] > 0]
+    return seen[chosen], ratio[chosen]
 
 
 def _solve(read, p: Params) -> Model:
@@ -104,17 +170,9 @@ def _solve(read, p: Params) -> Model:
     none.intercept = float(np.log(share / (1 - share)))
     if not len(y) or y.min() == y.max():
         return none
-    npos, nneg = y.sum() + 2 * p.smoothing, (1 - y).sum() + 2 * p.smoothing
-    seen = np.flatnonzero(~(pos + neg <= 2 * p.smoothing + 1))  # more than once; only these take memory from here on
-    pos, neg = pos[seen], neg[seen]
-    ratio = np.log(pos / npos) - np.log(neg / nneg)
-    sure = np.abs(ratio) / np.sqrt(1 / pos + 1 / neg)
-    chosen = np.sort(np.argsort(-sure, kind="stable")[: p.features])
-    chosen = chosen[sure[chosen] > 0]
-    feature = seen[chosen]
+    feature, scale = _certain(pos, neg, y.sum(), (1 - y).sum(), p)
     if not len(feature):
         return none
-    scale = ratio[chosen]
     place = np.full(size, -1, np.int32)
     place[feature] = np.arange(len(feature))
     found = [x[x >= 0] for x in (place[r] for r, _ in read())]

@@ -122,3 +122,20 @@ def test_toxicity_fit_takes_memory_for_features_seen_twice():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert len(model.feature) and peak < 100e6  # sorting all features took 160 MB and more
+
+
+def test_toxicity_driver_gets_chosen_features_only(spark, docs_of, monkeypatch):
+    """And solves on them what all features would give."""
+    rng, p = random.Random(5), toxicity.Params(features=50)
+    docs = docs_of([(k, " ".join(f"w{rng.randrange(200)}" for _ in range(60)) + " nastyword" * (k % 4 == 0)) for k in range(80)])
+    labels = docs.select("doc_id", (F.col("doc_id") % 4 == 0).cast("int").alias("toxic"))
+    solve, sent = toxicity._solve, []
+    monkeypatch.setattr(toxicity, "_solve", lambda read, p: sent.extend(r for r, _ in read()) or solve(read, p))
+    model = toxicity.fit(docs, labels, p=p)
+    assert len(sent) == 80 and np.array_equal(np.unique(np.concatenate(sent)), model.feature)
+    from digitsort.llm.ngrams import level_features
+    from digitsort.llm.textbatch import text_chunks
+
+    texts = [(r["text"], r["doc_id"] % 4 == 0) for r in docs.collect()]
+    whole = solve(lambda: ((level_features(next(text_chunks(toxicity.pa.array([t])))[1], p.orders, p.bits)[1], y) for t, y in texts), p)
+    assert np.array_equal(model.feature, whole.feature) and np.allclose(model.weight, whole.weight, rtol=1e-9)
