@@ -211,3 +211,38 @@ def test_generated_keys_are_those_of_events(spark, sf, duck, name):
 def test_measures_read_lineitem(spark, sf, name):
     found = registry.all_queries()[name](spark, sf)
     assert "lineitem.parquet" in found._jdf.queryExecution().toString() and found.count()
+
+
+@pytest.mark.parametrize("part", [1 << 22, 40])
+def test_kmers_sorted_as_packed_words(spark, monkeypatch, part):
+    """Also where prefixes are too many for a partition and are counted again by their next characters."""
+    from collections import Counter
+
+    from digitsort.operators import packed
+
+    monkeypatch.setattr(packed, "PART", part)
+    texts = ["banana bandana" * 5, "", None, "short", "日本語é" * 30, "né à la façon 😀" * 9, "😀" * 40, "a", "banana bandana" * 5]
+    docs = spark.createDataFrame([(t,) for t in texts], "text string").coalesce(1)
+    for k in (1, 4, 16, 33):
+        every = sorted(t[i : i + k] for t in texts if t for i in range(len(t) - k + 1))
+        got = packed.kmers(docs, k).collect()
+        n = Counter(every)
+        assert [(r["kmer"], r["n"], r["pos"]) for r in sorted(got, key=lambda r: r["pos"])] == [(x, n[x], every.index(x)) for x in sorted(n)]
+        sums = {r["first"]: (r["n"], r["low"], r["high"], r["sum_pos"]) for r in packed.by_first(docs, k).collect()}
+        where = {c: [i for i, x in enumerate(every) if x[0] == c] for c in {x[0] for x in every}}
+        assert sums == {c: (len(w), w[0], w[-1], sum(w)) for c, w in where.items()}
+    used = packed.alphabet(docs)
+    borders, total = packed.plan(docs, 4, used, 5, 1)
+    assert total == sum(max(0, len(t) - 3) for t in texts if t) and (part > 40 or len(borders) > 3 and max(map(len, borders)) == 4)
+    assert packed.by_first(docs.limit(0)).count() == 0
+
+
+def test_wl_kmers_moves_less_than_its_kmers(spark, sf, duck):
+    from pyspark.sql import functions as F
+
+    from digitsort.operators import packed
+
+    assert rows(registry.all_queries()["wl_kmers"](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()["wl_kmers"]).df())
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    moved = packed.sort(docs, 16)[0].agg(F.sum(F.length("data"))).first()[0]
+    assert moved < 8 * docs.agg(F.sum(F.length("text"))).first()[0]  # a row a k-mer took more than 16 bytes each
