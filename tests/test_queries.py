@@ -246,3 +246,23 @@ def test_wl_kmers_moves_less_than_its_kmers(spark, sf, duck):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     moved = packed.sort(docs, 16)[0].agg(F.sum(F.length("data"))).first()[0]
     assert moved < 8 * docs.agg(F.sum(F.length("text"))).first()[0]  # a row a k-mer took more than 16 bytes each
+
+
+@pytest.mark.parametrize("k", [4, 33])
+def test_suffixes_ranked_where_they_are(spark, monkeypatch, k):
+    """Also where texts are cut into several runs, ties lie in several of them, and ids come in no order."""
+    from digitsort.operators import patterns, sorts, suffixes
+
+    monkeypatch.setattr(sorts, "adaptive_msd", None)  # a row a suffix went through the sort of a table
+    monkeypatch.setattr(suffixes, "RUN", 70)
+    monkeypatch.setattr(suffixes, "PART", 64)
+    texts = ["ab" * 40, "x" + "ab" * 40 + "a", "zé 日本😀" * 9, "", None, "ab" * 40, "b"] + (["".join(map(chr, range(0x400, 0x540)))] if k == 4 else [])
+    docs = spark.createDataFrame([(97 * i % 11, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    want = sorted((t[i : i + k], 97 * d % 11, i) for d, t in enumerate(texts) if t for i in range(len(t)))
+    got = [(r["rank"], r["doc_id"], r["at"]) for r in patterns.suffix_array(docs, k).collect()]
+    assert sorted(got) == [(rank, d, i) for rank, (_, d, i) in enumerate(want)]
+    assert patterns.suffix_array(docs.limit(0), k).count() == 0
+
+
+def test_suffix_array_sums(spark, sf, duck):
+    assert rows(registry.all_queries()["suffix_array"](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()["suffix_array"]).df())
