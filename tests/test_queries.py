@@ -256,6 +256,7 @@ def test_suffixes_ranked_where_they_are(spark, monkeypatch, k):
     monkeypatch.setattr(sorts, "adaptive_msd", None)  # a row a suffix went through the sort of a table
     monkeypatch.setattr(suffixes, "RUN", 70)
     monkeypatch.setattr(suffixes, "PART", 64)
+    monkeypatch.setattr(suffixes, "EACH", 2)
     texts = ["ab" * 40, "x" + "ab" * 40 + "a", "zé 日本😀" * 9, "", None, "ab" * 40, "b"] + (["".join(map(chr, range(0x400, 0x540)))] if k == 4 else [])
     docs = spark.createDataFrame([(97 * i % 11, t) for i, t in enumerate(texts)], "doc_id long, text string")
     want = sorted((t[i : i + k], 97 * d % 11, i) for d, t in enumerate(texts) if t for i in range(len(t)))
@@ -264,5 +265,22 @@ def test_suffixes_ranked_where_they_are(spark, monkeypatch, k):
     assert patterns.suffix_array(docs.limit(0), k).count() == 0
 
 
-def test_suffix_array_sums(spark, sf, duck):
-    assert rows(registry.all_queries()["suffix_array"](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()["suffix_array"]).df())
+def test_whole_suffixes_ranked_where_they_are(spark, monkeypatch):
+    """Suffixes equal in other runs, and ends of texts within longer ones."""
+    from digitsort.operators import patterns, sorts, suffixes
+
+    monkeypatch.setattr(sorts, "adaptive_msd", None)  # a row a suffix went through the sort of a table, again in each step
+    monkeypatch.setattr(suffixes, "RUN", 70)
+    monkeypatch.setattr(suffixes, "PART", 64)
+    monkeypatch.setattr(suffixes, "EACH", 2)
+    texts = ["ab" * 40, "x" + "ab" * 40 + "a", "zé 日本😀" * 9, "", None, "ab" * 40, "abab", "b", "é 日本😀"]
+    docs = spark.createDataFrame([(97 * i % 11, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    want = sorted((t[i:], 97 * d % 11, i) for d, t in enumerate(texts) if t for i in range(len(t)))
+    got = [(r["rank"], r["doc_id"], r["at"]) for r in patterns.whole_suffix_array(docs, 4).collect()]
+    assert sorted(got) == [(rank, d, i) for rank, (_, d, i) in enumerate(want)]
+    assert patterns.whole_suffix_array(docs.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("name", ["suffix_array", "suffix_array_whole"])
+def test_suffix_array_sums(spark, sf, duck, name):
+    assert rows(registry.all_queries()[name](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()[name]).df())
