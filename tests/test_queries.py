@@ -284,3 +284,48 @@ def test_whole_suffixes_ranked_where_they_are(spark, monkeypatch):
 @pytest.mark.parametrize("name", ["suffix_array", "suffix_array_whole"])
 def test_suffix_array_sums(spark, sf, duck, name):
     assert rows(registry.all_queries()[name](spark, sf).toPandas()) == rows(duck.execute(registry.all_sql()[name]).df())
+
+
+def test_whole_suffixes_by_chosen_places(spark, monkeypatch):
+    """Long repeats take few steps, where each doubling took one; also over several ranges, with one character only, short texts, many letters."""
+    from digitsort.operators import patterns, suffixes, whole
+
+    monkeypatch.setattr(suffixes, "RUN", 3000)
+    monkeypatch.setattr(suffixes, "PART", 2048)
+    monkeypatch.setattr(suffixes, "EACH", 1)
+    made = []
+    monkeypatch.setattr(whole, "written", lambda df, name: made.append(name) or suffixes.written(df, name))
+    rng = np.random.default_rng(3)
+    long = "".join(rng.choice(list("abc d"), 1500))
+    texts = [long, "x" + long, "a" * 900, long, "short", "", None, "ab", "日本" + long[700:], "a" * 40, long[:600] + "z"]
+    many = ["".join(map(chr, rng.integers(0x4E00, 0x4E00 + 400, 300))), "".join(map(chr, range(0x4E00, 0x4E00 + 400)))]
+    for n, t in enumerate((texts, many + many, ["a", "b", "a"])):
+        made.clear()
+        docs = spark.createDataFrame(list(enumerate(t)), "doc_id long, text string")
+        want = sorted((x[i:], d, i) for d, x in enumerate(t) if x for i in range(len(x)))
+        got = [(r["rank"], r["doc_id"], r["at"]) for r in patterns.whole_suffix_array(docs).collect()]
+        assert sorted(got) == [(rank, d, i) for rank, (_, d, i) in enumerate(want)]
+        assert made.count("places") <= 5  # 1,500 characters: 7 doublings of 16 characters
+        if n == 0:
+            assert made.count("ranked") > 1
+
+
+def test_equal_characters_choose_alike():
+    from digitsort.operators.suffixes import Letters
+    from digitsort.operators.whole import Chosen
+
+    rng = np.random.default_rng(5)
+    for k, letters in ((16, 3), (16, 40), (5, 2), (2, 2)):
+        texts = [rng.integers(0, letters, n) for n in (400, k - 1, k, 300)]
+        codes, lengths = np.concatenate(texts), np.array([len(t) for t in texts])
+        of = Letters(np.arange(letters), k)
+        ranks, own = of.padded(codes, lengths, lengths)
+        chosen = Chosen(of, ranks, lengths)
+        on, to = np.cumsum(chosen.turns) - 1, {}
+        for p in np.flatnonzero(own):
+            if ranks[p + k - 1]:
+                step = chosen.at[on[p]] - p
+                assert 0 <= step < k and to.setdefault(ranks[p : p + k].tobytes(), step) == step
+        for i, jump in enumerate(chosen.jumps):
+            p = chosen.at[i]
+            assert bool(jump) == (chosen.left[i] > k) and (not jump or chosen.at[i + jump] == chosen.at[on[p + 1]] > p)
