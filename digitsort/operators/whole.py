@@ -23,10 +23,11 @@ from pyspark.sql.pandas.types import to_arrow_type
 
 from ..session import release, ship_package, written
 from . import runs, suffixes
-from .suffixes import SENT, Letters, Make, _cut, _from_planes, _met, _numbers, _ordered, _planes, _ranks, _row_and_ranks, _rows, _text
+from .suffixes import SENT, Letters, Make, _cut, _from_planes, _met, _numbers, _ordered, _planes, _ranks, _row_and_ranks, _rows, _settled, _text, _tied
 
 #: Characters that sort before chosen places do, chosen places that a step compares, passes over the ranges at most, groups of runs that meet their ranks at once.
 DEPTH, STEP, PASSES, GROUPS = 16, 7, 16, 4
+BLOCK = 1 << 15
 
 STATE = "run long, n long, jumps binary, r binary, ties binary, open long, sample array<long>"
 
@@ -35,6 +36,63 @@ def _row(schema: dict[str, pa.DataType], **values) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([values[c]], t) for c, t in schema.items()], list(schema))
 
 
+def _short(x: np.ndarray) -> bytes:
+    """Numbers in as many bytes as the largest takes; such that hardly compress."""
+    size = max(1, -(-int(x.max(initial=0)).bit_length() // 8))
+    x = np.ascontiguousarray(x)
+    return x.astype("<u4").tobytes() if size == 4 else np.ascontiguousarray(x.astype("<u8", copy=False).view(np.uint8).reshape(-1, 8)[:, :size]).tobytes()
+
+
+def _from_short(data: bytes, n: int) -> np.ndarray:
+    out = np.zeros((n, 8), np.uint8)
+    if n:
+        size = len(data) // n
+        if size == 4:
+            return np.frombuffer(data, "<u4").astype(np.int64)
+        out[:, :size] = np.frombuffer(data, np.uint8).reshape(n, size)
+    return out.view("<i8").ravel()
+
+
+def _in_order(columns: list[np.ndarray]) -> np.ndarray:
+    """Rows in order of their columns, equal ones as they come: after the first column, as many bits at once as go beside a group's number."""
+    n = len(columns[0])
+    if not n:
+        return np.empty(0, np.int64)
+    order = np.argsort(columns[0])
+    new = runs.changes([columns[0].take(order)])
+    room, keys, free = 64 - n.bit_length(), [], 0
+    for c in columns[1:]:
+        left = int(c.max()).bit_length()
+        while left:
+            if not free:
+                keys.append([])
+                free = room
+            take = min(left, free)
+            left, free = left - take, free - take
+            keys[-1].append((c, np.uint64(left), np.uint64((1 << take) - 1), np.uint64(take)))
+    for parts in keys:
+        if not len(tied := _tied(new)):
+            break
+        inner = order[tied]
+        key = np.cumsum(new)[tied].astype(np.uint64)
+        for c, left, mask, take in parts:
+            key = key << take | c.take(inner) >> left & mask
+        by = np.argsort(key)
+        order[tied] = inner[by]
+        new[tied] = runs.changes([key[by]])
+    if len(tied := _tied(new)):
+        order[tied] = _settled(order[tied], new[tied])[0]
+    return order
+
+
+def _before(columns: list[np.ndarray], border: np.ndarray) -> int:
+    """Rows before the border."""
+    low, high = 0, len(columns[0])
+    for c, x in zip(columns, border, strict=True):
+        low, high = low + int(np.searchsorted(c[low:high], x, "left")), low + int(np.searchsorted(c[low:high], x, "right"))
+    return low
+
+
 def _packed(marks: np.ndarray, codec: pa.Codec) -> bytes:
     return codec.compress(np.packbits(marks), asbytes=True)
 
@@ -50,30 +108,44 @@ class Chosen:
         k = letters.k
         short = max(1, min(k // 4, letters.per))
         wide = k - short
-        key = letters.heads(ranks) >> np.uint64(64 - 64 // letters.per * short)
-        key = (key + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
-        key ^= key >> np.uint64(29)
-        key *= np.uint64(0xBF58476D1CE4E5B9)
-        key = key >> np.uint64(32) << np.uint64(32) | np.arange(len(key), dtype=np.uint64)
-        n = 1
-        while 2 * n <= wide:
-            key, n = np.minimum(key[:-n], key[n:]), 2 * n
-        if n < wide:
-            key = np.minimum(key[: n - wide], key[wide - n :])
+        bits, to = 64 // letters.per, np.zeros(len(ranks), np.int32)
+        kind = np.uint32 if bits * short <= 32 else np.uint64
+        for s in range(0, len(ranks) - wide - short + 2, BLOCK):  # as much as stays in a core's cache: a hash of 16 bits above the place
+            part = ranks[s : s + BLOCK + wide + short - 2].astype(kind)
+            size = len(part) - short + 1
+            key = part[:size]
+            for j in range(1, short):
+                key = key << kind(bits) | part[j : j + size]
+            key = (key + kind(1)) * kind(0x9E3779B1)
+            key ^= key >> kind(15)
+            if kind is np.uint64:
+                key ^= key >> kind(32)
+            key = (key.astype(np.uint32) * np.uint32(0x85EBCA77)) >> np.uint32(16) << np.uint32(16)
+            key |= np.arange(size, dtype=np.uint32)
+            n = 1
+            while 2 * n <= wide:
+                key, n = np.minimum(key[:-n], key[n:]), 2 * n
+            if n < wide:
+                key = np.minimum(key[: n - wide], key[wide - n :])
+            to[s : s + len(key)] = (key & np.uint32(0xFFFF)).astype(np.int32) + np.int32(s)
         first = np.cumsum(lengths + k) - lengths - k
         marks = np.zeros(len(ranks) + 1, np.int8)
         marks[first] += 1
         marks[first + np.maximum(0, lengths - k + 1)] -= 1
         valid = np.flatnonzero(np.cumsum(marks[:-1], dtype=np.int8))  # where all of a window and its characters are the text's
-        to = (key[valid] & np.uint64(0xFFFFFFFF)).astype(np.int64)
-        new = np.diff(to, prepend=-1) != 0
-        self.at, self.turns = to[new], np.zeros(len(ranks), bool)
+        to = to[valid]
+        new = np.diff(to, prepend=np.int32(-1)) != 0
+        self.at, self.turns = to[new].astype(np.int64), np.zeros(len(ranks), bool)
         self.turns[valid[new]] = True
-        self.left = np.repeat(first + lengths, lengths + k)[self.at] - self.at if len(lengths) else self.at
+        self.left = (first + lengths)[np.searchsorted(first, self.at, "right") - 1] - self.at
         on = np.cumsum(self.turns, dtype=np.int32)[np.minimum(self.at + 1, len(ranks) - 1)] - 1
         self.jumps = np.where(self.left > k, on - np.arange(len(on)), 0)  # to the place that the next window chooses, 0 without one
 
 
+def _jumps(row: dict) -> np.ndarray:
+    return np.frombuffer(pa.decompress(row["jumps"], decompressed_size=row["n"], codec="zstd"), np.uint8)
+
+
 def _along(jumps: np.ndarray, h: int) -> np.ndarray:
     """Where h jumps lead from each place, len(jumps) past the last one."""
     n = len(jumps)
@@ -89,8 +161,8 @@ def _along(jumps: np.ndarray, h: int) -> np.ndarray:
 def _ways(row: dict, h: int, paired: bool) -> tuple[np.ndarray, ...]:
     """(ranks, which are tied, whether the way of each tied place goes on, words of the tied: rank and 1 + those along the way; their order, which differ)."""
     n = row["n"]
-    r, tied = _from_planes(row["r"], n), _unpacked(row["ties"], n)
-    to, past, p = _along(_from_planes(row["jumps"], n), h), np.append(r + 1, 0).astype(np.uint64), np.flatnonzero(tied)
+    r, tied = _from_short(row["r"], n), _unpacked(row["ties"], n)
+    to, past, p = _along(_jumps(row), h), np.append(r + 1, 0).astype(np.uint64), np.flatnonzero(tied)
     words, at = [r[p].astype(np.uint64)], p
     for _ in range(STEP - 1):
         at = to[at]
@@ -116,7 +188,7 @@ def _ranked_places(table: DataFrame, letters: Letters, sample: np.ndarray, numbe
 
     def out(row: dict, r: np.ndarray, tied: np.ndarray, jumps: bytes) -> pa.RecordBatch:
         codec, open_ = pa.Codec("zstd", compression_level=1), int(tied.sum())
-        return _row(kinds, run=row["run"], n=len(r), jumps=jumps, r=_planes(r, codec), ties=_packed(tied, codec), open=open_, sample=np.sort(r[tied])[every // 2 % max(1, open_) :: every])
+        return _row(kinds, run=row["run"], n=len(r), jumps=jumps, r=_short(r), ties=_packed(tied, codec), open=open_, sample=np.sort(r[tied])[every // 2 % max(1, open_) :: every])
 
     def settled(r: np.ndarray, at: np.ndarray, first: np.ndarray, got: list[tuple], new: np.ndarray, goes_on: np.ndarray) -> np.ndarray:
         """Puts down the ranks of places ``at``, in order; the first of their class where still tied, which is returned."""
@@ -143,7 +215,7 @@ def _ranked_places(table: DataFrame, letters: Letters, sample: np.ndarray, numbe
             if len(order):
                 first = np.concatenate([base[p] + np.cumsum(x) for p, x, *_ in got])
                 tied[order] = settled(r, order, first, got, new, (chosen.left >= k)[order])  # shorter ones are equal as a whole
-            yield out(row, r, tied, _planes(chosen.jumps, pa.Codec("zstd", compression_level=1)))
+            yield out(row, r, tied, pa.Codec("zstd", compression_level=1).compress(chosen.jumps.astype(np.uint8).tobytes(), asbytes=True))
 
         return run
 
@@ -247,12 +319,12 @@ def whole_ranked(docs: DataFrame, k: int, fields: str, make: Make) -> DataFrame:
     every, width = max(1, part // suffixes.SAMPLES), letters.wide // letters.per + 1
     kinds = {"run": pa.int64(), "ids": pa.list_(kind), "own": pa.list_(pa.int64()), "size": pa.int64(), "text": pa.binary(), "turns": pa.binary(), "n": pa.int64(), "r": pa.binary(), "sample": pa.binary()}
 
-    def keys(ranks: np.ndarray, turns: np.ndarray, r: np.ndarray, at: np.ndarray) -> np.ndarray:
+    def keys(ranks: np.ndarray, turns: np.ndarray, r: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
         """Words of the characters at places, and 1 + the rank of the chosen place, 0 where the text ends before."""
         whole = ranks[at + k - 1] != 0
         last = np.zeros(len(at), np.uint64)
         last[whole] = (r[(np.cumsum(turns, dtype=np.int32) - 1)[at[whole]]] + 1).astype(np.uint64)
-        return np.concatenate([letters.words(ranks, at), last[:, None]], axis=1)
+        return [*np.ascontiguousarray(letters.words(ranks, at).T), last]
 
     def both(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         row = r = None
@@ -267,8 +339,8 @@ def whole_ranked(docs: DataFrame, k: int, fields: str, make: Make) -> DataFrame:
         ranks, own = letters.padded(_text(row), lengths, lengths)
         turns = Chosen(letters, ranks, lengths).turns
         at = np.flatnonzero(own)[every // 2 % int(lengths.sum()) :: every]
-        sample = keys(ranks, turns, _from_planes(r["r"], r["n"]), at)
-        yield _row(kinds, run=row["run"], ids=row["ids"], own=row["own"], size=len(ranks), text=codec.compress(ranks.tobytes(), asbytes=True), turns=_packed(turns, codec), n=r["n"], r=r["r"], sample=sample.astype(">u8").tobytes())
+        sample = keys(ranks, turns, _from_short(r["r"], r["n"]), at)
+        yield _row(kinds, run=row["run"], ids=row["ids"], own=row["own"], size=len(ranks), text=codec.compress(ranks.tobytes(), asbytes=True), turns=_packed(turns, codec), n=r["n"], r=r["r"], sample=np.stack(sample, axis=1).astype(">u8").tobytes())
 
     ids, groups = f"array<{dict(docs.dtypes)['doc_id']}>", min(GROUPS, len(numbers))
     all_ = []
@@ -299,13 +371,13 @@ def whole_ranked(docs: DataFrame, k: int, fields: str, make: Make) -> DataFrame:
                 at = at[ranks[at] != 0]
                 if not len(at):
                     continue
-                words = keys(ranks, _unpacked(row["turns"], row["size"]), _from_planes(row["r"], row["n"]), at)
-                order = _ordered(words)[0]
-                words, at = words[order], at[order]
-                cuts = [0, *(suffixes._before(words, b) for b in borders), len(at)]
+                words = keys(ranks, _unpacked(row["turns"], row["size"]), _from_short(row["r"], row["n"]), at)
+                order = _in_order(words)
+                words, at = [x.take(order) for x in words], at[order]
+                cuts = [0, *(_before(words, b) for b in borders), len(at)]
                 for p, (s, e) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
                     if e > s:
-                        yield _row(pieces, part=p, run=row["run"], n=e - s, words=[_planes(words[s:e, j], codec) for j in range(width)], at=_planes(at[s:e], codec))
+                        yield _row(pieces, part=p, run=row["run"], n=e - s, words=[*(_planes(x[s:e], codec) for x in words[:-1]), _short(words[-1][s:e])], at=_short(at[s:e]))
 
         return run
 
@@ -316,13 +388,13 @@ def whole_ranked(docs: DataFrame, k: int, fields: str, make: Make) -> DataFrame:
         rows, codec = sorted(_rows(batches), key=lambda r: r["run"]), pa.Codec("zstd", compression_level=1)
         if not rows:
             return
-        words = np.empty((sum(r["n"] for r in rows), width), np.uint64)
+        words = [np.empty(sum(r["n"] for r in rows), np.uint64) for _ in range(width)]
         at = 0
         for r in rows:
             for j, x in enumerate(r.pop("words")):
-                words[at : at + r["n"], j] = _from_planes(x, r["n"])
+                words[j][at : at + r["n"]] = (_from_planes if j < width - 1 else _from_short)(x, r["n"])
             at += r["n"]
-        order = _ordered(words)[0]
+        order = _in_order(words)
         del words
         pos = np.empty(len(order), np.int64)
         pos[order] = np.arange(len(order))
@@ -339,7 +411,7 @@ def whole_ranked(docs: DataFrame, k: int, fields: str, make: Make) -> DataFrame:
                 if x["part"] is None:
                     row = x
                 else:
-                    at.append(_from_planes(x["at"], x["many"]))
+                    at.append(_from_short(x["at"], x["many"]))
                     rank.append(base[x["part"]] + np.cumsum(_from_planes(x["pos"], x["many"])))
             if not at:
                 return
@@ -347,7 +419,7 @@ def whole_ranked(docs: DataFrame, k: int, fields: str, make: Make) -> DataFrame:
             by = np.argsort(at)
             at, rank, own = at[by], rank[by], np.array(row["own"])
             first = np.cumsum(own + k) - own - k
-            doc = np.searchsorted(first, at, "right") - 1
+            doc = np.repeat(np.arange(len(own)), np.diff(np.searchsorted(at, first), append=len(at)))
             yield pa.RecordBatch.from_pydict(make(pa.array(row["ids"], kind), doc, at - first[doc], rank))
 
         return run

@@ -310,10 +310,12 @@ def test_whole_suffixes_by_chosen_places(spark, monkeypatch):
             assert made.count("ranked") > 1
 
 
-def test_equal_characters_choose_alike():
+def test_equal_characters_choose_alike(monkeypatch):
+    from digitsort.operators import whole
     from digitsort.operators.suffixes import Letters
     from digitsort.operators.whole import Chosen
 
+    monkeypatch.setattr(whole, "BLOCK", 64)
     rng = np.random.default_rng(5)
     for k, letters in ((16, 3), (16, 40), (5, 2), (2, 2)):
         texts = [rng.integers(0, letters, n) for n in (400, k - 1, k, 300)]
